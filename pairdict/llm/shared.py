@@ -97,7 +97,7 @@ _INVERSE = np.uint64(pow(int(_BASE), -1, 2**64))
 _POWERS = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 
-def _powers(n: int):
+def powers(n: int):
     if len(_POWERS[0]) < n:
         m = max(n, SLICE_BYTES + 1)
         for k, base in enumerate((_BASE, _INVERSE)):
@@ -118,7 +118,7 @@ def mix(h: np.ndarray) -> np.ndarray:
 
 def word_hashes(buf: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
     """64-bit hash of each word with A-Z lower-cased: a polynomial over random byte values, then mixed."""
-    up, down = _powers(len(buf) + 1)
+    up, down = powers(len(buf) + 1)
     total = np.zeros(len(buf) + 1, np.uint64)
     np.cumsum(_BYTE[buf] * up[: len(buf)], out=total[1:])
     return mix((total[end] - total[start]) * down[start] + (end - start).astype(np.uint64))
