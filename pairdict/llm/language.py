@@ -15,7 +15,7 @@ from . import shared
 SYMBOLS = 64
 BLOCK = 1024  # code points parsed on their own; phrases do not cross the border of a block
 _LETTER = re.compile(r"[^\W\d_]")
-PHRASE = np.int32(1 << 30)
+PHRASE = np.int32(1 << 29)  # phrases begun by a step stand above this bit
 
 
 class Alphabet:
@@ -43,8 +43,10 @@ class Alphabet:
 
 
 def automaton(symbols: np.ndarray) -> np.ndarray:
-    """Suffix automaton of a text as a table [state, symbol] -> next state; where no longer match exists the entry leads on
-    from the start with that symbol and carries the PHRASE bit."""
+    """Suffix automaton of a text as a table [state, symbol] -> next state + PHRASE x phrases begun.
+
+    Where no longer match exists the entry leads on from the start with that symbol: one phrase more. A symbol that the text
+    never has is a phrase of its own; the entry leads back to the start, and the phrase to come is counted ahead."""
     link, length, step = [-1], [0], [{}]
     last = 0
     for c in symbols.tolist():
@@ -74,8 +76,10 @@ def automaton(symbols: np.ndarray) -> np.ndarray:
     for s, row in enumerate(step):
         for c, to in row.items():
             table[s, c] = to
-    start = np.where(table[0] >= 0, table[0], 0)
-    return np.where(table >= 0, table, start[None, :] | PHRASE)
+    start = np.where(table[0] >= 0, table[0] + PHRASE, 2 * PHRASE)
+    full = np.where(table >= 0, table, start[None, :])
+    full[0] = np.where(table[0] >= 0, table[0], PHRASE)
+    return full
 
 
 class Model:
@@ -89,7 +93,7 @@ class Model:
             text = self.alphabet.encode(" ".join(samples[lang]))[:chars]
             table = automaton(text)
             base.append(at)
-            tables.append((table & (PHRASE - 1)) + at | (table & PHRASE))
+            tables.append(table + np.int32(at))
             at += len(table)
             self.bits.append(np.log2(max(2, len(text))))
         self.table = np.concatenate(tables).ravel() if tables else np.zeros(0, np.int32)
@@ -113,8 +117,9 @@ class Model:
         for k, w in enumerate(still.tolist()):
             c = symbols[start[:w] + k]
             to = self.table[state[:, :w] * SYMBOLS + c]
-            count[:, :w] += to >> 30
+            count[:, :w] += to >> 29
             state[:, :w] = to & (PHRASE - 1)
+        count -= (state == self.base[:, None]) & (length > 0)
         out = np.zeros((langs, n))
         for k in range(langs):
             out[k] = np.bincount(owner, count[k], n)

@@ -456,10 +456,10 @@ def score(docs: DataFrame, train: Column, head: int = 65536, contexts: int = 409
                 count = np.zeros(len(b.w), _I64)
                 count[b.tail] = b.tail_count()[b.tail_of]
                 size = len(b.ref)
-                lm = np.bincount(b.doc, pair[per] * times, size)
+                lm = np.bincount(b.doc, pair[per] * times, size).astype(np.float64)
                 tail = ~b.head[per]
                 known = np.bincount(b.doc[tail], times[tail] * (count[per[tail]] > 0), size).astype(_I64)
-                base = np.bincount(b.doc[tail], weigh(count[per[tail]]) * times[tail], size)
+                base = np.bincount(b.doc[tail], weigh(count[per[tail]]) * times[tail], size).astype(np.float64)  # whole numbers where none are counted
                 order = np.argsort(b.ref, kind="stable")  # the same document may come from several rows
                 cut = np.flatnonzero(np.diff(b.ref[order], prepend=b.ref[order[0]] - 1)) if size else order
                 yield pa.RecordBatch.from_arrays([pa.array(b.ref[order][cut]), *(pa.array(np.add.reduceat(x[order], cut)) for x in (known, base, lm))], ["ref", "known", "base", "lm"])

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, language, language_model, line_dedup, pii, quality, sharding, simhash, subwords, topk
+from . import decontaminate, language, language_model, line_dedup, oracles, pii, quality, sharding, simhash, subwords, topk
 
 
 def queries() -> dict:
@@ -21,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op4_topk": oracles.TOPK, "op5_line_dedup": oracles.LINES, "op9_decontaminate": oracles.BENCHMARK}

@@ -55,7 +55,7 @@ def search_block(queries: np.ndarray, own: np.ndarray, ids: np.ndarray, exact: n
             b = bound[i].copy()
             me = own[a + i]
             if me >= 0:
-                b[me] = np.iinfo(np.int64).min
+                b[me] = -np.iinfo(np.int64).max  # its negative is a number too
             size = n - (me >= 0)
             if size <= 0:
                 continue
