@@ -13,6 +13,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import zstandard
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -153,27 +154,27 @@ class State:
         return (frame.root_strength + frame.d_root * self.tables_root) / (frame.root_strength + self.customers) / (frame.v + 1)
 
 
-def merge_bucket(frame: Frame, blobs) -> bytes:
-    """One bucket's occurrences, sorted by word and context: pairs, how many documents each has, and the documents."""
-    parts, refs, trains, base = [], [], [], 0
-    for raw in blobs:
-        w, u, per, doc, n, ref, train = unpack(raw)
-        parts.append((np.repeat(np.cumsum(w), per), np.repeat(u, per), doc.astype(_I64) + base, n.astype(_I64)))
-        refs.append(ref)
-        trains.append(train)
-        base += len(ref)
+def merge_bucket(blobs) -> bytes:
+    """One bucket's occurrences, sorted by word and context: pairs, how many documents each has, and the documents' places.
+
+    blobs: (batch of documents, payload). A document's place is the number of its batch here x 2^24 + its row there.
+    """
+    parts, batches, trains = [], [], []
+    for number, raw in blobs:
+        w, u, per, doc, n, train = unpack(raw)
+        parts.append((np.repeat(np.cumsum(w), per), np.repeat(u, per), (doc.astype(_I64) << 1 | train) + (len(batches) << 25), n.astype(_I64)))
+        batches.append(number)
     w, u, doc, n = (np.concatenate(x) for x in zip(*parts, strict=True))
-    ref, train = np.concatenate(refs), np.concatenate(trains)
-    order = np.lexsort((u, w))
+    order = np.lexsort((doc, u, w))
     w, u, doc, n = w[order], u[order], doc[order], n[order]
     first = np.flatnonzero(np.concatenate([[True], (w[1:] != w[:-1]) | (u[1:] != u[:-1])]))
-    count = np.add.reduceat(n * train[doc], first)
-    return pack(np.diff(w[first], prepend=np.uint64(0)), u[first].astype(np.uint16), least_type(count), least_type(np.diff(np.append(first, len(w)))), least_type(doc), least_type(n), ref)
+    count = np.add.reduceat(n * (doc & 1), first)
+    return pack(np.diff(w[first], prepend=np.uint64(0)), u[first].astype(np.uint16), least_type(count), least_type(np.diff(np.append(first, len(w)))), least_type(doc >> 1), least_type(n), np.array(batches, _I64))
 
 
 class Bucket:
     def __init__(self, raw: bytes):
-        w, self.u, count, self.per, self.doc, self.n, self.ref = unpack(raw)
+        w, self.u, count, self.per, self.doc, self.n, self.batches = unpack(raw)
         self.w, self.count = np.cumsum(w), count.astype(_I64)
         self.head = self.w < TAIL
         self.word = np.where(self.head, self.w, 0).astype(_I64)
@@ -291,34 +292,39 @@ def frame_of(words: DataFrame, head: int, contexts: int) -> Frame:
     return Frame(hashes, np.array([r.c for r in rows], _I64), int(n), int(v), contexts, min(0.95, max(0.1, d)))
 
 
+DOCUMENTS = -1  # the bucket number of rows that name a batch's documents
+
+
 def occurrences(rows: DataFrame, frame, buckets: int, flush: int = 2_000_000) -> DataFrame:
-    """(bucket, payload): for each task and bucket the word pairs with the documents they stand in. Pairs of a frequent word
-    with a rare context need no bucket; pairs of a rare word meet by word, the others by pair."""
+    """(bucket, batch, payload): for each bucket its word pairs with the documents they stand in, and for each batch of
+    documents (what a task holds at a time) their refs. Pairs of a frequent word with a rare context need no bucket; pairs of a
+    rare word meet by word, the others by pair."""
 
-    def blobs(h, u, ids, doc, ref, train):
+    def blobs(batch, h, u, ids, doc, ref, train):
         f = frame.value
         on = np.flatnonzero((ids < 0) | (u != f.rare))
         h, u, ids, doc = h[on], u[on], ids[on], doc[on]
-        w = np.where(ids >= 0, ids.astype(np.uint64), h | TAIL)
-        place = shared.mix(w + np.where(ids >= 0, u.astype(np.uint64) + np.uint64(1), np.uint64(0)) * np.uint64(0x9E3779B97F4A7C15)) % np.uint64(buckets)
+        place = shared.mix(np.where(ids >= 0, (ids.astype(np.uint64) << np.uint64(16)) + u.astype(np.uint64), h) ^ np.uint64(0x9E3779B97F4A7C15)) % np.uint64(buckets)
+        # inside a bucket 48 bits tell rare words apart
+        w = np.where(ids >= 0, ids.astype(np.uint64), (h & np.uint64((1 << 48) - 1)) | TAIL)
         order = np.lexsort((doc, u, w, place))
         place, w, u, doc = place[order], w[order], u[order], doc[order]
-        new = np.concatenate([[True], (w[1:] != w[:-1]) | (u[1:] != u[:-1])]) if len(w) else np.zeros(0, bool)
-        fresh = new | np.concatenate([[True], doc[1:] != doc[:-1]]) if len(w) else new
-        at = np.flatnonzero(fresh)
+        some = np.ones(min(1, len(w)), bool)
+        new = np.concatenate([some, (w[1:] != w[:-1]) | (u[1:] != u[:-1]) | (place[1:] != place[:-1])])
+        at = np.flatnonzero(new | np.concatenate([some, doc[1:] != doc[:-1]]))
         n = np.diff(np.append(at, len(w)))
         place, w, u, doc, new = place[at], w[at], u[at], doc[at], new[at]
-        edge = np.flatnonzero(np.concatenate([[True], place[1:] != place[:-1]])) if len(w) else at
-        number, out = [], []
+        edge = np.flatnonzero(np.concatenate([some, place[1:] != place[:-1]]))
+        number, out = [DOCUMENTS], [pack(ref)]
         for x, y in zip(edge.tolist(), np.append(edge[1:], len(w)).tolist(), strict=True):
             first = np.flatnonzero(new[x:y])
-            d, local = np.unique(doc[x:y], return_inverse=True)
             number.append(int(place[x]))
-            out.append(pack(np.diff(w[x:y][first], prepend=np.uint64(0)), u[x:y][first], least_type(np.diff(np.append(first, y - x))), least_type(local), least_type(n[x:y]), ref[d], train[d]))
-        return pa.RecordBatch.from_arrays([pa.array(number, pa.int32()), pa.array(out, pa.binary())], ["bucket", "payload"])
+            out.append(pack(np.diff(w[x:y][first], prepend=np.uint64(0)), u[x:y][first], least_type(np.diff(np.append(first, y - x))), least_type(doc[x:y]), least_type(n[x:y]), train[doc[x:y]]))
+        return pa.RecordBatch.from_arrays([pa.array(number, pa.int32()), pa.array([batch] * len(number), pa.int64()), pa.array(out, pa.binary())], ["bucket", "batch", "payload"])
 
     def run(batches):
         f, held, size, docs_held = frame.value, [], 0, 0
+        name = TaskContext.get().partitionId() << 32
         for batch in batches:
             ref, train = batch.column(0).to_numpy(), batch.column(1).to_numpy(zero_copy_only=False).astype(np.uint8)
             for a, n, h, doc in tokens(batch.column(2)):
@@ -326,17 +332,22 @@ def occurrences(rows: DataFrame, frame, buckets: int, flush: int = 2_000_000) ->
                 held.append((h, f.contexts_of(ids, doc), ids, doc + docs_held, ref[a : a + n], train[a : a + n]))
                 size, docs_held = size + len(h), docs_held + n
                 if size >= flush:
-                    yield blobs(*(np.concatenate(x) for x in zip(*held, strict=True)))
-                    held, size, docs_held = [], 0, 0
+                    yield blobs(name, *(np.concatenate(x) for x in zip(*held, strict=True)))
+                    held, size, docs_held, name = [], 0, 0, name + 1
         if held:
-            yield blobs(*(np.concatenate(x) for x in zip(*held, strict=True)))
+            yield blobs(name, *(np.concatenate(x) for x in zip(*held, strict=True)))
 
     def merge(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        raw = merge_bucket(frame.value, (x.as_py() for batch in batches for x in batch.column("payload")))
-        yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([raw], pa.binary())], ["bucket", "payload"])
+        pairs = ((n, x.as_py()) for batch in batches for n, x in zip(batch.column("batch").to_pylist(), batch.column("payload"), strict=True))
+        bucket, salt = key[0].as_py(), key[1].as_py()
+        if bucket == DOCUMENTS:
+            yield from (pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([n], pa.int64()), pa.array([raw], pa.binary())], ["bucket", "batch", "payload"]) for n, raw in pairs)
+        else:
+            yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([salt], pa.int64()), pa.array([merge_bucket(pairs)], pa.binary())], ["bucket", "batch", "payload"])
 
-    schema = "bucket int, payload binary"
-    return rows.select("ref", "train", "text").mapInArrow(run, schema).groupBy("bucket").applyInArrow(merge, schema)
+    schema = "bucket int, batch long, payload binary"
+    salt = F.when(F.col("bucket") == DOCUMENTS, F.col("batch")).otherwise(0)
+    return rows.select("ref", "train", "text").mapInArrow(run, schema).withColumn("salt", salt).groupBy("bucket", "salt").applyInArrow(merge, schema)
 
 
 class Chain:
@@ -419,7 +430,8 @@ def score(docs: DataFrame, train: Column, head: int = 65536, contexts: int = 409
     # at most `head` hashes and counts: a bound that does not grow with the data
     held = spark.sparkContext.broadcast(frame)
     buckets = max(64, -(-frame.n // bucket_tokens))
-    kept = shared.keep(occurrences(rows, held, buckets), "pairs")
+    both = shared.keep(occurrences(rows, held, buckets), "pairs")
+    kept, names = both.where(F.col("bucket") != DOCUMENTS), both.where(F.col("bucket") == DOCUMENTS).select("batch", "payload")
     chain = Chain(kept, frame, seed)
     for k in range(burn + samples):
         chain.sweep(k, k >= burn)
@@ -448,6 +460,7 @@ def score(docs: DataFrame, train: Column, head: int = 65536, contexts: int = 409
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *map(pa.array, out)], ["id", "ref", "n_tokens", "known", "base", "lm"])
 
     def far(batches):
+        """Sums of each bucket by batch of documents: rows there, then what they add to known, base and score."""
         for batch in batches:
             for number, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 b = Bucket(raw.as_py())
@@ -455,22 +468,45 @@ def score(docs: DataFrame, train: Column, head: int = 65536, contexts: int = 409
                 per, times = np.repeat(np.arange(len(b.w)), b.per), b.n.astype(np.float64)
                 count = np.zeros(len(b.w), _I64)
                 count[b.tail] = b.tail_count()[b.tail_of]
-                size = len(b.ref)
-                lm = np.bincount(b.doc, pair[per] * times, size).astype(np.float64)
+                place, at = np.unique(b.doc.astype(_I64), return_inverse=True)
+                size = len(place)
+                lm = np.bincount(at, pair[per] * times, size).astype(np.float32)
                 tail = ~b.head[per]
-                known = np.bincount(b.doc[tail], times[tail] * (count[per[tail]] > 0), size).astype(_I64)
-                base = np.bincount(b.doc[tail], weigh(count[per[tail]]) * times[tail], size).astype(np.float64)  # whole numbers where none are counted
-                order = np.argsort(b.ref, kind="stable")  # the same document may come from several rows
-                cut = np.flatnonzero(np.diff(b.ref[order], prepend=b.ref[order[0]] - 1)) if size else order
-                yield pa.RecordBatch.from_arrays([pa.array(b.ref[order][cut]), *(pa.array(np.add.reduceat(x[order], cut)) for x in (known, base, lm))], ["ref", "known", "base", "lm"])
+                known = np.bincount(at[tail], times[tail] * (count[per[tail]] > 0), size).astype(_I64)
+                base = np.bincount(at[tail], weigh(count[per[tail]]) * times[tail], size).astype(np.float64)
+                edge = np.searchsorted(place >> 24, np.arange(len(b.batches) + 1))
+                out = []
+                for x, y in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+                    row = place[x:y] & ((1 << 24) - 1)
+                    has = np.flatnonzero(base[x:y])
+                    out.append(pack(np.diff(row, prepend=0).astype(np.uint32), lm[x:y], least_type(np.diff(has, prepend=0)), least_type(known[x:y][has]), base[x:y][has]))
+                yield pa.RecordBatch.from_arrays([pa.array(b.batches), pa.array(out, pa.binary())], ["batch", "payload"])
+
+    def gather(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ref, parts = None, []
+        for batch in batches:
+            for is_name, raw in zip(batch.column("name").to_pylist(), batch.column("payload"), strict=True):
+                if is_name:
+                    ref = unpack(raw.as_py())[0]
+                else:
+                    parts.append(raw.as_py())
+        out = [np.zeros(len(ref), _I64), np.zeros(len(ref)), np.zeros(len(ref))]
+        for raw in parts:
+            row, lm, has, known, base = unpack(raw)
+            row = np.cumsum(row).astype(_I64)
+            at = row[np.cumsum(has.astype(_I64))]
+            out[0][at] += known.astype(_I64)
+            out[1][at] += base
+            out[2][row] += lm
+        yield pa.RecordBatch.from_arrays([pa.array(ref), *map(pa.array, out)], ["ref", "_known", "_base", "_lm"])
 
     kind = rows.schema["id"].dataType.simpleString()
     near = shared.keep(rows.select("id", "ref", "text").mapInArrow(local, f"id {kind}, ref long, n_tokens long, known long, base double, lm double"), "near")
-    from_buckets = kept.select("bucket", "payload").mapInArrow(far, "ref long, known long, base double, lm double").withColumn("copies", F.lit(0).cast("long"))
-    zero = near.select("ref", F.lit(0).cast("long").alias("known"), F.lit(0.0).alias("base"), F.lit(0.0).alias("lm"), F.lit(1).cast("long").alias("copies"))
-    sums = from_buckets.union(zero).groupBy("ref").agg(*(F.sum(c).alias(f"_{c}") for c in ("known", "base", "lm", "copies")))
-    share = lambda c: F.col(f"_{c}") / F.col("_copies")
-    return near.join(sums, "ref").select(F.col("id").alias(id_col), "n_tokens", (F.col("known") + share("known").cast("long")).alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), (F.col("base") + share("base")).alias("base_score"), (F.col("lm") + share("lm")).alias("score"))
+    sums = kept.select("bucket", "payload").mapInArrow(far, "batch long, payload binary").withColumn("name", F.lit(False)).union(names.withColumn("name", F.lit(True)))
+    sums = sums.groupBy("batch").applyInArrow(gather, "ref long, _known long, _base double, _lm double")
+    sums = sums.groupBy("ref").agg(*(F.max(c).alias(c) for c in ("_known", "_base", "_lm")))  # rows of one ref are alike
+    total = lambda c: F.col(c) + F.col(f"_{c}")
+    return near.join(sums, "ref").select(F.col("id").alias(id_col), "n_tokens", total("known").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), total("base").alias("base_score"), total("lm").alias("score"))
 
 
 def perplexity(scored: DataFrame) -> DataFrame:
