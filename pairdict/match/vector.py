@@ -47,18 +47,20 @@ class VectorIndex:
             self.bytes_[entries[i][0]] = i
         self.bits = max(12, int(len(entries) * 8 - 1).bit_length())
         self.tables: list[np.ndarray] = []
-        left = short
-        h = _hash(self.low, self.high, self.lens)
+        left, h = short, _hash(self.low, self.high, self.lens)
+        self.hashes = h
         while len(left):
             t = np.full(1 << self.bits, -1, np.int32)
             at = self._slot(h[left], len(self.tables))
             t[at] = left
             left = left[t[at] != left]
             self.tables.append(t)
-        # lengths of at least four by a hash of the first four bytes; 17 stands for anything longer than 16
-        self.mask = np.zeros(1 << 20, np.uint32)
-        four = np.flatnonzero(self.lens >= 4)
-        np.bitwise_or.at(self.mask, self._first(self.low[four]), (np.uint32(1) << np.minimum(self.lens[four], WIDE + 1).astype(np.uint32)))
+        # lengths worth trying: those under eight by a hash of four bytes, the rest by a hash of eight; 17 stands for longer than 16
+        self.mask, self.mask8 = np.zeros(1 << 20, np.uint32), np.zeros(1 << 20, np.uint32)
+        bit = np.uint32(1) << np.minimum(self.lens, WIDE + 1).astype(np.uint32)
+        some, many = (self.lens >= 4) & (self.lens < 8), self.lens >= 8
+        np.bitwise_or.at(self.mask, self._first(self.low[some]), bit[some])
+        np.bitwise_or.at(self.mask8, self._eight(self.low[many]), bit[many])
         self.three = np.zeros(1 << 16, bool)  # whether any three-byte entry begins with these two
         self.two = np.full(1 << 16, -1, np.int64)
         for i in np.flatnonzero(self.lens == 2).tolist():
@@ -72,16 +74,26 @@ class VectorIndex:
     def _first(low):
         return (((low & np.uint64(0xFFFFFFFF)) * _A) >> np.uint64(44)).astype(np.int64)
 
+    @staticmethod
+    def _eight(low):
+        return (((low ^ (low >> np.uint64(31))) * _B) >> np.uint64(44)).astype(np.int64)
+
     def probe(self, low, high, size):
         """Number of the entry with these bytes, or -1."""
         low = low & _KEEP[np.minimum(size, 8)]
         high = high & _KEEP[np.maximum(size - 8, 0)]
         h = _hash(low, high, size)
+        out = self.tables[0][self._slot(h, 0)].astype(np.int64) if self.tables else np.full(len(h), -1, np.int64)
+        for t in range(1, len(self.tables)):  # a free place in a table means that no later one holds the entry
+            on = np.flatnonzero((out >= 0) & (self.hashes[out] != h))
+            if not len(on):
+                break
+            out[on] = self.tables[t][self._slot(h[on], t)]
+        hit = np.flatnonzero((out >= 0) & (self.hashes[out] == h))
+        got = out[hit]
+        sure = (self.low[got] == low[hit]) & (self.high[got] == high[hit]) & (self.lens[got] == size[hit])
         out = np.full(len(h), -1, np.int64)
-        for k, t in enumerate(self.tables):
-            got = t[self._slot(h, k)]
-            hit = (got >= 0) & (self.low[got] == low) & (self.high[got] == high) & (self.lens[got] == size)
-            out[hit] = got[hit]
+        out[hit[sure]] = got[sure]
         return out
 
     def match(self, padded: np.ndarray, at: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -90,7 +102,7 @@ class VectorIndex:
         low, high, left = view[at], view[at + 8], end - at
         number = self.bytes_[padded[at]]
         size = np.ones(len(at), np.int64)
-        able = self.mask[self._first(low)] & ((np.uint32(1) << np.minimum(left + 1, WIDE + 2).astype(np.uint32)) - np.uint32(1))
+        able = (self.mask[self._first(low)] | self.mask8[self._eight(low)]) & ((np.uint32(1) << np.minimum(left + 1, WIDE + 2).astype(np.uint32)) - np.uint32(1))
         able[left < 4] = 0
         live = np.flatnonzero(able)
         while len(live):
