@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from ..dictionary import Dictionary, single_bytes
 from ..sampling import SampleSpec, draw_sample
+from ..scratch import keep
 
 
 def merge_rounds(texts: list[bytes], capacity: int) -> tuple[list[bytes], list, list]:
@@ -131,7 +132,7 @@ def train_relational(corpus: DataFrame, rounds: int = 4, checkpoint_every: int =
         )
         now = now.select("key", merged.alias("s"))
         if (k + 1) % checkpoint_every == 0:
-            now = now.checkpoint()
+            now = keep(now)
     return spark.createDataFrame(found, "token_id int, entry string, n long")
 
 

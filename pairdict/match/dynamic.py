@@ -18,12 +18,12 @@ class Cost:
 
 
 class DynamicMatcher:
-    """Longest entry at a place. A byte-wide bound on entry length by first byte spares probes that cannot succeed."""
+    """Longest entry at a place. Which lengths of four to eight are worth a probe is kept by the first four bytes."""
 
     def __init__(self, entries=(), max_bucket: int | None = None):
         self.short: dict[bytes, int] = {}
         self.long: dict[bytes, list[tuple[int, bytes, int]]] = {}
-        self.reach = [0] * 256  # longest short entry that begins with this byte
+        self.sizes: dict[bytes, list[int]] = {}  # first four bytes -> lengths of short entries, longest first
         self.max_bucket = max_bucket
         for i, e in enumerate(entries):
             self.insert(e, i)
@@ -32,7 +32,11 @@ class DynamicMatcher:
         """Add an entry; False if its bucket is full. Buckets stay sorted, longest suffix first."""
         if len(entry) <= SHORT:
             self.short[entry] = number
-            self.reach[entry[0]] = max(self.reach[entry[0]], len(entry))
+            if len(entry) >= 4:
+                known = self.sizes.setdefault(entry[:4], [])
+                if len(entry) not in known:
+                    known.append(len(entry))
+                    known.sort(reverse=True)
             return True
         bucket = self.long.setdefault(entry[:SHORT], [])
         if self.max_bucket is not None and len(bucket) >= self.max_bucket:
@@ -52,9 +56,13 @@ class DynamicMatcher:
                 if text.startswith(suffix, at + SHORT):
                     return number, SHORT - size
         get = self.short.get
-        for n in range(min(left, self.reach[text[at]]), 1, -1):
-            if (number := get(text[at : at + n])) is not None:
+        for n in self.sizes.get(text[at : at + 4], ()) if left >= 4 else ():
+            if n <= left and (number := get(text[at : at + n])) is not None:
                 return number, n
+        if left >= 3 and (number := get(text[at : at + 3])) is not None:
+            return number, 3
+        if left >= 2 and (number := get(text[at : at + 2])) is not None:
+            return number, 2
         return self.short[text[at : at + 1]], 1
 
     def tally(self, text: bytes, at: int, cost: Cost, inline: int = 4) -> tuple[int, int]:

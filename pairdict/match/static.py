@@ -86,7 +86,7 @@ class StaticIndex:
             records[slot] = (p, len(overflow) if more else -1, len(more), bucket[:inline])
             overflow += more
         short = DynamicMatcher()
-        short.short, short.reach = matcher.short, matcher.reach
+        short.short, short.sizes = matcher.short, matcher.sizes
         return StaticIndex(hash_, records, overflow, short, inline)
 
     def match(self, text: bytes, at: int = 0, cost: Cost | None = None) -> tuple[int, int]:

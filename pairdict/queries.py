@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -20,6 +19,7 @@ from .match.static import StaticIndex
 from .match.words import pack8, shared_prefix_len
 from .operators import relational
 from .sampling import SampleSpec
+from .scratch import folder
 from .training import adaptive_threshold_col, suggest_bits, train, train_by, train_sharded
 from .workloads import WORKLOADS
 
@@ -86,16 +86,6 @@ def _query(name: str, sql: str | None = None):
     return add
 
 
-def _folder() -> str:
-    return f"{tempfile.gettempdir()}/pairdict-{uuid.uuid4().hex}"
-
-
-def _shared(spark: SparkSession) -> str:
-    """A folder for tables that a query writes and reads: the session's checkpoint folder, or a temporary one in local mode."""
-    top = spark.conf.get("spark.checkpoint.dir", None)
-    return f"{top.rstrip('/')}/pairdict-{uuid.uuid4().hex}" if top else _folder()
-
-
 def _trained(corpus: DataFrame, name: str, variant: str = "bounded16", **kw) -> Dictionary:
     return train(corpus, variant=variant, bits=kw.pop("bits", BITS[name]), sample=SAMPLE, **kw)
 
@@ -179,7 +169,7 @@ def training_stats(spark: SparkSession, d: str) -> DataFrame:
 @_query("dictionary_saved")
 def dictionary_saved(spark: SparkSession, d: str) -> DataFrame:
     dic = _trained(load(spark, d, "urls"), "urls", "unbounded")
-    path = _shared(spark)
+    path = folder(spark)
     dic.save(spark, path)
     return Dictionary.load(spark, path).frame(spark).select("token_id", F.hex("entry").alias("entry"), "left_id", "right_id")
 
@@ -370,7 +360,7 @@ def corpus_summary(spark: SparkSession, d: str) -> DataFrame:
 
 def _store(spark: SparkSession, d: str, name: str = "titles") -> CompressedStore:
     c = load(spark, d, name)
-    path = _shared(spark)
+    path = folder(spark)
     CompressedStore.write(c, path, _trained(c, name))
     return CompressedStore.read(spark, path)
 
@@ -415,7 +405,7 @@ def store_source(spark: SparkSession, d: str) -> DataFrame:
     from .sources import register
 
     c = load(spark, d, "titles")
-    path = _shared(spark)
+    path = folder(spark)
     CompressedStore.write(c, path, _trained(c, "titles"))
     register(spark)
     rows = lambda: spark.read.format("pairdict").option("path", path).load()  # noqa: E731  a read of its own for each set of filters
@@ -567,11 +557,11 @@ def _events(spark: SparkSession, d: str) -> DataFrame:
 def _finish(spark: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream over what is there, and give its result as a table."""
     if mode == "append":
-        out = _shared(spark)
+        out = folder(spark)
         stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", out + "-state").trigger(availableNow=True).outputMode(mode).start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(out)
     name = "s" + uuid.uuid4().hex
-    stream.writeStream.format("memory").queryName(name).option("checkpointLocation", _shared(spark)).trigger(availableNow=True).outputMode(mode).start().awaitTermination()
+    stream.writeStream.format("memory").queryName(name).option("checkpointLocation", folder(spark)).trigger(availableNow=True).outputMode(mode).start().awaitTermination()
     return spark.table(name)
 
 
@@ -630,7 +620,7 @@ def stream_lookup(spark: SparkSession, d: str) -> DataFrame:
 def stream_retrain(spark: SparkSession, d: str) -> DataFrame:
     poor = Dictionary([bytes([b]) for b in range(256)], bits=9)
     watch = streaming.Retrainer(poor, "props", 1.0, bits=9, threshold=2, sample=SAMPLE)
-    out = _shared(spark)
+    out = folder(spark)
     _events(spark, d).writeStream.foreachBatch(watch).option("checkpointLocation", out).trigger(availableNow=True).start().awaitTermination()
     return spark.createDataFrame([(i, v) for i, v in enumerate(watch.versions)], "n int, dict_version string")
 
