@@ -295,7 +295,7 @@ def frame_of(words: DataFrame, head: int, contexts: int) -> Frame:
 DOCUMENTS = -1  # the bucket number of rows that name a batch's documents
 
 
-def occurrences(rows: DataFrame, frame, buckets: int, flush: int = 2_000_000) -> DataFrame:
+def occurrences(rows: DataFrame, frame, buckets: int, flush: int = 1_000_000) -> DataFrame:
     """(bucket, batch, payload): for each bucket its word pairs with the documents they stand in, and for each batch of
     documents (what a task holds at a time) their refs. Pairs of a frequent word with a rare context need no bucket; pairs of a
     rare word meet by word, the others by pair."""
