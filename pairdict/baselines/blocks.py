@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 CODECS = ("lz4_raw", "zstd", "gzip")
@@ -87,6 +87,17 @@ def bytes_touched(locator: DataFrame, blocks: DataFrame, keys: DataFrame, cache:
     return each.agg(F.sum("n").alias("queries"), F.sum("b").alias("bytes_touched"))
 
 
+def write_store(corpus: DataFrame, path: str, codec: str = "zstd", block_bytes: int = BLOCK_BYTES) -> None:
+    """Blocks and locator as Parquet, each sorted by what it is read by."""
+    b, where = compress(corpus, codec, block_bytes)
+    b.repartitionByRange("block_id").sortWithinPartitions("block_id").write.mode("overwrite").parquet(f"{path}/blocks")
+    where.repartitionByRange("key").sortWithinPartitions("key").write.mode("overwrite").parquet(f"{path}/locator")
+
+
+def read_store(spark: SparkSession, path: str) -> tuple[DataFrame, DataFrame]:
+    return spark.read.parquet(f"{path}/blocks"), spark.read.parquet(f"{path}/locator")
+
+
 def sizes(lengths: np.ndarray, block_bytes: int = BLOCK_BYTES) -> np.ndarray:
     """Block of each string from the lengths alone."""
     return (np.cumsum(lengths) - lengths) // block_bytes

@@ -20,6 +20,7 @@ from .match.words import pack8, shared_prefix_len
 from .operators import relational
 from .sampling import SampleSpec
 from .scratch import folder
+from .sources import parquet_bytes
 from .training import adaptive_threshold_col, suggest_bits, train, train_by, train_sharded
 from .workloads import WORKLOADS
 
@@ -246,6 +247,13 @@ def udf_n_tokens(spark: SparkSession, d: str) -> DataFrame:
     return c.select("key", make(dic)["n_tokens"]("value").alias("n_tokens"))
 
 
+@_query("udf_encoded_bytes", f"{_WALK} SELECT key % 10 AS g, CAST(count(*) * 2 AS BIGINT) AS n_bytes FROM tok GROUP BY 1")
+def udf_encoded_bytes(spark: SparkSession, d: str) -> DataFrame:
+    """The aggregate function over groups of bounded size."""
+    c, dic = _fixed(spark, d)
+    return c.groupBy((F.col("key") % 10).alias("g")).agg(make(dic)["encoded_bytes"]("value").alias("n_bytes"))
+
+
 @_query("udf_roundtrip", CORPUS_SQL["urls"])
 def udf_roundtrip(spark: SparkSession, d: str) -> DataFrame:
     c = load(spark, d, "urls")
@@ -438,6 +446,30 @@ def block_access(spark: SparkSession, d: str) -> DataFrame:
     return blocks.lookup(*blocks.compress(c, "zstd"), c.select("key").where(_ACCESS_KEYS), "zstd")
 
 
+@_query("block_store", f"SELECT key, value FROM ({CORPUS_SQL['urls']}) WHERE {_ACCESS_KEYS}")
+def block_store(spark: SparkSession, d: str) -> DataFrame:
+    c, path = load(spark, d, "urls"), folder(spark)
+    blocks.write_store(c, path, "lz4_raw")
+    return blocks.lookup(*blocks.read_store(spark, path), c.select("key").where(_ACCESS_KEYS), "lz4_raw")
+
+
+@_query("block_access_cost")
+def block_access_cost(spark: SparkSession, d: str) -> DataFrame:
+    """Bytes opened for the same keys with and without a block cache."""
+    c = load(spark, d, "tweets")
+    b, where = blocks.compress(c, "zstd")
+    keys = c.select("key").where(_ACCESS_KEYS)
+    parts = [blocks.bytes_touched(where, b, keys, cache).withColumn("cache", F.lit(cache)) for cache in (True, False)]
+    return parts[0].union(parts[1])
+
+
+@_query("parquet_codecs")
+def parquet_codecs(spark: SparkSession, d: str) -> DataFrame:
+    """Bytes of a corpus as Parquet under each page codec."""
+    c = load(spark, d, "reviews_xl").coalesce(1)
+    return spark.createDataFrame([(k, parquet_bytes(c, folder(spark), k)) for k in ("uncompressed", "snappy", "lz4_raw", "gzip", "zstd")], "codec string, n_bytes long")
+
+
 @_query("raw_store", CORPUS_SQL["urls"])
 def raw_store(spark: SparkSession, d: str) -> DataFrame:
     """The uncompressed store."""
