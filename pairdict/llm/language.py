@@ -161,8 +161,8 @@ def train(docs: DataFrame, rows: int = 64, chars: int = 30_000, row_chars: int =
 def identify(docs: DataFrame, model: Model, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
     """Add lang_pred and score to the columns in `keep`. Null texts and texts without a letter get und and 0; ties go to the
     language first in order; repeated rows get equal answers; an untrained model answers und throughout."""
-    keep = keep if keep is not None else docs.columns
-    rows = docs.select(*keep, F.col(text_col).alias("_in"))
+    keep = shared.kept(docs, keep, ("lang_pred", "score"))
+    rows = docs.select(*keep, F.col(text_col).alias("_pairdict_text"))
     held = docs.sparkSession.sparkContext.broadcast(model)  # at most SYMBOLS x 2 x chars x 4 bytes a language
 
     def run(batches):

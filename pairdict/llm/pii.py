@@ -355,8 +355,8 @@ def detect(docs: DataFrame, text_col: str = "text", keep: list[str] | None = Non
     random field adds never overlaps a pattern's span and passes the kind's own test (digits, Luhn, parts). Null and empty
     texts have none. Repeated rows get equal answers.
     """
-    keep = keep if keep is not None else docs.columns
-    rows = docs.select(*keep, F.col(text_col).alias("_in"))
+    keep = shared.kept(docs, keep, (*(f"n_{k}" for k in KINDS), "base", "spans"))
+    rows = docs.select(*keep, F.col(text_col).alias("_pairdict_text"))
     held = docs.sparkSession.sparkContext.broadcast(tagger())  # of fixed size: it knows the labelled table alone
 
     def run(batches):

@@ -104,8 +104,8 @@ def train(docs: DataFrame, labels: DataFrame, rows: int = 3000, row_chars: int =
 def score(docs: DataFrame, model: Model, threshold: float = 0.3, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
     """Add score (0 to 1) and predicted to the columns in `keep`. Null counts as empty; both get the score of no bytes.
     Whole texts are compressed, in blocks. Equal texts get equal scores. Without labels of both kinds the score is constant."""
-    keep = keep if keep is not None else docs.columns
-    rows = docs.select(*keep, F.col(text_col).alias("_in"))
+    keep = shared.kept(docs, keep, ("score", "predicted"))
+    rows = docs.select(*keep, F.col(text_col).alias("_pairdict_text"))
     held = docs.sparkSession.sparkContext.broadcast(model)  # two dictionaries of fixed size
 
     def run(batches):

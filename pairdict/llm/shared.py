@@ -38,6 +38,11 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def kept(docs: DataFrame, keep: list[str] | None, added) -> list[str]:
+    """Columns that go along: those asked for, or all whose names the operator does not give to columns of its own (those it replaces)."""
+    return [c for c in (docs.columns if keep is None else keep) if c not in added]
+
+
 def crc_mod(id_col: str, n: int):
     """crc32 of the id written as text, modulo n."""
     return F.crc32(F.col(id_col).cast("string").cast("binary")) % n

@@ -23,8 +23,8 @@ EDGE = [
 @pytest.fixture(scope="session")
 def edge(spark):
     """Odd rows with columns whose names operators use inside."""
-    rows = [(i, t, lang, "s", 1, "x", 2.0, "k") for i, t, lang in EDGE]
-    return spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, fp string, size double, shard string")
+    rows = [(i, t, lang, "s", 1, "x", 2.0, "k", "p", "q", [1], "r", 1) for i, t, lang in EDGE]
+    return spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, fp string, size double, shard string, score string, spans string, ids array<int>, _lines string, n_hit int")
 
 
 @pytest.fixture(scope="session")
