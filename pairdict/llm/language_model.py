@@ -415,7 +415,7 @@ class Chain:
         return np.log10(sum(after.head_p for _, after, _ in self.samples) / len(self.samples)) if len(self.frame.hashes) else np.zeros(0)
 
 
-def score(docs: DataFrame, train: Column, head: int = 65536, contexts: int = 4096, burn: int = 2, samples: int = 3, seed: int = 11, id_col: str = "doc_id", text_col: str = "text", bucket_tokens: int = 300_000) -> DataFrame:
+def score(docs: DataFrame, train: Column, head: int = 65536, contexts: int = 4096, burn: int = 2, samples: int = 3, seed: int = 11, id_col: str = "doc_id", text_col: str = "text", bucket_tokens: int = 1_500_000) -> DataFrame:
     """Score all documents by a model learned from the rows where `train` holds (null: not).
 
     Returns id, n_tokens, n_known, train_tokens, base_score (smoothed word counts) and score (the hierarchical model's log10
