@@ -558,7 +558,8 @@ def null_suppress(spark: SparkSession, d: str) -> DataFrame:
 def range_join(spark: SparkSession, d: str) -> DataFrame:
     """Offsets into block ranges: an equi-join on bins of the block's width, then the exact bounds."""
     starts = blocks.layout(load(spark, d, "reviews")).select("key", "start")
-    ranges = spark.range(2000).select(F.col("id").alias("block_id"), (F.col("id") * 65536).alias("low"), ((F.col("id") + 1) * 65536).alias("high"))
+    last = starts.agg(F.max("start")).first()[0]
+    ranges = spark.range(0 if last is None else last // 65536 + 1).select(F.col("id").alias("block_id"), (F.col("id") * 65536).alias("low"), ((F.col("id") + 1) * 65536).alias("high"))
     joined = starts.withColumn("bin", F.floor(F.col("start") / 65536)).join(ranges.withColumn("bin", F.floor(F.col("low") / 65536)), "bin")
     return joined.where("start >= low AND start < high").select("key", "block_id")
 
