@@ -42,7 +42,7 @@ def search_block(queries: np.ndarray, own: np.ndarray, ids: np.ndarray, exact: n
     radius2 = high - low
     dims = np.arange(dim)
     mid, rad = middle2[dims, code].astype(np.float64), radius2[dims, code].astype(np.float64)
-    wide = np.abs(exact).max(initial=0) * np.abs(queries).max(initial=0) * dim >= 2**51
+    wide = float(np.abs(exact).max(initial=0)) * float(np.abs(queries).max(initial=0)) * dim >= 2**51
     for a in range(0, len(queries), 256):
         q = queries[a : a + 256]
         if wide:
@@ -81,18 +81,34 @@ def search_block(queries: np.ndarray, own: np.ndarray, ids: np.ndarray, exact: n
     return np.concatenate(out_q), np.concatenate(out_c), np.concatenate(out_s)
 
 
+def _check_products(rows: DataFrame, every: int) -> None:
+    """Raise where the product of a query and another row of its length may not fit 64 bits (rows: id, dim, norm, at)."""
+    asks = F.pmod("id", F.lit(every)) == 0
+    first = rows.groupBy("dim").agg(F.max(F.struct("norm", "at", asks.alias("asks"))).alias("top"), F.max(F.when(asks, F.col("norm"))).alias("ask")).collect()
+    rest = rows.where(~F.col("at").isin([r.top["at"] for r in first])).groupBy("dim").agg(F.max("norm").alias("norm")).collect()
+    second = {r.dim: r.norm for r in rest}
+    for r in first:
+        other = second.get(r.dim, 0.0) if r.top["asks"] else r.ask
+        if other is not None and not (r.top["norm"] < 2**62 and r.top["norm"] * other < 2**62):
+            raise ValueError(f"inner products of vectors of length {r.dim} may not fit 64 bits")
+
+
 def top_k(vectors: DataFrame, k: int = 20, every: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", scale: int = 64, block_rows: int = 16384, query_rows: int = 1024) -> DataFrame:
     """The `k` highest integer inner products for every row whose id is divisible by `every`, among all other rows.
 
     Components become floor(scale * x); vectors that are null, empty, or hold a null or non-finite component take no part, nor
     do rows with a null id. A query meets only vectors of its own length. Rows are told apart by place, not by id: a repeated
     id is a candidate for its twin, and a repeated query returns its ranks as often as it occurs. Ties go to the smaller id.
-    Returns query_id, rank, vec_id, score. Components must keep products under 2^63.
+    Returns query_id, rank, vec_id, score. Where lengths of vectors that meet do not keep
+    their products under 2^62, a ValueError says so.
     """
     x = F.transform(F.col(vec_col), lambda v: F.floor(F.lit(scale) * v.cast("double")))
-    fine = F.forall(vec_col, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < F.lit(float(2**40))))
+    scaled = F.transform(F.col(vec_col), lambda v: F.floor(F.lit(scale) * v.cast("double")).cast("double"))
+    norm = F.sqrt(F.aggregate(scaled, F.lit(0.0), lambda a, v: a + v * v))
+    fine = F.forall(vec_col, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v.cast("double")) < F.lit(float("inf"))))
     rows = vectors.where(F.col(id_col).isNotNull() & F.col(vec_col).isNotNull()).where(F.size(vec_col) > 0).where(F.coalesce(fine, F.lit(False)))
-    rows = shared.keep(rows.select(F.col(id_col).cast("long").alias("id"), F.size(vec_col).alias("dim"), x.alias("v"), F.monotonically_increasing_id().alias("at")), "vectors")
+    rows = shared.keep(rows.select(F.col(id_col).cast("long").alias("id"), F.size(vec_col).alias("dim"), x.alias("v"), norm.alias("norm"), F.monotonically_increasing_id().alias("at")), "vectors")
+    _check_products(rows, every)
     sizes = {r.dim: (r.n, r.q) for r in rows.groupBy("dim").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.pmod("id", F.lit(every)) == 0).alias("q")).collect()}
     if not any(q for _, q in sizes.values()):
         return rows.select(F.col("id").alias("query_id"), F.lit(1).alias("rank"), F.col("id").alias("vec_id"), F.col("id").alias("score")).where("false")
