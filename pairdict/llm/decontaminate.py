@@ -123,7 +123,7 @@ def benchmark_block(ids: list, texts: list, width: int = 10) -> dict:
         w, inverse = np.unique(np.concatenate([p[0] for p in parts]), axis=0, return_inverse=True)
         pairs = np.unique(np.stack([inverse.ravel(), np.concatenate([p[1] for p in parts])]), axis=1)
         groups.append((w, np.searchsorted(pairs[0], np.arange(len(w) + 1)), pairs[1]))
-    return {"ids": [str(i) for i in ids], "vocab": vocab, "groups": groups, "shortest": min((g[0].shape[1] for g in groups), default=0)}
+    return {"ids": [None if i is None else str(i) for i in ids], "vocab": vocab, "groups": groups, "shortest": min((g[0].shape[1] for g in groups), default=0)}
 
 
 def _hits(hashes: np.ndarray, doc: np.ndarray, n_docs: int, block: dict):
@@ -197,18 +197,18 @@ def _scan(texts: pa.Array, blocks: list):
                 d = int(doc[x])
                 spans.setdefault(d, []).append((int(start[x] - offs[d]), int(end[y] - offs[d])))
         for d in range(b - a):
-            yield int(n_words[d]), int(n_hit[d]), sorted(names.get(d, ())), spans.get(d, []), buf[offs[d] : offs[d + 1]]
+            yield int(n_words[d]), int(n_hit[d]), sorted(names.get(d, set()) - {None}), spans.get(d, []), buf[offs[d] : offs[d + 1]]
 
 
 def load_benchmark(benchmark: DataFrame, width: int, id_col: str, text_col: str, block_bytes: int) -> list:
     """Broadcast blocks of at most about `block_bytes` of item text each: a larger benchmark makes more blocks, not larger ones."""
     sc = benchmark.sparkSession.sparkContext
-    items = benchmark.select(F.col(id_col).cast("string").alias("i"), F.col(text_col).alias("t")).where(F.col("t").isNotNull() & F.col("i").isNotNull())
+    items = benchmark.select(F.col(id_col).cast("string").alias("i"), F.col(text_col).alias("t")).where(F.col("t").isNotNull())
     total = items.agg(F.sum(F.octet_length("t"))).first()[0] or 0
     n = -(-total // block_bytes) or 1
     blocks = []
     for k in range(n):
-        rows = items.where(F.pmod(F.xxhash64("i"), F.lit(n)) == k).collect()
+        rows = items.where(F.pmod(F.xxhash64(F.coalesce("i", "t")), F.lit(n)) == k).collect()
         blocks.append(sc.broadcast(benchmark_block([r.i for r in rows], [r.t for r in rows], width)))
     return blocks
 
@@ -220,7 +220,7 @@ def scan(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: str = "
     words of an item, or the whole of a shorter one. Returns id, n_words, n_hit (words inside any occurrence), n_items,
     items (names, sorted as text), spans (byte offsets of merged removal spans), text (without those spans; null stays null)
     and `extra`. Null and empty texts have no words; items without words match nothing; items that repeat an id are one
-    item; repeated documents give repeated rows. Words are compared by 64 bits of hash.
+    item; items without an id are matched like any other but have no name and so no place in n_items and items; repeated documents give repeated rows. Words are compared by 64 bits of hash.
     """
     blocks = load_benchmark(benchmark, width, item_col, item_text_col, block_bytes)
     extra = extra or []
