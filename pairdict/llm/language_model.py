@@ -1,9 +1,12 @@
 """Hierarchical Pitman-Yor language model: seating sampled by Gibbs sweeps over hash buckets of word pairs.
 
-Each of the `contexts` most frequent words (and the start of a text) has a restaurant of its own; what follows any other
-word is drawn from their common parent, the word restaurant, whose base is uniform over the known words and one unknown.
-All customers are counted; only the frequent words' totals (a fixed number) travel to the driver and back. Words are 64-bit
-hashes. A bucket holds all occurrences of its word pairs, so a sweep and the scoring are narrow maps over the same files.
+Every word seen in training, and the start of a text, has a restaurant for what follows it; all share one parent, the word
+restaurant, whose base is uniform over the known words and one unknown. Words are 64-bit hashes. Totals of the most frequent
+words' restaurants (their number has a bound) travel to the driver and back; a rarer word's pairs meet in the bucket of that
+word, as a context and as a dish, so its totals stay there. A sweep and the scoring are narrow maps over the same files.
+Pairs of two rare words keep one table each (`frame_of` chooses the frequent words so that a second one is rarer than 1 in
+1,000) and are scored when what both words' buckets know of them has met. Pairs that make up a notable share of all tokens
+are kept without the places they stand at, so that no bucket gathers them.
 """
 
 from __future__ import annotations
@@ -20,8 +23,9 @@ from pyspark.sql import functions as F
 from . import shared
 
 END = shared.hash_words([b" end"])[0]  # holds a space, as no word does
-TAIL = np.uint64(1 << 63)
+TAIL = np.uint64(1 << 63)  # marks the code of a rare word: its hash with this bit set; a frequent word's code is its number
 STIRLING = 256
+CODE_BITS = 21
 _I64 = np.int64
 
 
@@ -83,31 +87,36 @@ def stirling(d: float, most: int = STIRLING) -> np.ndarray:
     return s
 
 
-def seat(count: np.ndarray, open_: np.ndarray, d: float, table: np.ndarray, rng: np.random.Generator) -> np.ndarray:
-    """Gibbs draw of the number of tables of each dish given its customers.
+def seat(count: np.ndarray, rest: np.ndarray, p: np.ndarray, d: float, table: np.ndarray | None, rng: np.random.Generator) -> np.ndarray:
+    """Gibbs draw of the number of tables of each dish given its customers and the other dishes' tables.
 
-    open_: (strength + discount x tables of the restaurant) x the parent's probability of the dish. Up to STIRLING customers
-    the draw is from the full conditional; further customers of a dish sit down in growing parties, at the rates in force
-    when the party comes in.
+    rest: strength + discount x tables of the other dishes, as of the last sweep; p: the parent's probability of the dish. The
+    t-th table opens at the rate (rest + discount x (t - 1)) x p. Up to STIRLING customers the draw is from the full
+    conditional; further customers of a dish sit down in growing parties, at the rates in force when the party comes in.
+    Without a table of Stirling numbers every dish has one table.
     """
     t = np.minimum(count, 1).astype(_I64)
+    if table is None:
+        return t
     small = np.minimum(count, STIRLING)
-    log_open = np.log(np.maximum(open_, 1e-300))
+    log_p = np.log(np.maximum(p, 1e-300))
     many = np.flatnonzero(small > 1)
     many = many[np.argsort(small[many], kind="stable")]
     cuts = np.flatnonzero(np.diff(small[many])) + 1
     for group in np.split(many, cuts) if len(many) else []:
         c = int(small[group[0]])
         for part in np.array_split(group, -(-len(group) * c // 1_000_000)):
-            w = table[c, 1 : c + 1] + np.arange(1, c + 1) * log_open[part, None]
+            w = np.log(rest[part, None] + d * np.arange(c))
+            w += log_p[part, None]
+            w = w.cumsum(1) + table[c, 1 : c + 1]
             w = np.exp(w - w.max(1, keepdims=True)).cumsum(1)
             t[part] = 1 + (w < rng.random(len(part))[:, None] * w[:, -1:]).sum(1)
     big = np.flatnonzero(count > STIRLING)
     n = np.full(len(big), STIRLING, _I64)
     while len(big):
         party = np.minimum(n // 4, count[big] - n)
-        rate = open_[big] / (open_[big] + n - d * t[big])
-        t[big] += rng.binomial(party, np.clip(rate, 0, 1))
+        open_ = (rest[big] + d * t[big]) * p[big]
+        t[big] += rng.binomial(party, np.clip(open_ / (open_ + n - d * t[big]), 0, 1))
         n += party
         more = n < count[big]
         big, n = big[more], n[more]
@@ -118,14 +127,15 @@ def seat(count: np.ndarray, open_: np.ndarray, d: float, table: np.ndarray, rng:
 
 
 class Frame:
-    """What stays fixed through the sweeps: frequent words (sorted hashes), their counts and contexts, and totals."""
+    """What stays fixed through the sweeps: frequent words (sorted hashes), their counts, totals, discounts and strengths.
 
-    def __init__(self, hashes, counts, n, v, contexts, d_root, strength=5.0, root_strength=50.0):
+    A frequent word's number is its place among the hashes, as a dish and as a context; `start` is the context of first words.
+    """
+
+    def __init__(self, hashes, counts, n, v, d_root, strength=5.0, root_strength=50.0):
         order = np.argsort(hashes)
         self.hashes, self.counts, self.n, self.v = hashes[order], counts[order], n, v
-        rank = np.argsort(np.lexsort((self.hashes, -self.counts)))
-        self.rare, self.start = contexts, contexts + 1
-        self.context = np.where((rank < contexts) & (self.hashes != END), rank, contexts).astype(np.uint16)
+        self.start = len(hashes)
         self.d_root, self.strength, self.root_strength, self.d = d_root, strength, root_strength, 0.75
 
     def word_ids(self, h: np.ndarray) -> np.ndarray:
@@ -135,17 +145,34 @@ class Frame:
         at = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
         return np.where(self.hashes[at] == h, at, -1)
 
-    def contexts_of(self, ids: np.ndarray, doc: np.ndarray) -> np.ndarray:
-        u = np.full(len(ids), self.rare, np.uint16)
-        before = np.where(ids[:-1] >= 0, self.context[ids[:-1]] if len(self.context) else self.rare, self.rare)
-        u[1:] = np.where(doc[1:] == doc[:-1], before, self.start)
-        if len(u):
-            u[0] = self.start
-        return u
+    def codes(self, h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Codes of the words and of their contexts."""
+        ids = self.word_ids(h)
+        w = np.where(ids >= 0, ids.astype(np.uint64), h | TAIL)
+        u = np.full(len(w), self.start, np.uint64)
+        u[1:] = np.where(doc[1:] == doc[:-1], w[:-1], np.uint64(self.start))
+        return w, u
+
+
+def pair_code(w: np.ndarray, u: np.ndarray) -> np.ndarray:
+    """One number for a pair of frequent words."""
+    return (w << np.uint64(CODE_BITS)) | u
+
+
+def places(code: np.ndarray, buckets: int) -> np.ndarray:
+    return shared.mix(code ^ np.uint64(0x9E3779B97F4A7C15)) % np.uint64(buckets)
+
+
+def found(sorted_: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """Place of each x in a sorted array, or -1."""
+    if not len(sorted_):
+        return np.full(len(x), -1)
+    at = np.minimum(np.searchsorted(sorted_, x), len(sorted_) - 1)
+    return np.where(sorted_[at] == x, at, -1)
 
 
 class State:
-    """One sample: tables of each context, probability of each frequent word in the parent, totals of the parent."""
+    """One sample: tables of each frequent context, probability of each frequent word in the parent, totals of the parent."""
 
     def __init__(self, tables, head_p, customers, tables_root):
         self.tables, self.head_p, self.customers, self.tables_root = tables, head_p, customers, tables_root
@@ -154,66 +181,101 @@ class State:
         return (frame.root_strength + frame.d_root * self.tables_root) / (frame.root_strength + self.customers) / (frame.v + 1)
 
 
+def runs(*columns: np.ndarray) -> np.ndarray:
+    """Where runs of equal rows begin."""
+    new = np.ones(len(columns[0]), bool)
+    if len(new):
+        new[1:] = np.any([c[1:] != c[:-1] for c in columns], axis=0)
+    return np.flatnonzero(new)
+
+
 def merge_bucket(blobs) -> bytes:
-    """One bucket's occurrences, sorted by word and context: pairs, how many documents each has, and the documents' places.
+    """One bucket's occurrences, sorted by word and context: pairs, how many documents each has, and the documents' places;
+    then the pairs that come without places.
 
     blobs: (batch of documents, payload). A document's place is the number of its batch here x 2^24 + its row there.
     """
-    parts, batches, trains = [], [], []
+    parts, bare, batches = [], [], []
     for number, raw in blobs:
-        w, u, per, doc, n, train = unpack(raw)
+        w, u, per, doc, n, train, *rest = unpack(raw)
         parts.append((np.repeat(np.cumsum(w), per), np.repeat(u, per), (doc.astype(_I64) << 1 | train) + (len(batches) << 25), n.astype(_I64)))
+        bare.append((np.cumsum(rest[0]), rest[1], rest[2].astype(_I64)))
         batches.append(number)
     w, u, doc, n = (np.concatenate(x) for x in zip(*parts, strict=True))
     order = np.lexsort((doc, u, w))
     w, u, doc, n = w[order], u[order], doc[order], n[order]
-    first = np.flatnonzero(np.concatenate([[True], (w[1:] != w[:-1]) | (u[1:] != u[:-1])]))
-    count = np.add.reduceat(n * (doc & 1), first)
-    return pack(np.diff(w[first], prepend=np.uint64(0)), u[first].astype(np.uint16), least_type(count), least_type(np.diff(np.append(first, len(w)))), least_type(doc >> 1), least_type(n), np.array(batches, _I64))
+    first = runs(w, u)
+    count = np.add.reduceat(n * (doc & 1), first) if len(first) else n
+    bw, bu, bc = (np.concatenate(x) for x in zip(*bare, strict=True))
+    order = np.lexsort((bu, bw))
+    bw, bu, bc = bw[order], bu[order], bc[order]
+    at = runs(bw, bu)
+    bc = np.add.reduceat(bc, at) if len(at) else bc
+    step = lambda x: np.diff(x, prepend=np.uint64(0))
+    return pack(
+        step(w[first]), u[first], least_type(count), least_type(np.diff(np.append(first, len(w)))), least_type(doc >> 1), least_type(n), np.array(batches, _I64),
+        step(bw[at]), bu[at], least_type(bc),
+    )
 
 
 class Bucket:
+    """The pairs of a bucket. Those of a rare word w lie in w's bucket; those of a rare context and a frequent word in the
+    context's; pairs of two rare words in w's, with their places, and once more, without, in the context's (`copy`)."""
+
     def __init__(self, raw: bytes):
-        w, self.u, count, self.per, self.doc, self.n, self.batches = unpack(raw)
-        self.w, self.count = np.cumsum(w), count.astype(_I64)
-        self.head = self.w < TAIL
+        w, u, count, self.per, self.doc, self.n, self.batches, bw, bu, bc = unpack(raw)
+        self.placed = len(w)
+        self.w, self.u = np.concatenate([np.cumsum(w), np.cumsum(bw)]), np.concatenate([u, bu])
+        self.count = np.concatenate([count.astype(_I64), bc.astype(_I64)])
+        self.head, self.head_u = self.w < TAIL, self.u < TAIL
+        bare = np.arange(len(self.w)) >= self.placed
+        self.copy = bare & ~self.head & ~self.head_u
+        self.hot = np.flatnonzero(bare & self.head)
+        self.both_rare = np.flatnonzero(~bare & ~self.head & ~self.head_u)
         self.word = np.where(self.head, self.w, 0).astype(_I64)
-        tail = np.flatnonzero(~self.head)  # sorted by word
-        self.tail = tail
-        self.tail_words, self.tail_of = np.unique(self.w[tail], return_inverse=True)
+        self.context = np.where(self.head_u, self.u, 0).astype(_I64)
+        self.tail = np.flatnonzero(~self.head & ~self.copy)
+        self.tail_words, self.tail_of = np.unique(self.w[self.tail], return_inverse=True)
+        self.rare_u = np.flatnonzero(~self.head_u & (self.head | self.copy))
+        names, self.rare_of = np.unique(self.u[self.rare_u], return_inverse=True)
+        self.rare_customers = np.bincount(self.rare_of, self.count[self.rare_u], len(names)).astype(_I64)
 
     def tail_count(self) -> np.ndarray:
         return np.bincount(self.tail_of, self.count[self.tail], len(self.tail_words)).astype(_I64)
 
+    def rare_tables(self, t: np.ndarray) -> np.ndarray:
+        return np.bincount(self.rare_of, t[self.rare_u], len(self.rare_customers)).astype(_I64)
+
     def sweep(self, frame: Frame, state: State, table, root_table, rng):
         """Tables of each pair, and for the rare words the customers and tables in the parent."""
-        own = self.u != frame.rare
         t = np.minimum(self.count, 1)
-        strength = frame.strength + frame.d * state.tables[self.u]
-        on = np.flatnonzero(self.head & (self.count > 1))
-        t[on] = seat(self.count[on], strength[on] * state.head_p[self.word[on]], frame.d, table, rng)
-        direct = ~own[self.tail]
-        for again in range(2):  # rare words: their parent's customers lie in this bucket, so they are swept to and fro here
-            sent = np.where(direct, self.count[self.tail], t[self.tail])
-            customers = np.bincount(self.tail_of, sent, len(self.tail_words)).astype(_I64)
-            root_open = np.full(len(customers), (frame.root_strength + frame.d_root * state.tables_root) / (frame.v + 1))
-            tables_root = seat(customers, root_open, frame.d_root, root_table, rng)
+        rest = frame.strength + frame.d * np.maximum(state.tables[self.context] - 1, 0)
+        on = np.flatnonzero(self.head & self.head_u & (self.count > 1))
+        t[on] = seat(self.count[on], rest[on], state.head_p[self.word[on]], frame.d, table, rng)
+        at = np.flatnonzero(self.head[self.rare_u] & (self.count[self.rare_u] > 1))
+        on = self.rare_u[at]
+        for _ in range(2 if len(on) else 0):  # all pairs of a rare context lie here, so they are swept to and fro here
+            others = np.maximum(self.rare_tables(t)[self.rare_of[at]] - t[on], 0)
+            t[on] = seat(self.count[on], frame.strength + frame.d * others, state.head_p[self.word[on]], frame.d, table, rng)
+        own = self.head_u[self.tail]
+        for again in range(2):  # and so do the parent's customers of a rare word
+            customers = np.bincount(self.tail_of, t[self.tail], len(self.tail_words)).astype(_I64)
+            root_rest = np.full(len(customers), frame.root_strength + frame.d_root * max(0, state.tables_root - 1))
+            tables_root = seat(customers, root_rest, np.full(len(customers), 1 / (frame.v + 1)), frame.d_root, root_table, rng)
             if again:
                 break
             p = np.maximum(customers - frame.d_root * tables_root, 0) / (frame.root_strength + state.customers) + state.root_new(frame)
-            on = np.flatnonzero(~direct & (self.count[self.tail] > 1))
+            on = np.flatnonzero(own & (self.count[self.tail] > 1))
             k = self.tail[on]
-            t[k] = seat(self.count[k], strength[k] * p[self.tail_of[on]], frame.d, table, rng)
+            t[k] = seat(self.count[k], rest[k], p[self.tail_of[on]], frame.d, table, rng)
         return t, customers, tables_root
 
     def sums(self, frame: Frame, t, customers, tables_root, width: int):
-        """What a sweep adds to the totals: by context, by frequent word, and for the rare words together."""
+        """What a sweep adds to the totals: by frequent context, by frequent word, and for the rare words together."""
         out = np.zeros(width, _I64)
-        own = self.u != frame.rare
         c = frame.start + 1
-        out[:c] += np.bincount(self.u[own], t[own], c).astype(_I64)
-        k = self.head
-        out[c : c + len(frame.hashes)] += np.bincount(self.word[k], t[k], len(frame.hashes)).astype(_I64)
+        out[:c] += np.bincount(self.context[self.head_u], t[self.head_u], c).astype(_I64)
+        out[c : c + frame.start] += np.bincount(self.word[self.head], t[self.head], frame.start).astype(_I64)
         out[-2] += int(customers.sum())
         out[-1] += int(tables_root.sum())
         return out
@@ -275,51 +337,107 @@ def count_words(docs: DataFrame, text_col: str) -> DataFrame:
     return docs.select(text_col).mapInArrow(run, "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
 
 
-def frame_of(words: DataFrame, head: int, contexts: int) -> Frame:
-    """Totals and the frequent words: as many as fit into `head` when words of equal frequency class go together."""
+def frame_of(words: DataFrame, head: int, most: int = 1 << 20) -> Frame:
+    """Totals and the frequent words: as many as fit into `head` when words of equal frequency class go together.
+
+    Further classes join them, up to `most` words, while a word and a context left out could share a second table with odds
+    over 1 in 1,000 (their rate is at most (strength + tables of the context) x the share of the word).
+    """
     level = F.floor(F.log2("c") * 8)
     classes = words.groupBy(level.alias("level")).agg(F.count(F.lit(1)).alias("n"), F.sum("c").alias("s")).collect()
     n, v = sum(r.s for r in classes), sum(r.n for r in classes)
     got, cut = 0, None
     for r in sorted(classes, key=lambda r: -r.level):
-        if got + r.n > head:
+        top = 2 ** ((r.level + 1) / 8)
+        if got + r.n > (most if head and (5 + top) * top / n > 0.001 else head):
             break
         got, cut = got + r.n, r.level
     few = {r.c: r.n for r in words.where("c <= 2").groupBy("c").agg(F.count(F.lit(1)).alias("n")).collect()}
     d = few.get(1, 0) / max(1, few.get(1, 0) + 2 * few.get(2, 0))
     rows = words.where(level >= cut).collect() if cut is not None else []
     hashes = np.array([r.h for r in rows], _I64).view(np.uint64)
-    return Frame(hashes, np.array([r.c for r in rows], _I64), int(n), int(v), contexts, min(0.95, max(0.1, d)))
+    return Frame(hashes, np.array([r.c for r in rows], _I64), int(n), int(v), min(0.95, max(0.1, d)))
+
+
+def hot_pairs(rows: DataFrame, frame, n: int, bucket_tokens: int, least: int, sample: int = 20_000_000) -> np.ndarray:
+    """Codes of pairs of frequent words that look like a notable share of all tokens, by a bounded sample of documents.
+
+    They only decide which pairs travel without places: any answer gives the same scores. At most 2 / share of them.
+    """
+    share = min(1e-4, max(1e-6, bucket_tokens / 8 / max(1, n)))
+    parts = max(1, -(-n // int(min(sample, 1000 / share))))
+
+    def run(batches):
+        held, size, kept = [], 0, None
+        for batch in batches:
+            for _, _, h, doc in tokens(batch.column(0)):
+                w, u = frame.value.codes(h, doc)
+                held.append(pair_code(w, u)[(w < TAIL) & (u < TAIL)])
+                size += len(h)
+                if sum(map(len, held)) > 2_000_000:
+                    kept = joined(kept, held)
+                    held = []
+        codes, counts = joined(kept, held)
+        on = counts > share * size / 8
+        yield pa.RecordBatch.from_arrays([pa.array(codes[on].view(_I64)), pa.array(counts[on])], ["code", "n"])
+
+    def joined(kept, held):
+        codes, counts = np.unique(np.concatenate([np.zeros(0, np.uint64), *held]), return_counts=True)
+        if kept is None:
+            return codes, counts.astype(_I64)
+        both, at = np.unique(np.concatenate([kept[0], codes]), return_inverse=True)
+        return both, np.bincount(at, np.concatenate([kept[1], counts]), len(both)).astype(_I64)
+
+    few = rows.where(F.pmod("ref", F.lit(parts)) == 0).select("text")
+    got = few.mapInArrow(run, "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).where(F.col("n") >= max(least, share * n / parts / 2)).select("code").collect()
+    return np.sort(np.array([r.code for r in got], _I64).view(np.uint64))
 
 
 DOCUMENTS = -1  # the bucket number of rows that name a batch's documents
 
 
-def occurrences(rows: DataFrame, frame, buckets: int, flush: int = 1_000_000) -> DataFrame:
+def occurrences(rows: DataFrame, frame, hot, buckets: int, flush: int = 800_000) -> DataFrame:
     """(bucket, batch, payload): for each bucket its word pairs with the documents they stand in, and for each batch of
-    documents (what a task holds at a time) their refs. Pairs of a frequent word with a rare context need no bucket; pairs of a
-    rare word meet by word, the others by pair."""
-
-    def blobs(batch, h, u, ids, doc, ref, train):
-        f = frame.value
-        on = np.flatnonzero((ids < 0) | (u != f.rare))
-        h, u, ids, doc = h[on], u[on], ids[on], doc[on]
-        place = shared.mix(np.where(ids >= 0, (ids.astype(np.uint64) << np.uint64(16)) + u.astype(np.uint64), h) ^ np.uint64(0x9E3779B97F4A7C15)) % np.uint64(buckets)
-        # inside a bucket 48 bits tell rare words apart
-        w = np.where(ids >= 0, ids.astype(np.uint64), (h & np.uint64((1 << 48) - 1)) | TAIL)
+    documents (what a task holds at a time) their refs. Pairs of a rare word meet by word, other pairs of a rare context by
+    context, the rest by pair."""
+
+    def grouped(place, w, u, n):
+        """Equal pairs of a place become one."""
+        order = np.lexsort((u, w, place))
+        place, w, u, n = place[order], w[order], u[order], n[order]
+        at = runs(place, w, u)
+        return place[at], w[at], u[at], np.add.reduceat(n, at) if len(at) else n
+
+    def blobs(batch, h, w, u, doc, ref, train):
+        rare_w, rare_u = w >= TAIL, u >= TAIL
+        code = pair_code(np.where(rare_w, 0, w), np.where(rare_u, 0, u))
+        place = places(np.where(rare_w, w, np.where(rare_u, u, code)), buckets).astype(np.int32)
+        weight = train[doc].astype(_I64)
+        bare = np.flatnonzero(~rare_w & ~rare_u & (found(hot.value, code) >= 0))
+        both = np.flatnonzero(rare_w & rare_u)
+        copies = places(u[both], buckets).astype(np.int32)
+        free = grouped(np.concatenate([place[bare], copies]), np.concatenate([w[bare], w[both]]), np.concatenate([u[bare], u[both]]), np.concatenate([weight[bare], weight[both]]))
+        on = np.ones(len(w), bool)
+        on[bare] = False
+        del code, weight, rare_w, rare_u
+        place, w, u, doc = place[on], w[on], u[on], doc[on].astype(np.int32)
         order = np.lexsort((doc, u, w, place))
         place, w, u, doc = place[order], w[order], u[order], doc[order]
-        some = np.ones(min(1, len(w)), bool)
-        new = np.concatenate([some, (w[1:] != w[:-1]) | (u[1:] != u[:-1]) | (place[1:] != place[:-1])])
-        at = np.flatnonzero(new | np.concatenate([some, doc[1:] != doc[:-1]]))
+        at = runs(place, w, u, doc)
         n = np.diff(np.append(at, len(w)))
-        place, w, u, doc, new = place[at], w[at], u[at], doc[at], new[at]
-        edge = np.flatnonzero(np.concatenate([some, place[1:] != place[:-1]]))
+        place, w, u, doc = place[at], w[at], u[at], doc[at]
+        new = np.zeros(len(w), bool)
+        new[runs(place, w, u)] = True
         number, out = [DOCUMENTS], [pack(ref)]
-        for x, y in zip(edge.tolist(), np.append(edge[1:], len(w)).tolist(), strict=True):
+        wanted = np.union1d(place, free[0])
+        edge, edge_free = ((np.searchsorted(x, wanted), np.searchsorted(x, wanted, "right")) for x in (place, free[0]))
+        for k, x, y, i, j in zip(wanted.tolist(), *(e.tolist() for e in (*edge, *edge_free)), strict=True):
             first = np.flatnonzero(new[x:y])
-            number.append(int(place[x]))
-            out.append(pack(np.diff(w[x:y][first], prepend=np.uint64(0)), u[x:y][first], least_type(np.diff(np.append(first, y - x))), least_type(doc[x:y]), least_type(n[x:y]), train[doc[x:y]]))
+            number.append(k)
+            out.append(pack(
+                np.diff(w[x:y][first], prepend=np.uint64(0)), u[x:y][first], least_type(np.diff(np.append(first, y - x))), least_type(doc[x:y]), least_type(n[x:y]), train[doc[x:y]],
+                np.diff(free[1][i:j], prepend=np.uint64(0)), free[2][i:j], least_type(free[3][i:j]),
+            ))
         return pa.RecordBatch.from_arrays([pa.array(number, pa.int32()), pa.array([batch] * len(number), pa.int64()), pa.array(out, pa.binary())], ["bucket", "batch", "payload"])
 
     def run(batches):
@@ -328,12 +446,13 @@ def occurrences(rows: DataFrame, frame, buckets: int, flush: int = 1_000_000) ->
         for batch in batches:
             ref, train = batch.column(0).to_numpy(), batch.column(1).to_numpy(zero_copy_only=False).astype(np.uint8)
             for a, n, h, doc in tokens(batch.column(2)):
-                ids = f.word_ids(h)
-                held.append((h, f.contexts_of(ids, doc), ids, doc + docs_held, ref[a : a + n], train[a : a + n]))
+                held.append((h[:0], *f.codes(h, doc), doc + docs_held, ref[a : a + n], train[a : a + n]))
                 size, docs_held = size + len(h), docs_held + n
                 if size >= flush:
-                    yield blobs(name, *(np.concatenate(x) for x in zip(*held, strict=True)))
-                    held, size, docs_held, name = [], 0, 0, name + 1
+                    joined = [np.concatenate(x) for x in zip(*held, strict=True)]
+                    held = []
+                    yield blobs(name, *joined)
+                    size, docs_held, name = 0, 0, name + 1
         if held:
             yield blobs(name, *(np.concatenate(x) for x in zip(*held, strict=True)))
 
@@ -353,25 +472,23 @@ def occurrences(rows: DataFrame, frame, buckets: int, flush: int = 1_000_000) ->
 class Chain:
     """The Gibbs chain: every sweep is one job over the buckets; its totals make the next state."""
 
-    def __init__(self, kept: DataFrame, frame: Frame, seed: int):
+    def __init__(self, kept: DataFrame, frame: Frame, seed: int, sampled: bool = True):
         self.kept, self.frame, self.seed = kept, frame, seed
-        self.width = frame.start + 1 + len(frame.hashes) + 2
-        c, width = frame.start + 1, self.width
+        c = frame.start + 1
+        self.width = width = c + frame.start + 2
 
         def first(number, b):
-            out = np.zeros(width + c + 2, _I64)
-            out[:width] = b.sums(frame, b.count, np.zeros(0, _I64), np.zeros(0, _I64), width)  # customers by context, by word
-            own = b.u != frame.rare
-            out[width : width + c] = np.bincount(b.u[own], (b.count[own] > 0), c).astype(_I64)
-            out[-2:] = (b.count[own] == 1).sum(), (b.count[own] == 2).sum()
+            out = np.zeros(2 * c + 2, _I64)
+            out[:c] = np.bincount(b.context[b.head_u], b.count[b.head_u], c).astype(_I64)
+            out[c : 2 * c] = np.bincount(b.context[b.head_u], b.count[b.head_u] > 0, c).astype(_I64)
+            out[-2:] = (b.count[~b.copy] == 1).sum(), (b.count[~b.copy] == 2).sum()
             return out
 
-        got = _totals(kept, first, width + c + 2)
-        self.customers, self.direct = got[:c], frame.counts - got[c : c + len(frame.hashes)]
+        got = _totals(kept, first, 2 * c + 2)
+        self.customers = got[:c]
         frame.d = float(min(0.95, max(0.1, got[-2] / max(1, got[-2] + 2 * got[-1]))))
-        self.table, self.root_table = stirling(frame.d), stirling(frame.d_root)
-        p = frame.counts / max(1, frame.n)
-        self.state = State(got[width : width + c], p, frame.n, frame.v)
+        self.table, self.root_table = (stirling(frame.d), stirling(frame.d_root)) if sampled else (None, None)
+        self.state = State(got[c : 2 * c], frame.counts / max(1, frame.n), frame.n, frame.v)
         self.samples: list[tuple[State, State, int]] = []
 
     def sweep(self, number: int, sample: bool) -> None:
@@ -384,10 +501,9 @@ class Chain:
 
         got = _totals(self.kept, work, width)
         c = frame.start + 1
-        customers = self.direct + got[c : c + len(frame.hashes)]
-        rng = shared.session_seed(seed, number)
-        root_open = np.full(len(customers), (frame.root_strength + frame.d_root * state.tables_root) / (frame.v + 1))
-        tables = seat(customers, root_open, frame.d_root, root_table, rng)
+        customers = got[c : c + frame.start]
+        root_rest = np.full(len(customers), frame.root_strength + frame.d_root * max(0, state.tables_root - 1))
+        tables = seat(customers, root_rest, np.full(len(customers), 1 / (frame.v + 1)), frame.d_root, root_table, shared.session_seed(seed, number))
         n, t = int(customers.sum() + got[-2]), int(tables.sum() + got[-1])
         new = State(got[:c], None, n, t)
         new.head_p = (customers - frame.d_root * tables) / (frame.root_strength + n) + new.root_new(frame)
@@ -396,91 +512,160 @@ class Chain:
         self.state = new
         held.unpersist()
 
-    def pair_scores(self, bucket: int, b: Bucket) -> np.ndarray:
-        """log10 of each pair's predictive probability, averaged over the samples."""
-        frame, total = self.frame, np.zeros(len(b.w))
-        own = b.u != frame.rare
+    def pair_scores(self, bucket: int, b: Bucket) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """log10 of each pair's predictive probability, averaged over the samples; and, a row for each sample, the parent's
+        probability of each pair of two rare words and what each copy's context leaves for the parent."""
+        frame, total, rare, left = self.frame, np.zeros(len(b.w)), [], []
+        all_ = frame.strength + self.customers[b.context].astype(float)
+        all_[b.rare_u] = frame.strength + b.rare_customers[b.rare_of]
         for before, after, number in self.samples:
             t, customers, tables_root = b.sweep(frame, before, self.table, self.root_table, shared.session_seed(self.seed, number, bucket))
-            p = np.empty(len(b.w))
+            p = np.zeros(len(b.w))
             p[b.head] = after.head_p[b.word[b.head]]
-            rare = np.maximum(customers - frame.d_root * tables_root, 0) / (frame.root_strength + after.customers) + after.root_new(frame)
-            p[b.tail] = rare[b.tail_of]
-            all_ = frame.strength + self.customers[b.u]
-            here = (b.count - frame.d * t) / all_ + (frame.strength + frame.d * after.tables[b.u]) / all_ * p
-            total += np.where(own, here, p)
-        return np.log10(total / len(self.samples))
-
-    def head_scores(self) -> np.ndarray:
-        return np.log10(sum(after.head_p for _, after, _ in self.samples) / len(self.samples)) if len(self.frame.hashes) else np.zeros(0)
-
-
-def score(docs: DataFrame, train: Column, head: int = 65536, contexts: int = 4096, burn: int = 2, samples: int = 3, seed: int = 11, id_col: str = "doc_id", text_col: str = "text", bucket_tokens: int = 1_500_000) -> DataFrame:
+            p[b.tail] = (np.maximum(customers - frame.d_root * tables_root, 0) / (frame.root_strength + after.customers) + after.root_new(frame))[b.tail_of]
+            tables = after.tables[b.context]
+            tables[b.rare_u] = b.rare_tables(t)[b.rare_of]
+            passed = (frame.strength + frame.d * tables) / all_
+            total += (b.count - frame.d * t) / all_ + passed * p
+            rare.append(p[b.both_rare])
+            left.append(passed[b.copy])
+        return np.log10(np.maximum(total / len(self.samples), 1e-300)), np.array(rare), np.array([*left, 1 / all_[b.copy]])
+
+
+def by_batch(batches: np.ndarray, at: np.ndarray, place: np.ndarray, lm: np.ndarray, known: np.ndarray, base: np.ndarray) -> pa.RecordBatch:
+    """Sums of each batch of documents: rows there, then what they add to known, base and score."""
+    size = len(place)
+    lm = np.bincount(at, lm, size).astype(np.float32)
+    known = np.bincount(at, known, size).astype(_I64)
+    base = np.bincount(at, base, size).astype(np.float64)
+    edge = np.searchsorted(place >> 24, np.arange(len(batches) + 1))
+    out = []
+    for x, y in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+        row = place[x:y] & ((1 << 24) - 1)
+        has = np.flatnonzero(base[x:y])
+        out.append(pack(np.diff(row, prepend=0).astype(np.uint32), lm[x:y], least_type(np.diff(has, prepend=0)), least_type(known[x:y][has]), base[x:y][has]))
+    return pa.RecordBatch.from_arrays([pa.array([SUMS] * len(out), pa.int32()), pa.array(batches), pa.array(out, pa.binary())], ["kind", "target", "payload"])
+
+
+SUMS, STANDING, LEFT = 0, 1, 2
+
+
+def score(
+    docs: DataFrame, train: Column, head: int = 65536, burn: int = 2, samples: int = 3, seed: int = 11, id_col: str = "doc_id", text_col: str = "text",
+    bucket_tokens: int = 1_500_000, hot: int = 512, seating: str = "sampled",
+) -> DataFrame:
     """Score all documents by a model learned from the rows where `train` holds (null: not).
 
     Returns id, n_tokens, n_known, train_tokens, base_score (smoothed word counts) and score (the hierarchical model's log10
     probability of the text and its end; the seating is sampled, predictive probabilities are averaged over `samples` sweeps
     after `burn`). Null and empty texts are one token, the end. Rows that repeat an id and text get equal scores. With no
-    training rows every word is unknown. An empty table gives an empty result.
-    """
+    training rows every word is unknown. An empty table gives an empty result. `head` words at least have their totals on the
+    driver, pairs seen `hot` times or more in a sample may travel without places; neither changes the model.
+    seating="single" seats every dish at one table (interpolated Kneser-Ney) in place of the sampler.
+    """
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).alias("id"), F.xxhash64(F.col(id_col), F.col(text_col)).alias("ref"), F.coalesce(train, F.lit(False)).alias("train"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     words = shared.keep(count_words(rows.where("train"), "text"), "words")
-    frame = frame_of(words, head, contexts)
-    # at most `head` hashes and counts: a bound that does not grow with the data
+    frame = frame_of(words, head)
+    shared.forget(words)
+    # hashes and counts of frequent words, and codes of hot pairs: both bounded
     held = spark.sparkContext.broadcast(frame)
+    hot_codes = hot_pairs(rows, held, frame.n, bucket_tokens, hot)
+    hot_held = spark.sparkContext.broadcast(hot_codes)
     buckets = max(64, -(-frame.n // bucket_tokens))
-    both = shared.keep(occurrences(rows, held, buckets), "pairs")
+    both = shared.keep(occurrences(rows, held, hot_held, buckets), "pairs")
     kept, names = both.where(F.col("bucket") != DOCUMENTS), both.where(F.col("bucket") == DOCUMENTS).select("batch", "payload")
-    chain = Chain(kept, frame, seed)
+    chain = Chain(kept, frame, seed, {"sampled": True, "single": False}[seating])
     for k in range(burn + samples):
         chain.sweep(k, k >= burn)
-    n, v, head_scores = frame.n, frame.v, chain.head_scores()
+    n, v = frame.n, frame.v
     kept, chain.kept = chain.kept, None
-    models = spark.sparkContext.broadcast((chain, head_scores))
+    models = spark.sparkContext.broadcast(chain)
 
     def weigh(c):
         return np.log10((c + 0.1) / (n + 0.1 * (v + 1)))
 
+    def hottest(batches):
+        for batch in batches:
+            for number, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                b = Bucket(raw.as_py())
+                if len(b.hot):
+                    got = models.value.pair_scores(number, b)[0]
+                    yield pa.RecordBatch.from_arrays([pa.array(pair_code(b.w[b.hot], b.u[b.hot]).view(_I64)), pa.array(got[b.hot])], ["code", "score"])
+
+    where_hot = [int(x) for x in np.unique(places(hot_codes, buckets))]
+    hot_scores = np.zeros(len(hot_codes))
+    if where_hot:
+        few = kept.where(F.col("bucket").isin(where_hot)).select("bucket", "payload").mapInArrow(hottest, "code long, score double").collect()
+        codes = np.array([r.code for r in few], _I64).view(np.uint64)
+        hot_scores[found(hot_codes, codes)] = [r.score for r in few]
+    hot_models = spark.sparkContext.broadcast((hot_codes, hot_scores))
+
     def local(batches):
+        f, (codes, scores) = held.value, hot_models.value
+        base = weigh(f.counts)
         for batch in batches:
-            made, scores = models.value
-            f = made.frame
             out = [np.zeros(batch.num_rows, _I64), np.zeros(batch.num_rows, _I64), np.zeros(batch.num_rows), np.zeros(batch.num_rows)]
-            base = weigh(f.counts)
             for a, m, h, doc in tokens(batch.column(2)):
-                ids = f.word_ids(h)
-                u = f.contexts_of(ids, doc)
-                on = ids >= 0
-                free = on & (u == f.rare)
+                w, u = f.codes(h, doc)
+                on = np.flatnonzero(w < TAIL)
+                ids = w[on].astype(_I64)
                 out[0][a : a + m] = np.bincount(doc, minlength=m)
                 out[1][a : a + m] = np.bincount(doc[on], minlength=m)
-                out[2][a : a + m] = np.bincount(doc[on], base[ids[on]], m)
-                out[3][a : a + m] = np.bincount(doc[free], scores[ids[free]], m)
+                out[2][a : a + m] = np.bincount(doc[on], base[ids], m)
+                on = on[u[on] < TAIL]
+                at = found(codes, pair_code(w[on], u[on]))
+                out[3][a : a + m] = np.bincount(doc[on[at >= 0]], scores[at[at >= 0]], m)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *map(pa.array, out)], ["id", "ref", "n_tokens", "known", "base", "lm"])
 
     def far(batches):
-        """Sums of each bucket by batch of documents: rows there, then what they add to known, base and score."""
+        """Each bucket's sums by batch of documents; its pairs of two rare words, and what their contexts leave for them."""
         for batch in batches:
             for number, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 b = Bucket(raw.as_py())
-                pair = models.value[0].pair_scores(number, b)
-                per, times = np.repeat(np.arange(len(b.w)), b.per), b.n.astype(np.float64)
+                pair, rare, left = models.value.pair_scores(number, b)
+                pair[b.both_rare] = 0  # they are scored by `finish`
+                per, times = np.repeat(np.arange(b.placed), b.per), b.n.astype(np.float64)
                 count = np.zeros(len(b.w), _I64)
                 count[b.tail] = b.tail_count()[b.tail_of]
                 place, at = np.unique(b.doc.astype(_I64), return_inverse=True)
-                size = len(place)
-                lm = np.bincount(at, pair[per] * times, size).astype(np.float32)
                 tail = ~b.head[per]
-                known = np.bincount(at[tail], times[tail] * (count[per[tail]] > 0), size).astype(_I64)
-                base = np.bincount(at[tail], weigh(count[per[tail]]) * times[tail], size).astype(np.float64)
-                edge = np.searchsorted(place >> 24, np.arange(len(b.batches) + 1))
-                out = []
-                for x, y in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
-                    row = place[x:y] & ((1 << 24) - 1)
-                    has = np.flatnonzero(base[x:y])
-                    out.append(pack(np.diff(row, prepend=0).astype(np.uint32), lm[x:y], least_type(np.diff(has, prepend=0)), least_type(known[x:y][has]), base[x:y][has]))
-                yield pa.RecordBatch.from_arrays([pa.array(b.batches), pa.array(out, pa.binary())], ["batch", "payload"])
+                yield by_batch(b.batches, at, place, pair[per] * times, times * (tail & (count[per] > 0)), np.where(tail, weigh(count[per]), 0) * times)
+                k = b.both_rare
+                target, out, kind = [], [], []
+                if len(k):
+                    on = np.isin(per, k)
+                    target.append(number)
+                    kind.append(STANDING)
+                    out.append(pack(b.w[k], b.u[k], least_type(b.count[k]), rare.ravel(), b.per[k], b.doc[on], b.n[on], b.batches))
+                c = np.flatnonzero(b.copy)
+                goes = places(b.w[c], buckets).astype(_I64)
+                order = np.argsort(goes, kind="stable")
+                goes, c, left = goes[order], c[order], left[:, order]
+                first = runs(goes)
+                for x, y in zip(first.tolist(), np.append(first, len(goes))[1:].tolist(), strict=True):
+                    target.append(int(goes[x]))
+                    kind.append(LEFT)
+                    out.append(pack(b.w[c[x:y]], b.u[c[x:y]], left[:, x:y].ravel()))
+                yield pa.RecordBatch.from_arrays([pa.array(kind, pa.int32()), pa.array(target, pa.int64()), pa.array(out, pa.binary())], ["kind", "target", "payload"])
+
+    def finish(_: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        here, parts = None, []
+        for batch in batches:
+            for kind, raw in zip(batch.column("kind").to_pylist(), batch.column("payload"), strict=True):
+                if kind == STANDING:
+                    here = unpack(raw.as_py())
+                else:
+                    w, u, left = unpack(raw.as_py())
+                    parts.append((w, u, left.reshape(samples + 1, -1)))
+        w, u, count, rare, per, doc, times, numbers = here
+        aw, au, left = (np.concatenate(x, -1) for x in zip(*parts, strict=True))
+        left = left[:, np.lexsort((au, aw))][:, np.argsort(np.lexsort((u, w)))]  # both hold the same pairs
+        c = count.astype(_I64)
+        p = (c - models.value.frame.d * np.minimum(c, 1)) * left[-1] + (left[:-1] * rare.reshape(samples, -1)).mean(0)
+        place, at = np.unique(doc.astype(_I64), return_inverse=True)
+        lm = np.repeat(np.log10(p), per) * times
+        yield by_batch(numbers, at, place, lm, np.zeros(len(lm)), np.zeros(len(lm)))
 
     def gather(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ref, parts = None, []
@@ -500,9 +685,13 @@ def score(docs: DataFrame, train: Column, head: int = 65536, contexts: int = 409
             out[2][row] += lm
         yield pa.RecordBatch.from_arrays([pa.array(ref), *map(pa.array, out)], ["ref", "_known", "_base", "_lm"])
 
-    kind = rows.schema["id"].dataType.simpleString()
-    near = shared.keep(rows.select("id", "ref", "text").mapInArrow(local, f"id {kind}, ref long, n_tokens long, known long, base double, lm double"), "near")
-    sums = kept.select("bucket", "payload").mapInArrow(far, "batch long, payload binary").withColumn("name", F.lit(False)).union(names.withColumn("name", F.lit(True)))
+    kind, schema = rows.schema["id"].dataType.simpleString(), "kind int, target long, payload binary"
+    sums = shared.keep(kept.select("bucket", "payload").mapInArrow(far, schema), "sums")
+    met = sums.where(F.col("kind") != SUMS).groupBy("target").applyInArrow(finish, schema)
+    near = rows.select("id", "ref", "text").mapInArrow(local, f"id {kind}, ref long, n_tokens long, known long, base double, lm double")
+    near = shared.keep(near, "near")
+    named = lambda df: df.select(F.col("target").alias("batch"), "payload").withColumn("name", F.lit(False))
+    sums = named(sums.where(F.col("kind") == SUMS)).union(named(met)).union(names.withColumn("name", F.lit(True)))
     sums = sums.groupBy("batch").applyInArrow(gather, "ref long, _known long, _base double, _lm double")
     sums = sums.groupBy("ref").agg(*(F.max(c).alias(c) for c in ("_known", "_base", "_lm")))  # rows of one ref are alike
     total = lambda c: F.col(c) + F.col(f"_{c}")

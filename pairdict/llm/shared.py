@@ -34,6 +34,15 @@ def keep(df: DataFrame, name: str = "t") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def forget(*tables: DataFrame) -> None:
+    """Delete what `keep` wrote, once no later step reads it."""
+    for df in tables:
+        jvm = df.sparkSession._jvm
+        for name in df.inputFiles()[:1]:
+            folder = jvm.org.apache.hadoop.fs.Path(name).getParent().getParent()
+            folder.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(folder, True)
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

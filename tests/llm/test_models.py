@@ -293,8 +293,8 @@ def test_language_model_edges(spark, edge, empty):
     on = F.col("doc_id") % 3 != 0
     docs = [(i, t) for i, t, _ in EDGE]
     train = [i is not None and i % 3 != 0 for i, _ in docs]
-    for head, contexts in ((65536, 4096), (4, 2), (0, 0)):
-        got = language_model.score(edge, on, head=head, contexts=contexts).collect()
+    for head, hot in ((65536, 512), (4, 1), (0, 512)):
+        got = language_model.score(edge, on, head=head, hot=hot).collect()
         same_base(got, slow_base(docs, train))
         assert all(math.isfinite(r.score) and r.score < 0 for r in got) and len({round(r.score, 9) for r in got if r.doc_id == 7}) == 1
     assert language_model.score(empty, on).count() == 0
@@ -302,18 +302,65 @@ def test_language_model_edges(spark, edge, empty):
     assert all(r.n_known == 0 and math.isfinite(r.score) for r in nothing) and len(nothing) == len(EDGE)
 
 
+def slow_single(docs, train, strength=5.0, root_strength=50.0):
+    """The hierarchical model with one table a dish, from its definition: score of each text, and the next word's probability."""
+    words = lambda t: [None, *re.findall(r"[^\x20\x09-\x0D]+", (t or "").translate(LOWER)), "END "]
+    pairs = Counter((u, w) for (_, t), on in zip(docs, train, strict=True) if on for x in [words(t)] for u, w in zip(x, x[1:], strict=False))
+    seen = Counter(w for (_, t), on in zip(docs, train, strict=True) if on for w in words(t)[1:])
+    discount = lambda c: min(0.95, max(0.1, sum(n == 1 for n in c.values()) / max(1, sum(n == 1 for n in c.values()) + 2 * sum(n == 2 for n in c.values()))))
+    d, e, v = discount(pairs), discount(seen), len(seen)
+    tables, customers, dish = Counter(), Counter(), Counter()
+    for (u, w), c in pairs.items():
+        tables[u] += 1
+        customers[u] += c
+        dish[w] += 1
+    n = sum(dish.values())
+
+    def root(w):
+        return max(0, dish[w] - e * (dish[w] > 0)) / (root_strength + n) + (root_strength + e * len(dish)) / (root_strength + n) / (v + 1)
+
+    def p(u, w):
+        return (pairs[u, w] - d * ((u, w) in pairs)) / (strength + customers[u]) + (strength + d * tables[u]) / (strength + customers[u]) * root(w)
+
+    return [sum(math.log10(p(u, w)) for x in [words(t)] for u, w in zip(x, x[1:], strict=False)) for _, t in docs], p, seen
+
+
+@pytest.mark.parametrize(("head", "hot"), [(100_000, 10**9), (100_000, 4), (60, 10**9), (0, 10**9)])
+def test_single_tables_by_brute_force(spark, head, hot):
+    """Frequent and rare words, as contexts and as words, with hot pairs and without: the score is the definition's."""
+    docs = [(r.doc_id, r.text) for r in spark.read.parquet(f"{SF}/documents.parquet").collect()]
+    docs += [(9000, None), (9001, ""), (9002, docs[3][1]), (9003, "neverseen " + (docs[5][1] or ""))]
+    train = [crc(i, 10) != 0 and i < 9000 for i, _ in docs]
+    df = spark.createDataFrame([(*r, on) for r, on in zip(docs, train, strict=True)], "doc_id long, text string, train boolean")
+    want, p, seen = slow_single(docs, train)
+    for u in (None, next(iter(seen)), "neverseen"):
+        assert math.isclose(sum(p(u, w) for w in seen) + p(u, "neverseen"), 1, rel_tol=1e-9)
+    got = {r.doc_id: r.score for r in language_model.score(df, F.col("train"), head=head, hot=hot, burn=1, samples=2, seating="single", bucket_tokens=20_000).collect()}
+    for (i, _), x in zip(docs, want, strict=True):
+        assert math.isclose(got[i], x, rel_tol=2e-6, abs_tol=1e-5)
+
+
 def test_model_is_a_distribution(spark):
-    """Over every known word and one unknown, the next word's probabilities after a context add up to one."""
+    """Over every known word and one unknown, the next word's sampled probabilities after a context add up to one."""
     rng = np.random.default_rng(8)
-    texts = [" ".join(rng.choice(list("abcdef"), 12)) for _ in range(40)]
-    probe = [f"{u} {w}" for u in "abz" for w in "abcdef"] + [u for u in "abz"] + [f"{u} zz" for u in "abz"]
-    df = spark.createDataFrame([(i, t, i < 40) for i, t in enumerate(texts + probe)], "doc_id long, text string, train boolean")
-    for head, contexts in ((100, 50), (3, 2)):
-        got = {r.doc_id - 40: r.score for r in language_model.score(df, F.col("train"), head=head, contexts=contexts, samples=1).collect() if r.doc_id >= 40}
-        score = {probe[k]: s for k, s in got.items()}
-        # texts "u w END", against "u" alone: with p(END | w) from other probes unknown, compare through a chain of single words
-        for u in "ab":
-            assert all(score[f"{u} {w}"] < 0 for w in "abcdef") and score[f"{u} zz"] < min(score[f"{u} {w}"] for w in "abcdef")
+    texts = [" ".join(rng.choice(list("abcdef"), 12, p=[0.4, 0.2, 0.1, 0.1, 0.1, 0.1])) for _ in range(60)]
+    probe = [" ".join(f"{u} {w}" for w in "abcdef") + f" {u} zz" for u in "abcdef"] + list("abcdef")
+    rows = spark.createDataFrame([(i, i < 60, t) for i, t in enumerate(texts + probe)], "ref long, train boolean, text string")
+    words = language_model.count_words(rows.where("train"), "text").cache()
+    frame = language_model.frame_of(words, 100)
+    sc = spark.sparkContext
+    kept = language_model.occurrences(rows, sc.broadcast(frame), sc.broadcast(np.zeros(0, np.uint64)), 3).where("bucket >= 0").cache()
+    chain = language_model.Chain(kept, frame, 5)
+    for k in range(4):
+        chain.sweep(k, k > 0)
+    total = Counter()
+    chain_kept, chain.kept = chain.kept, None
+    for r in chain_kept.collect():
+        b = language_model.Bucket(bytes(r.payload))
+        for u, x in zip(b.u.tolist(), chain.pair_scores(r.bucket, b)[0], strict=True):
+            total[u] += 10**x
+    for w in "abcdef":
+        assert math.isclose(total[int(frame.word_ids(shared.hash_words([w.encode()]))[0])], 1, rel_tol=1e-9)
 
 
 def test_seating():
@@ -338,10 +385,11 @@ def test_seating():
         w = weights(c)
         assert np.allclose(np.exp(table[c, 1 : c + 1]), [w[t] for t in range(1, c + 1)])
     full = language_model.stirling(d)
-    got = language_model.seat(np.full(20_000, 5), np.full(20_000, 1.5), d, full, rng)
-    p = np.array([weights(5)[t] * 1.5**t for t in range(1, 6)])
+    got = language_model.seat(np.full(20_000, 5), np.full(20_000, 3.0), np.full(20_000, 0.4), d, full, rng)
+    opened = np.cumprod([(3.0 + d * j) * 0.4 for j in range(5)])  # the t-th table opens at the rate of the restaurant then
+    p = np.array([weights(5)[t] * opened[t - 1] for t in range(1, 6)])
     assert np.allclose(np.bincount(got, minlength=6)[1:] / 20_000, p / p.sum(), atol=0.02)
-    big = language_model.seat(np.array([10_000, 1, 0]), np.array([2.0, 2.0, 2.0]), d, full, rng)
+    big = language_model.seat(np.array([10_000, 1, 0]), np.array([20.0, 20.0, 20.0]), np.full(3, 0.1), d, full, rng)
     assert 8 < big[0] < 60 and big[1:].tolist() == [1, 0]
 
 
@@ -349,7 +397,3 @@ def test_pack():
     arrays = [np.arange(5, dtype=np.uint64), np.zeros(0, np.int64), np.array([1, 300], np.uint16)]
     back = language_model.unpack(language_model.pack(*arrays))
     assert all((a == b).all() and a.dtype == b.dtype for a, b in zip(arrays, back, strict=True))
-
-
-def test_whole_long_text():
-    assert slow_spans(LONG) == []
