@@ -23,7 +23,8 @@ from pyspark.sql import functions as F
 from . import shared
 
 END = shared.hash_words([b" end"])[0]  # holds a space, as no word does
-TAIL = np.uint64(1 << 63)  # marks the code of a rare word: its hash with this bit set; a frequent word's code is its number
+TAIL = np.uint64(1 << 63)  # marks the code of a rare word: 48 bits of its hash, enough inside a bucket; a frequent word's code is its number
+LOW = np.uint64((1 << 48) - 1)
 STIRLING = 256
 CODE_BITS = 21
 _I64 = np.int64
@@ -34,21 +35,22 @@ _I64 = np.int64
 
 def pack(*arrays: np.ndarray) -> bytes:
     """Arrays as one string: bytes of like weight lie together, then zstandard."""
-    out, squeeze = [len(arrays).to_bytes(2, "little")], zstandard.ZstdCompressor(level=1).compress
-    for a in arrays:
-        body = squeeze(np.ascontiguousarray(a.view(np.uint8).reshape(len(a), a.itemsize).T).tobytes()) if len(a) else b""
-        out += [a.dtype.str.encode().ljust(4), len(a).to_bytes(8, "little"), len(body).to_bytes(8, "little"), body]
-    return b"".join(out)
+    head = [len(arrays).to_bytes(2, "little"), *(a.dtype.str.encode().ljust(4) + len(a).to_bytes(8, "little") for a in arrays)]
+    body = b"".join(np.ascontiguousarray(a).view(np.uint8).reshape(len(a), a.itemsize).T.tobytes() for a in arrays if len(a))
+    return b"".join([*head, len(body).to_bytes(8, "little"), zstandard.ZstdCompressor(level=1).compress(body)])
 
 
 def unpack(raw: bytes) -> list[np.ndarray]:
-    arrays, at, grow = [], 2, zstandard.ZstdDecompressor().decompress
-    for _ in range(int.from_bytes(raw[:2], "little")):
-        kind = np.dtype(raw[at : at + 4].decode().strip())
-        n, size = (int.from_bytes(raw[at + 4 + 8 * k : at + 12 + 8 * k], "little") for k in (0, 1))
-        body = grow(raw[at + 20 : at + 20 + size], n * kind.itemsize) if n else b""
-        arrays.append(np.ascontiguousarray(np.frombuffer(body, np.uint8).reshape(kind.itemsize, n).T).view(kind).ravel() if n else np.zeros(0, kind))
-        at += 20 + size
+    many = int.from_bytes(raw[:2], "little")
+    at = 2 + 12 * many
+    size = int.from_bytes(raw[at : at + 8], "little")
+    body = np.frombuffer(zstandard.ZstdDecompressor().decompress(raw[at + 8 :], size) if size else b"", np.uint8)
+    arrays, x = [], 0
+    for k in range(2, at, 12):
+        kind, n = np.dtype(raw[k : k + 4].decode().strip()), int.from_bytes(raw[k + 4 : k + 12], "little")
+        y = x + n * kind.itemsize
+        arrays.append(np.ascontiguousarray(body[x:y].reshape(kind.itemsize, n).T).view(kind).ravel() if n else np.zeros(0, kind))
+        x = y
     return arrays
 
 
@@ -148,7 +150,7 @@ class Frame:
     def codes(self, h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Codes of the words and of their contexts."""
         ids = self.word_ids(h)
-        w = np.where(ids >= 0, ids.astype(np.uint64), h | TAIL)
+        w = np.where(ids >= 0, ids.astype(np.uint64), (h & LOW) | TAIL)
         u = np.full(len(w), self.start, np.uint64)
         u[1:] = np.where(doc[1:] == doc[:-1], w[:-1], np.uint64(self.start))
         return w, u
@@ -189,33 +191,56 @@ def runs(*columns: np.ndarray) -> np.ndarray:
     return np.flatnonzero(new)
 
 
-def merge_bucket(blobs) -> bytes:
-    """One bucket's occurrences, sorted by word and context: pairs, how many documents each has, and the documents' places;
-    then the pairs that come without places.
+def step(x: np.ndarray) -> np.ndarray:
+    return np.diff(x, prepend=x.dtype.type(0))
 
-    blobs: (batch of documents, payload). A document's place is the number of its batch here x 2^24 + its row there.
+
+def summed(order: np.ndarray, n: np.ndarray, *columns: np.ndarray) -> list[np.ndarray]:
+    """Equal rows, which `order` brings together, become one with the sum of n."""
+    columns, n = [c[order] for c in columns], n[order]
+    at = runs(*columns)
+    return [*(c[at] for c in columns), np.add.reduceat(n, at) if len(at) else n]
+
+
+def merge_bucket(blobs) -> tuple[bytes, bytes]:
+    """One bucket's pairs with their counts, and where they stand.
+
+    Three parts with places (pairs of frequent words as one code; a rare word and its context; a rare context and a frequent
+    word), then hot pairs and copies. blobs: (batch of documents, payload). A place is the number of its batch here x 2^24 +
+    its row there.
     """
-    parts, bare, batches = [], [], []
+    batches, parts = [], [[], [], []]
+    hot, copies = [], []
     for number, raw in blobs:
-        w, u, per, doc, n, train, *rest = unpack(raw)
-        parts.append((np.repeat(np.cumsum(w), per), np.repeat(u, per), (doc.astype(_I64) << 1 | train) + (len(batches) << 25), n.astype(_I64)))
-        bare.append((np.cumsum(rest[0]), rest[1], rest[2].astype(_I64)))
+        x = unpack(raw)
+        on = np.unpackbits(x[0])
+        for k in range(3):
+            g, o, per, doc, n = x[1 + 5 * k : 6 + 5 * k]
+            n = n.astype(_I64)
+            parts[k].append((np.repeat(np.cumsum(g), per), np.repeat(o, per), doc.astype(_I64) + (len(batches) << 24), n, n * on[doc]))
+        hot.append((np.cumsum(x[16]), x[17].astype(_I64)))
+        copies.append((np.cumsum(x[18]), x[19], x[20], x[21].astype(_I64)))
         batches.append(number)
-    w, u, doc, n = (np.concatenate(x) for x in zip(*parts, strict=True))
-    order = np.lexsort((doc, u, w))
-    w, u, doc, n = w[order], u[order], doc[order], n[order]
-    first = runs(w, u)
-    count = np.add.reduceat(n * (doc & 1), first) if len(first) else n
-    bw, bu, bc = (np.concatenate(x) for x in zip(*bare, strict=True))
-    order = np.lexsort((bu, bw))
-    bw, bu, bc = bw[order], bu[order], bc[order]
-    at = runs(bw, bu)
-    bc = np.add.reduceat(bc, at) if len(at) else bc
-    step = lambda x: np.diff(x, prepend=np.uint64(0))
-    return pack(
-        step(w[first]), u[first], least_type(count), least_type(np.diff(np.append(first, len(w)))), least_type(doc >> 1), least_type(n), np.array(batches, _I64),
-        step(bw[at]), bu[at], least_type(bc),
-    )
+    pairs, where = [], [np.array(batches, _I64)]
+    for part in parts:
+        g, o, doc, n, learned = (np.concatenate(x) for x in zip(*part, strict=True))
+        order = np.lexsort((o, g)) if o.any() else np.argsort(g, kind="stable")  # batches ascend, and so do rows in a batch
+        g, o, doc, n = g[order], o[order], doc[order], n[order]
+        first = runs(g, o)
+        count = np.add.reduceat(learned[order], first) if len(first) else n
+        pairs += [step(g[first]), o[first], least_type(count)]
+        where += [least_type(np.diff(np.append(first, len(g)))), least_type(doc), least_type(n)]
+    code, n = (np.concatenate(x) for x in zip(*hot, strict=True))
+    code, n = summed(np.argsort(code), n, code)
+    u, w, dest, m = (np.concatenate(x) for x in zip(*copies, strict=True))
+    u, w, dest, m = summed(np.lexsort((dest, w, u)), m, u, w, dest)
+    return pack(*pairs, step(code), least_type(n), step(u), w, least_type(dest), least_type(m)), pack(*where)
+
+
+def group_of(sorted_: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values of a sorted array, and which of them each element is."""
+    at = runs(sorted_)
+    return sorted_[at], np.repeat(np.arange(len(at)), np.diff(np.append(at, len(sorted_))))
 
 
 class Bucket:
@@ -223,22 +248,31 @@ class Bucket:
     context's; pairs of two rare words in w's, with their places, and once more, without, in the context's (`copy`)."""
 
     def __init__(self, raw: bytes):
-        w, u, count, self.per, self.doc, self.n, self.batches, bw, bu, bc = unpack(raw)
-        self.placed = len(w)
-        self.w, self.u = np.concatenate([np.cumsum(w), np.cumsum(bw)]), np.concatenate([u, bu])
-        self.count = np.concatenate([count.astype(_I64), bc.astype(_I64)])
-        self.head, self.head_u = self.w < TAIL, self.u < TAIL
-        bare = np.arange(len(self.w)) >= self.placed
-        self.copy = bare & ~self.head & ~self.head_u
-        self.hot = np.flatnonzero(bare & self.head)
-        self.both_rare = np.flatnonzero(~bare & ~self.head & ~self.head_u)
-        self.word = np.where(self.head, self.w, 0).astype(_I64)
-        self.context = np.where(self.head_u, self.u, 0).astype(_I64)
-        self.tail = np.flatnonzero(~self.head & ~self.copy)
-        self.tail_words, self.tail_of = np.unique(self.w[self.tail], return_inverse=True)
-        self.rare_u = np.flatnonzero(~self.head_u & (self.head | self.copy))
-        names, self.rare_of = np.unique(self.u[self.rare_u], return_inverse=True)
-        self.rare_customers = np.bincount(self.rare_of, self.count[self.rare_u], len(names)).astype(_I64)
+        x = unpack(raw)
+        code, hot = np.cumsum(x[0]), np.cumsum(x[9])
+        mask = np.uint64((1 << CODE_BITS) - 1)
+        w = [code >> np.uint64(CODE_BITS), np.cumsum(x[3]), x[7], hot >> np.uint64(CODE_BITS), x[12]]
+        u = [code & mask, x[4], np.cumsum(x[6]), hot & mask, np.cumsum(x[11])]
+        edge = np.cumsum([0, *map(len, w)])
+        self.w, self.u, self.dest = np.concatenate(w), np.concatenate(u), x[13]
+        self.count = np.concatenate([c.astype(_I64) for c in (x[2], x[5], x[8], x[10], x[14])])
+        part = lambda k: np.arange(edge[k], edge[k + 1])
+        self.placed, self.hot, self.copy = int(edge[3]), part(3), part(4)
+        self.tail = part(1)
+        own = u[1] < TAIL
+        self.own, self.both_rare = self.tail[own], self.tail[~own]
+        self.known = np.concatenate([part(0), part(3)])  # both frequent
+        self.after_rare = part(2)
+        self.rare_u = np.concatenate([part(2), part(4)])
+        self.head_u = np.concatenate([self.known, self.own])
+        self.head = np.concatenate([self.known, self.after_rare])
+        self.word, self.context = np.zeros(len(self.w), _I64), np.zeros(len(self.w), _I64)
+        self.word[self.head], self.context[self.head_u] = self.w[self.head], self.u[self.head_u]
+        self.tail_words, self.tail_of = group_of(w[1])
+        names = [group_of(u[k]) for k in (2, 4)]
+        every = np.union1d(names[0][0], names[1][0])
+        self.rare_of = np.concatenate([np.searchsorted(every, n)[at] for n, at in names])
+        self.rare_customers = np.bincount(self.rare_of, self.count[self.rare_u], len(every)).astype(_I64)
 
     def tail_count(self) -> np.ndarray:
         return np.bincount(self.tail_of, self.count[self.tail], len(self.tail_words)).astype(_I64)
@@ -250,24 +284,22 @@ class Bucket:
         """Tables of each pair, and for the rare words the customers and tables in the parent."""
         t = np.minimum(self.count, 1)
         rest = frame.strength + frame.d * np.maximum(state.tables[self.context] - 1, 0)
-        on = np.flatnonzero(self.head & self.head_u & (self.count > 1))
+        on = self.known[self.count[self.known] > 1]
         t[on] = seat(self.count[on], rest[on], state.head_p[self.word[on]], frame.d, table, rng)
-        at = np.flatnonzero(self.head[self.rare_u] & (self.count[self.rare_u] > 1))
-        on = self.rare_u[at]
+        at = np.flatnonzero(self.count[self.after_rare] > 1)
+        on = self.after_rare[at]
         for _ in range(2 if len(on) else 0):  # all pairs of a rare context lie here, so they are swept to and fro here
             others = np.maximum(self.rare_tables(t)[self.rare_of[at]] - t[on], 0)
             t[on] = seat(self.count[on], frame.strength + frame.d * others, state.head_p[self.word[on]], frame.d, table, rng)
-        own = self.head_u[self.tail]
+        on = self.own[self.count[self.own] > 1]
         for again in range(2):  # and so do the parent's customers of a rare word
             customers = np.bincount(self.tail_of, t[self.tail], len(self.tail_words)).astype(_I64)
             root_rest = np.full(len(customers), frame.root_strength + frame.d_root * max(0, state.tables_root - 1))
             tables_root = seat(customers, root_rest, np.full(len(customers), 1 / (frame.v + 1)), frame.d_root, root_table, rng)
-            if again:
+            if again or not len(on):
                 break
             p = np.maximum(customers - frame.d_root * tables_root, 0) / (frame.root_strength + state.customers) + state.root_new(frame)
-            on = np.flatnonzero(own & (self.count[self.tail] > 1))
-            k = self.tail[on]
-            t[k] = seat(self.count[k], rest[k], p[self.tail_of[on]], frame.d, table, rng)
+            t[on] = seat(self.count[on], rest[on], p[self.tail_of[on - self.tail[0]]], frame.d, table, rng)
         return t, customers, tables_root
 
     def sums(self, frame: Frame, t, customers, tables_root, width: int):
@@ -300,7 +332,7 @@ def _totals(kept: DataFrame, work, width: int) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([pack(total)], pa.binary())], ["k", "v"])
 
     out = np.zeros(width, _I64)
-    for r in kept.select("bucket", "payload").mapInArrow(run, "k int, v binary").groupBy("k").applyInArrow(add, "k int, v binary").collect():
+    for r in kept.select("bucket", "pairs").mapInArrow(run, "k int, v binary").groupBy("k").applyInArrow(add, "k int, v binary").collect():
         out[r.k * CHUNK : r.k * CHUNK + CHUNK] = unpack(bytes(r.v))[0]
     return out
 
@@ -359,114 +391,134 @@ def frame_of(words: DataFrame, head: int, most: int = 1 << 20) -> Frame:
     return Frame(hashes, np.array([r.c for r in rows], _I64), int(n), int(v), min(0.95, max(0.1, d)))
 
 
-def hot_pairs(rows: DataFrame, frame, n: int, bucket_tokens: int, least: int, sample: int = 20_000_000) -> np.ndarray:
-    """Codes of pairs of frequent words that look like a notable share of all tokens, by a bounded sample of documents.
+def hot_pairs(rows: DataFrame, frame, n: int, least: int, sample: int = 8_000_000, most: int = 1 << 20) -> np.ndarray:
+    """Codes of the pairs of frequent words that a bounded sample of the documents holds `least` times or more, `most` at most.
 
-    They only decide which pairs travel without places: any answer gives the same scores. At most 2 / share of them.
+    They only decide which pairs travel without places: any answer gives the same scores.
     """
-    share = min(1e-4, max(1e-6, bucket_tokens / 8 / max(1, n)))
-    parts = max(1, -(-n // int(min(sample, 1000 / share))))
+    parts = max(1, -(-n // sample))
 
     def run(batches):
-        held, size, kept = [], 0, None
+        kept = np.zeros(0, np.uint64), np.zeros(0, _I64)
         for batch in batches:
             for _, _, h, doc in tokens(batch.column(0)):
                 w, u = frame.value.codes(h, doc)
-                held.append(pair_code(w, u)[(w < TAIL) & (u < TAIL)])
-                size += len(h)
-                if sum(map(len, held)) > 2_000_000:
-                    kept = joined(kept, held)
-                    held = []
-        codes, counts = joined(kept, held)
-        on = counts > share * size / 8
-        yield pa.RecordBatch.from_arrays([pa.array(codes[on].view(_I64)), pa.array(counts[on])], ["code", "n"])
-
-    def joined(kept, held):
-        codes, counts = np.unique(np.concatenate([np.zeros(0, np.uint64), *held]), return_counts=True)
-        if kept is None:
-            return codes, counts.astype(_I64)
-        both, at = np.unique(np.concatenate([kept[0], codes]), return_inverse=True)
-        return both, np.bincount(at, np.concatenate([kept[1], counts]), len(both)).astype(_I64)
+                codes = np.sort(pair_code(w, u)[(w < TAIL) & (u < TAIL)])
+                both = np.concatenate([kept[0], codes])
+                kept = tuple(summed(np.argsort(both, kind="stable"), np.concatenate([kept[1], np.ones(len(codes), _I64)]), both))
+        yield pa.RecordBatch.from_arrays([pa.array(kept[0].view(_I64)), pa.array(kept[1])], ["code", "n"])
 
     few = rows.where(F.pmod("ref", F.lit(parts)) == 0).select("text")
-    got = few.mapInArrow(run, "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).where(F.col("n") >= max(least, share * n / parts / 2)).select("code").collect()
-    return np.sort(np.array([r.code for r in got], _I64).view(np.uint64))
+    got = few.mapInArrow(run, "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
+    got = shared.keep(got, "hot")
+    cut, size = least, 0
+    for r in sorted(got.groupBy("n").agg(F.count(F.lit(1)).alias("many")).collect(), key=lambda r: -r.n):
+        size += r.many
+        if size > most:
+            cut = r.n + 1
+            break
+    codes = got.where(F.col("n") >= cut).select("code").toArrow().column(0).to_numpy()
+    shared.forget(got)
+    return np.sort(codes.astype(_I64).view(np.uint64))
 
 
 DOCUMENTS = -1  # the bucket number of rows that name a batch's documents
 
 
-def occurrences(rows: DataFrame, frame, hot, buckets: int, flush: int = 800_000) -> DataFrame:
-    """(bucket, batch, payload): for each bucket its word pairs with the documents they stand in, and for each batch of
+def occurrences(rows: DataFrame, frame, hot, buckets: int, flush: int = 600_000) -> DataFrame:
+    """(bucket, batch, pairs, places): for each bucket its word pairs and the documents they stand in, and for each batch of
     documents (what a task holds at a time) their refs. Pairs of a rare word meet by word, other pairs of a rare context by
     context, the rest by pair."""
 
-    def grouped(place, w, u, n):
-        """Equal pairs of a place become one."""
-        order = np.lexsort((u, w, place))
-        place, w, u, n = place[order], w[order], u[order], n[order]
-        at = runs(place, w, u)
-        return place[at], w[at], u[at], np.add.reduceat(n, at) if len(at) else n
-
-    def blobs(batch, h, w, u, doc, ref, train):
+    def split(h, doc, train):
+        """A slice's tokens: three parts (place, group, other, document), numbers of hot pairs, copies."""
+        f = frame.value
+        w, u = f.codes(h, doc)
+        before = np.zeros_like(h)
+        before[1:] = h[:-1]
         rare_w, rare_u = w >= TAIL, u >= TAIL
-        code = pair_code(np.where(rare_w, 0, w), np.where(rare_u, 0, u))
-        place = places(np.where(rare_w, w, np.where(rare_u, u, code)), buckets).astype(np.int32)
-        weight = train[doc].astype(_I64)
-        bare = np.flatnonzero(~rare_w & ~rare_u & (found(hot.value, code) >= 0))
-        both = np.flatnonzero(rare_w & rare_u)
-        copies = places(u[both], buckets).astype(np.int32)
-        free = grouped(np.concatenate([place[bare], copies]), np.concatenate([w[bare], w[both]]), np.concatenate([u[bare], u[both]]), np.concatenate([weight[bare], weight[both]]))
-        on = np.ones(len(w), bool)
-        on[bare] = False
-        del code, weight, rare_w, rare_u
-        place, w, u, doc = place[on], w[on], u[on], doc[on].astype(np.int32)
-        order = np.lexsort((doc, u, w, place))
-        place, w, u, doc = place[order], w[order], u[order], doc[order]
-        at = runs(place, w, u, doc)
-        n = np.diff(np.append(at, len(w)))
-        place, w, u, doc = place[at], w[at], u[at], doc[at]
-        new = np.zeros(len(w), bool)
-        new[runs(place, w, u)] = True
-        number, out = [DOCUMENTS], [pack(ref)]
-        wanted = np.union1d(place, free[0])
-        edge, edge_free = ((np.searchsorted(x, wanted), np.searchsorted(x, wanted, "right")) for x in (place, free[0]))
-        for k, x, y, i, j in zip(wanted.tolist(), *(e.tolist() for e in (*edge, *edge_free)), strict=True):
-            first = np.flatnonzero(new[x:y])
+        on = np.flatnonzero(~rare_w & ~rare_u)
+        code = pair_code(w[on], u[on])
+        at = found(hot.value, code)
+        bare = at >= 0
+        bare_at = at[bare & (train[doc[on]] > 0)]
+        code, on = code[~bare], on[~bare]
+        parts = [(places(code, buckets).astype(np.int32), code, np.zeros(len(on), np.uint8), doc[on])]
+        on = np.flatnonzero(rare_w)
+        parts.append((places(h[on] | TAIL, buckets).astype(np.int32), w[on], u[on], doc[on]))
+        on = np.flatnonzero(rare_u & ~rare_w)
+        parts.append((places(before[on] | TAIL, buckets).astype(np.int32), u[on], w[on], doc[on]))
+        on = np.flatnonzero(rare_u & rare_w)
+        copies = (places(before[on] | TAIL, buckets).astype(np.int32), u[on], w[on], places(h[on] | TAIL, buckets).astype(np.uint32), train[doc[on]].astype(_I64))
+        return parts, bare_at, copies
+
+    def blobs(batch, held, ref, train):
+        sections, edges, wanted = [], [], []
+        for k in range(3):
+            place, g, o, doc = (np.concatenate(x) for x in zip(*(h[0][k] for h in held), strict=True))
+            order = np.lexsort((g, place)) if not k else np.lexsort((o, g, place))  # documents ascend already
+            place, g, o, doc = place[order], g[order], o[order], doc[order]
+            at = runs(place, g, o, doc)
+            n = np.diff(np.append(at, len(g)))
+            place, g, o, doc = place[at], g[at], o[at], doc[at]
+            first = np.zeros(len(g), bool)
+            first[runs(place, g, o)] = True
+            sections.append((g, o, doc, n, first))
+            edges.append(place)
+        bare = np.bincount(np.concatenate([h[1] for h in held]), minlength=len(hot.value))
+        on = np.flatnonzero(bare)
+        place = places(hot.value[on], buckets).astype(np.int32)
+        order = np.argsort(place, kind="stable")
+        free, edge = (hot.value[on][order], bare[on][order]), place[order]
+        edges.append(edge)
+        place, u, w, dest, m = (np.concatenate(x) for x in zip(*(h[2] for h in held), strict=True))
+        place, u, w, dest, m = summed(np.lexsort((dest, w, u, place)), m, place, u, w, dest)
+        edges.append(place)
+        wanted = np.unique(np.concatenate([np.unique(e) for e in edges]))
+        low, high = (np.stack([np.searchsorted(e, wanted, side) for e in edges]).T.tolist() for side in ("left", "right"))
+        number, out, marks = [DOCUMENTS], [pack(ref)], np.packbits(train)
+        for k, lo, hi in zip(wanted.tolist(), low, high, strict=True):
+            arrays = [marks]
+            for (g, o, doc, n, first), x, y in zip(sections, lo, hi, strict=False):
+                at = np.flatnonzero(first[x:y])
+                arrays += [step(g[x:y][at]), o[x:y][at], least_type(np.diff(np.append(at, y - x))), least_type(doc[x:y]), least_type(n[x:y])]
+            x, y = lo[3], hi[3]
+            arrays += [step(free[0][x:y]), least_type(free[1][x:y])]
+            x, y = lo[4], hi[4]
+            arrays += [step(u[x:y]), w[x:y], dest[x:y], least_type(m[x:y])]
             number.append(k)
-            out.append(pack(
-                np.diff(w[x:y][first], prepend=np.uint64(0)), u[x:y][first], least_type(np.diff(np.append(first, y - x))), least_type(doc[x:y]), least_type(n[x:y]), train[doc[x:y]],
-                np.diff(free[1][i:j], prepend=np.uint64(0)), free[2][i:j], least_type(free[3][i:j]),
-            ))
+            out.append(pack(*arrays))
         return pa.RecordBatch.from_arrays([pa.array(number, pa.int32()), pa.array([batch] * len(number), pa.int64()), pa.array(out, pa.binary())], ["bucket", "batch", "payload"])
 
     def run(batches):
-        f, held, size, docs_held = frame.value, [], 0, 0
+        held, refs, size, docs_held = [], [], 0, 0
         name = TaskContext.get().partitionId() << 32
         for batch in batches:
             ref, train = batch.column(0).to_numpy(), batch.column(1).to_numpy(zero_copy_only=False).astype(np.uint8)
             for a, n, h, doc in tokens(batch.column(2)):
-                held.append((h[:0], *f.codes(h, doc), doc + docs_held, ref[a : a + n], train[a : a + n]))
+                parts, bare, copies = split(h, doc, train[a : a + n])
+                held.append(([(*p[:3], (p[3] + docs_held).astype(np.int32)) for p in parts], bare, copies))
+                refs.append((ref[a : a + n], train[a : a + n]))
                 size, docs_held = size + len(h), docs_held + n
                 if size >= flush:
-                    joined = [np.concatenate(x) for x in zip(*held, strict=True)]
-                    held = []
-                    yield blobs(name, *joined)
-                    size, docs_held, name = 0, 0, name + 1
+                    yield blobs(name, held, *(np.concatenate(x) for x in zip(*refs, strict=True)))
+                    held, refs, size, docs_held, name = [], [], 0, 0, name + 1
         if held:
-            yield blobs(name, *(np.concatenate(x) for x in zip(*held, strict=True)))
+            yield blobs(name, held, *(np.concatenate(x) for x in zip(*refs, strict=True)))
 
     def merge(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pairs = ((n, x.as_py()) for batch in batches for n, x in zip(batch.column("batch").to_pylist(), batch.column("payload"), strict=True))
+        blobs_ = ((n, x.as_py()) for batch in batches for n, x in zip(batch.column("batch").to_pylist(), batch.column("payload"), strict=True))
         bucket, salt = key[0].as_py(), key[1].as_py()
+        names = ["bucket", "batch", "pairs", "places"]
         if bucket == DOCUMENTS:
-            yield from (pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([n], pa.int64()), pa.array([raw], pa.binary())], ["bucket", "batch", "payload"]) for n, raw in pairs)
+            yield from (pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([n], pa.int64()), pa.array([raw], pa.binary()), pa.nulls(1, pa.binary())], names) for n, raw in blobs_)
         else:
-            yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([salt], pa.int64()), pa.array([merge_bucket(pairs)], pa.binary())], ["bucket", "batch", "payload"])
+            pairs, where = merge_bucket(blobs_)
+            yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([salt], pa.int64()), pa.array([pairs], pa.binary()), pa.array([where], pa.binary())], names)
 
-    schema = "bucket int, batch long, payload binary"
     salt = F.when(F.col("bucket") == DOCUMENTS, F.col("batch")).otherwise(0)
-    return rows.select("ref", "train", "text").mapInArrow(run, schema).withColumn("salt", salt).groupBy("bucket", "salt").applyInArrow(merge, schema)
+    packed = rows.select("ref", "train", "text").mapInArrow(run, "bucket int, batch long, payload binary")
+    return packed.withColumn("salt", salt).groupBy("bucket", "salt").applyInArrow(merge, "bucket int, batch long, pairs binary, places binary")
 
 
 class Chain:
@@ -481,7 +533,8 @@ class Chain:
             out = np.zeros(2 * c + 2, _I64)
             out[:c] = np.bincount(b.context[b.head_u], b.count[b.head_u], c).astype(_I64)
             out[c : 2 * c] = np.bincount(b.context[b.head_u], b.count[b.head_u] > 0, c).astype(_I64)
-            out[-2:] = (b.count[~b.copy] == 1).sum(), (b.count[~b.copy] == 2).sum()
+            once = b.count[: len(b.w) - len(b.copy)]
+            out[-2:] = (once == 1).sum(), (once == 2).sum()
             return out
 
         got = _totals(kept, first, 2 * c + 2)
@@ -547,12 +600,12 @@ def by_batch(batches: np.ndarray, at: np.ndarray, place: np.ndarray, lm: np.ndar
     return pa.RecordBatch.from_arrays([pa.array([SUMS] * len(out), pa.int32()), pa.array(batches), pa.array(out, pa.binary())], ["kind", "target", "payload"])
 
 
-SUMS, STANDING, LEFT = 0, 1, 2
+SUMS, STANDING, LEFT, HOT = range(4)
 
 
 def score(
-    docs: DataFrame, train: Column, head: int = 65536, burn: int = 2, samples: int = 3, seed: int = 11, id_col: str = "doc_id", text_col: str = "text",
-    bucket_tokens: int = 1_500_000, hot: int = 512, seating: str = "sampled",
+    docs: DataFrame, train: Column, head: int = 262144, burn: int = 2, samples: int = 3, seed: int = 11, id_col: str = "doc_id", text_col: str = "text",
+    bucket_tokens: int = 1_500_000, hot: int = 3, seating: str = "sampled",
 ) -> DataFrame:
     """Score all documents by a model learned from the rows where `train` holds (null: not).
 
@@ -570,11 +623,11 @@ def score(
     shared.forget(words)
     # hashes and counts of frequent words, and codes of hot pairs: both bounded
     held = spark.sparkContext.broadcast(frame)
-    hot_codes = hot_pairs(rows, held, frame.n, bucket_tokens, hot)
+    hot_codes = hot_pairs(rows, held, frame.n, hot)
     hot_held = spark.sparkContext.broadcast(hot_codes)
     buckets = max(64, -(-frame.n // bucket_tokens))
     both = shared.keep(occurrences(rows, held, hot_held, buckets), "pairs")
-    kept, names = both.where(F.col("bucket") != DOCUMENTS), both.where(F.col("bucket") == DOCUMENTS).select("batch", "payload")
+    kept, names = both.where(F.col("bucket") != DOCUMENTS), both.where(F.col("bucket") == DOCUMENTS).select("batch", F.col("pairs").alias("payload"))
     chain = Chain(kept, frame, seed, {"sampled": True, "single": False}[seating])
     for k in range(burn + samples):
         chain.sweep(k, k >= burn)
@@ -585,22 +638,6 @@ def score(
     def weigh(c):
         return np.log10((c + 0.1) / (n + 0.1 * (v + 1)))
 
-    def hottest(batches):
-        for batch in batches:
-            for number, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                b = Bucket(raw.as_py())
-                if len(b.hot):
-                    got = models.value.pair_scores(number, b)[0]
-                    yield pa.RecordBatch.from_arrays([pa.array(pair_code(b.w[b.hot], b.u[b.hot]).view(_I64)), pa.array(got[b.hot])], ["code", "score"])
-
-    where_hot = [int(x) for x in np.unique(places(hot_codes, buckets))]
-    hot_scores = np.zeros(len(hot_codes))
-    if where_hot:
-        few = kept.where(F.col("bucket").isin(where_hot)).select("bucket", "payload").mapInArrow(hottest, "code long, score double").collect()
-        codes = np.array([r.code for r in few], _I64).view(np.uint64)
-        hot_scores[found(hot_codes, codes)] = [r.score for r in few]
-    hot_models = spark.sparkContext.broadcast((hot_codes, hot_scores))
-
     def local(batches):
         f, (codes, scores) = held.value, hot_models.value
         base = weigh(f.counts)
@@ -619,29 +656,33 @@ def score(
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *map(pa.array, out)], ["id", "ref", "n_tokens", "known", "base", "lm"])
 
     def far(batches):
-        """Each bucket's sums by batch of documents; its pairs of two rare words, and what their contexts leave for them."""
+        """Each bucket's sums by batch of documents, its hot pairs' scores, its pairs of two rare words and what their contexts
+        leave for them."""
         for batch in batches:
-            for number, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            for number, raw, where in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
                 b = Bucket(raw.as_py())
+                batches_, *where = unpack(where.as_py())
+                b_per, b_doc, b_n = (np.concatenate([x.astype(_I64) for x in where[k::3]]) for k in range(3))
                 pair, rare, left = models.value.pair_scores(number, b)
+                target, out, kind = [0], [pack(pair_code(b.w[b.hot], b.u[b.hot]), pair[b.hot])], [HOT]
                 pair[b.both_rare] = 0  # they are scored by `finish`
-                per, times = np.repeat(np.arange(b.placed), b.per), b.n.astype(np.float64)
-                count = np.zeros(len(b.w), _I64)
+                per = np.repeat(np.arange(b.placed), b_per)
+                count = np.zeros(b.placed, _I64)
                 count[b.tail] = b.tail_count()[b.tail_of]
-                place, at = np.unique(b.doc.astype(_I64), return_inverse=True)
-                tail = ~b.head[per]
-                yield by_batch(b.batches, at, place, pair[per] * times, times * (tail & (count[per] > 0)), np.where(tail, weigh(count[per]), 0) * times)
+                tail = np.zeros(b.placed, bool)
+                tail[b.tail] = True
+                place, at = np.unique(b_doc, return_inverse=True)
+                yield by_batch(batches_, at, place, pair[per] * b_n, b_n * (tail & (count > 0))[per], np.where(tail, weigh(count), 0)[per] * b_n)
                 k = b.both_rare
-                target, out, kind = [], [], []
                 if len(k):
-                    on = np.isin(per, k)
+                    mine = np.zeros(b.placed, bool)
+                    mine[k] = True
+                    on = mine[per]
                     target.append(number)
                     kind.append(STANDING)
-                    out.append(pack(b.w[k], b.u[k], least_type(b.count[k]), rare.ravel(), b.per[k], b.doc[on], b.n[on], b.batches))
-                c = np.flatnonzero(b.copy)
-                goes = places(b.w[c], buckets).astype(_I64)
-                order = np.argsort(goes, kind="stable")
-                goes, c, left = goes[order], c[order], left[:, order]
+                    out.append(pack(b.w[k], b.u[k], least_type(b.count[k]), rare.ravel(), b_per[k], b_doc[on], b_n[on], batches_))
+                order = np.argsort(b.dest, kind="stable")
+                goes, c, left = b.dest[order], b.copy[order], left[:, order]
                 first = runs(goes)
                 for x, y in zip(first.tolist(), np.append(first, len(goes))[1:].tolist(), strict=True):
                     target.append(int(goes[x]))
@@ -686,8 +727,13 @@ def score(
         yield pa.RecordBatch.from_arrays([pa.array(ref), *map(pa.array, out)], ["ref", "_known", "_base", "_lm"])
 
     kind, schema = rows.schema["id"].dataType.simpleString(), "kind int, target long, payload binary"
-    sums = shared.keep(kept.select("bucket", "payload").mapInArrow(far, schema), "sums")
-    met = sums.where(F.col("kind") != SUMS).groupBy("target").applyInArrow(finish, schema)
+    sums = shared.keep(kept.select("bucket", "pairs", "places").mapInArrow(far, schema), "sums")
+    hot_scores = np.zeros(len(hot_codes))
+    for raw in sums.where(F.col("kind") == HOT).select("payload").toArrow().column(0):
+        codes, scores = unpack(raw.as_py())
+        hot_scores[found(hot_codes, codes)] = scores
+    hot_models = spark.sparkContext.broadcast((hot_codes, hot_scores))
+    met = sums.where(F.col("kind").isin(STANDING, LEFT)).groupBy("target").applyInArrow(finish, schema)
     near = rows.select("id", "ref", "text").mapInArrow(local, f"id {kind}, ref long, n_tokens long, known long, base double, lm double")
     near = shared.keep(near, "near")
     named = lambda df: df.select(F.col("target").alias("batch"), "payload").withColumn("name", F.lit(False))

@@ -356,7 +356,7 @@ def test_model_is_a_distribution(spark):
     total = Counter()
     chain_kept, chain.kept = chain.kept, None
     for r in chain_kept.collect():
-        b = language_model.Bucket(bytes(r.payload))
+        b = language_model.Bucket(bytes(r.pairs))
         for u, x in zip(b.u.tolist(), chain.pair_scores(r.bucket, b)[0], strict=True):
             total[u] += 10**x
     for w in "abcdef":
