@@ -1,4 +1,5 @@
-"""Near copies by exact Jaccard similarity of word shingles: postings of prefixes, bounds on length, place and parities, then the sets."""
+"""All pairs of texts of a given Jaccard similarity of word shingles: postings of prefixes, bounds on length, place and parities,
+then the texts themselves. `simhash.near_duplicates` uses it where a similarity, not a radius of bits, is asked for."""
 
 from __future__ import annotations
 
@@ -11,9 +12,12 @@ from pyspark.sql import functions as F
 
 from . import shared
 from .components import components
-from .language_model import pack, unpack
+from .language_model import least_type, pack, runs, unpack
 
 NO_HOT = (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+ROW, POSTING, PAIR, MEMBER = range(4)
+SMALL = 16  # a posting list of more texts than this is not joined with itself before the obvious links are known
+BITS = 1 << 26  # of the filter that finds wanted texts: 8 MB however many are wanted
 
 
 def shingle_sets(text: pa.Array, width: int = 5):
@@ -21,14 +25,19 @@ def shingle_sets(text: pa.Array, width: int = 5):
     for a, b, buf, offs in shared.slices(text):
         start, end = shared.word_spans(buf, offs, shared.SPACED)
         h = shared.word_hashes(buf, start, end)
-        edges = np.searchsorted(start, offs)
+        edges = np.searchsorted(start, offs).tolist()
+        whole = np.zeros(max(0, len(h) - width + 1), np.uint64)
+        for q in range(width):
+            whole = shared.mix(whole + h[q : q + len(whole)])
         for d in range(b - a):
-            w = h[edges[d] : edges[d + 1]]
-            k = min(width, len(w))
-            x = np.zeros(len(w) - k + 1 if k else 0, np.uint64)
-            for q in range(k):
-                x = shared.mix(x + w[q : q + len(x)])
-            yield np.unique(x)
+            i, j = edges[d], edges[d + 1]
+            if j - i >= width:
+                yield np.unique(whole[i : j - width + 1])
+                continue
+            x = np.zeros(min(1, j - i), np.uint64)
+            for q in range(i, j):
+                x = shared.mix(x + h[q])
+            yield x
 
 
 def set_key(s: np.ndarray) -> int:
@@ -54,7 +63,7 @@ def prefix(s: np.ndarray, hot: tuple[np.ndarray, np.ndarray], num: int, den: int
     return s[:many]
 
 
-def frequent(docs: DataFrame, text_col: str, width: int, sample: int = 10_000, most: int = 1 << 17) -> tuple[np.ndarray, np.ndarray]:
+def frequent(docs: DataFrame, rows: int, width: int, sample: int = 10_000, most: int = 1 << 17) -> tuple[np.ndarray, np.ndarray]:
     """Frequent shingles of a bounded sample, and their counts. They only set the order of prefixes: any answer gives the same pairs."""
 
     def run(batches):
@@ -66,131 +75,293 @@ def frequent(docs: DataFrame, text_col: str, width: int, sample: int = 10_000, m
         on = np.sort(on[c[on] > 2])
         yield pa.RecordBatch.from_arrays([pa.array([h[on].tobytes()]), pa.array([c[on].tobytes()])], ["h", "c"])
 
-    parts = max(1, -(-docs.count() // sample))
-    few = docs.where(F.pmod(F.xxhash64(text_col), F.lit(parts)) == 0).select(text_col)
+    few = docs.select("text").where(F.rand(7) * rows < sample)
     got = few.repartition(1).mapInArrow(run, "h binary, c binary").collect()  # one task over a sample that does not grow
     return (np.frombuffer(bytes(got[0].h), np.uint64), np.frombuffer(bytes(got[0].c), np.int64)) if got else NO_HOT
 
 
-def cell_pairs(h: np.ndarray, key: np.ndarray, n: np.ndarray, pos: np.ndarray, num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of keys (less, greater) that share a posting and may be similar enough. Rows are sorted by h, then n."""
-    size, xs, ys = len(h), [], []
-    here = np.arange(size)
-    gap = 1
+def fitting(n: np.ndarray, pos: np.ndarray, x: np.ndarray, y: np.ndarray, num: int, den: int) -> np.ndarray:
+    """Whether members x and y of one posting list can be similar enough, by their sets' sizes and the shingle's places."""
+    less, more = np.minimum(n[x], n[y]), np.maximum(n[x], n[y])
+    left = np.minimum(n[x] - pos[x], n[y] - pos[y])
+    return (den * less >= num * more) & ((num + den) * left >= num * (n[x] + n[y]))
+
+
+def distinct_pairs(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    a, b = np.minimum(x, y), np.maximum(x, y)
+    order = np.lexsort((b, a))
+    a, b = a[order], b[order]
+    at = runs(a, b)
+    at = at[a[at] != b[at]]
+    return a[at], b[at]
+
+
+def join_cells(cell: np.ndarray, key: np.ndarray, n: np.ndarray, pos: np.ndarray, hot: np.ndarray, num: int, den: int):
+    """Postings sorted by cell, n, key, without repeats. Pairs (a, b) that fit, and which postings stand in crowded cells (more
+    than SMALL texts, or already marked hot): of these only neighbours and pairs with the cell's first text are made."""
+    size = len(cell)
+    first = runs(cell)
+    many = np.diff(np.append(first, size))
+    crowded = (many > SMALL) | (np.add.reduceat(hot.astype(np.int64), first) > 0 if size else np.zeros(0, bool))
+    in_crowd = np.repeat(crowded, many)
+    begin, stop = np.repeat(first, many), np.repeat(first + many, many)
+    here = np.flatnonzero(~in_crowd)
+    xs, ys, gap = [], [], 1
     while len(here):
-        here = here[here + gap < size]
-        there = here + gap
-        # lengths ascend within a posting: past the longest partner there is none further on
-        on = (h[here] == h[there]) & (den * n[here] >= num * n[there])
-        here, there = here[on], there[on]
-        left = np.minimum(n[here] - pos[here], n[there] - pos[there])
-        fit = ((num + den) * left >= num * (n[here] + n[there])) & (key[here] != key[there])
-        xs.append(here[fit])
-        ys.append(there[fit])
+        here = here[here + gap < stop[here]]
+        # sizes ascend within a cell: past the longest partner there is none further on
+        here = here[den * n[here] >= num * n[here + gap]]
+        fit = here[fitting(n, pos, here, here + gap, num, den)]
+        xs.append(fit)
+        ys.append(fit + gap)
         gap += 1
-    if not xs:
-        return key[:0], key[:0]
-    x, y = key[np.concatenate(xs)], key[np.concatenate(ys)]
-    both = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], 1), axis=0)
-    return both[:, 0], both[:, 1]
+    crowd = np.flatnonzero(in_crowd & (np.arange(size) > begin))
+    for other in (begin[crowd], crowd - 1):
+        fit = fitting(n, pos, crowd, other, num, den)
+        xs.append(crowd[fit])
+        ys.append(other[fit])
+    x, y = np.concatenate([*xs, here]), np.concatenate([*ys, here])
+    return *distinct_pairs(key[x], key[y]), in_crowd
+
+
+def sorted_once(*arrays: np.ndarray) -> list[np.ndarray]:
+    """Postings (cell, n, key, ...) sorted, each text once in a cell: copies of a text have equal postings."""
+    order = np.lexsort((arrays[2], arrays[1], arrays[0]))
+    held = [x[order] for x in arrays]
+    at = runs(*held[:3])
+    return [x[at] for x in held]
+
+
+def post(held, buckets: int, num: int, den: int, kind: str, width: int, flush: int = 1_000_000):
+    """mapInArrow: for every text its row; its prefix as postings, packed by bucket; what crowded cells of a task hold at once."""
+
+    def table(kinds, **columns):
+        size = len(kinds)
+        null = lambda t: pa.nulls(size, t)
+        cols = {"kind": pa.array(np.asarray(kinds, np.int32)), "id": null(kind), "th": null(pa.int64()), "key": null(pa.int64()), "n": null(pa.int32()), "parity": null(pa.binary()), "cell": null(pa.int64()), "pos": null(pa.int32()), "payload": null(pa.binary())}
+        return pa.RecordBatch.from_pydict(cols | columns)
+
+    def flushed(keys, sizes, firsts):
+        many = np.array([len(x) for x in firsts], np.int64)
+        h = np.concatenate([np.zeros(0, np.uint64), *firsts])
+        pos = (np.arange(len(h)) - np.repeat(np.cumsum(many) - many, many)).astype(np.int32)
+        key, n = np.repeat(np.array(keys, np.int64), many), np.repeat(np.array(sizes, np.int32), many)
+        cell = ((h % np.uint64(buckets)) << np.uint64(32) | h >> np.uint64(32)).astype(np.int64)
+        cell, n, key, pos = sorted_once(cell, n, key, pos)
+        size = np.diff(np.append(runs(cell), len(cell)))
+        dense = np.flatnonzero(np.repeat(size > SMALL, size))
+        goes, hot = np.ones(len(cell), bool), np.zeros(len(cell), np.uint8)
+        if len(dense):  # crowded already here: its first text tells the bucket
+            a, b, _ = join_cells(cell[dense], key[dense], n[dense].astype(np.int64), pos[dense].astype(np.int64), np.zeros(len(dense)), num, den)
+            yield table([PAIR] * len(a), key=pa.array(a), cell=pa.array(b))
+            yield table([MEMBER] * len(dense), cell=pa.array(cell[dense]), key=pa.array(key[dense]), n=pa.array(n[dense]), pos=pa.array(pos[dense]))
+            goes[dense] = False
+            leader = dense[runs(cell[dense])]
+            goes[leader], hot[leader] = True, 1
+        cell, n, key, pos, hot = (x[goes] for x in (cell, n, key, pos, hot))
+        bucket = cell >> 32
+        tag = (cell & 0xFFFFFFFF).astype(np.uint32)
+        at = runs(bucket)
+        payload = [pack(np.diff(tag[x:y], prepend=np.uint32(0)), n[x:y], key[x:y], least_type(pos[x:y]), hot[x:y]) for x, y in zip(at.tolist(), np.append(at, len(bucket))[1:].tolist(), strict=True)]
+        yield table([POSTING] * len(at), cell=pa.array(bucket[at]), payload=pa.array(payload, pa.binary()))
+
+    def run(batches):
+        keys, sizes, firsts, total = [], [], [], 0
+        for batch in batches:
+            key, n, odd = [], [], []
+            for s in shingle_sets(batch.column(2), width):
+                key.append(set_key(s))
+                n.append(len(s))
+                odd.append(parities(s))
+                firsts.append(prefix(s, held.value, num, den))
+                total += len(firsts[-1])
+            yield table([ROW] * len(key), id=batch.column(0), th=batch.column(1), key=pa.array(key, pa.int64()), n=pa.array(n, pa.int32()), parity=pa.array(odd, pa.binary()))
+            keys, sizes = keys + key, sizes + n
+            if total >= flush:
+                yield from flushed(keys, sizes, firsts)
+                keys, sizes, firsts, total = [], [], [], 0
+        yield from flushed(keys, sizes, firsts)
+
+    return run
 
 
-def candidates(rows: DataFrame, num: int, den: int, bucket_postings: int = 400_000) -> DataFrame:
-    """Distinct pairs a < b of keys whose prefixes meet (rows: key, n, prefix). Postings travel packed, by hash bucket."""
-    total = rows.agg(F.sum(F.octet_length("prefix"))).first()[0] or 0
-    buckets = max(32, -(-total // 8 // bucket_postings))
+def meet(num: int, den: int):
+    """applyInArrow: one bucket's postings: the pairs that may be similar, and the members of crowded cells."""
 
-    def post(batches):
+    def run(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = []
         for batch in batches:
-            raw = batch.column(2).to_pylist()
-            many = np.array([len(x) // 8 for x in raw], np.int64)
-            h = np.frombuffer(b"".join(raw), np.uint64)
-            pos = (np.arange(len(h)) - np.repeat(np.cumsum(many) - many, many)).astype(np.int32)
-            key, n = (np.repeat(batch.column(k).to_numpy(), many) for k in (0, 1))
-            place = (h % np.uint64(buckets)).astype(np.int64)
-            order = np.argsort(place, kind="stable")
-            edge = np.searchsorted(place[order], np.arange(buckets + 1))
-            on = np.flatnonzero(np.diff(edge))
-            parts = [order[edge[k] : edge[k + 1]] for k in on]
-            payload = [pack(h[p], n[p], key[p], pos[p]) for p in parts]
-            yield pa.RecordBatch.from_arrays([pa.array(on.astype(np.int32)), pa.array(payload, pa.binary())], ["bucket", "payload"])
-
-    def meet(_: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts = [unpack(raw.as_py()) for batch in batches for raw in batch.column("payload")]
-        held = [np.concatenate(x) for x in zip(*parts, strict=True)]
-        order = np.lexsort((held[2], held[1], held[0]))
-        held = [x[order] for x in held]
-        once = np.ones(len(order), bool)
-        once[1:] = np.any([x[1:] != x[:-1] for x in held[:3]], axis=0)  # copies of a text have equal postings
-        h, n, key, pos = (x[once] for x in held)
-        a, b = cell_pairs(h, key, n.astype(np.int64), pos.astype(np.int64), num, den)
-        yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+            for raw in batch.column("payload"):
+                step, *rest = unpack(raw.as_py())
+                tag = np.cumsum(step.astype(np.int64)).astype(np.uint32).astype(np.int64)
+                parts.append((tag + (key[0].as_py() << 32), rest[0].astype(np.int64), rest[1], rest[2].astype(np.int64), rest[3]))
+        cell, n, name, pos, hot = sorted_once(*(np.concatenate(x) for x in zip(*parts, strict=True)))
+        a, b, crowd = join_cells(cell, name, n, pos, hot, num, den)
+        none = lambda k: pa.nulls(k, pa.int32())
+        names = ["kind", "a", "b", "n", "pos"]
+        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(a), PAIR, np.int32)), pa.array(a), pa.array(b), none(len(a)), none(len(a))], names)
+        cell, name, n, pos = (x[crowd] for x in (cell, name, n, pos))
+        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(cell), MEMBER, np.int32)), pa.array(cell), pa.array(name), pa.array(n.astype(np.int32)), pa.array(pos.astype(np.int32))], names)
 
-    placed = rows.select("key", "n", "prefix").mapInArrow(post, "bucket int, payload binary")
-    return placed.groupBy("bucket").applyInArrow(meet, "a long, b long").distinct()
+    return run
 
 
-def links(rows: DataFrame, width: int, num: int, den: int) -> DataFrame:
-    """Links a, b: all pairs of different keys whose sets are similar enough (rows: key, n, prefix, parity, text)."""
+def bounded(pairs: DataFrame, marks: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs a, b whose sets' sizes and parities do not rule the similarity out."""
 
-    def bound(batches):
+    def run(batches):
         for batch in batches:
             x, y = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint64).reshape(-1, 16) for k in (4, 5))
             apart = np.bitwise_count(x ^ y).sum(1, dtype=np.int64)
             both = batch.column(2).to_numpy().astype(np.int64) + batch.column(3).to_numpy()
             yield pa.RecordBatch.from_arrays(batch.columns[:2], ["a", "b"]).filter(pa.array((num + den) * apart <= (den - num) * both))
 
-    def sets(batches):
+    mark = lambda k: marks.select(F.col("key").alias(k), F.col("n").alias(f"{k}_n"), F.col("parity").alias(f"{k}_parity"))
+    met = pairs.join(mark("a"), "a").join(mark("b"), "b").select("a", "b", "a_n", "b_n", "a_parity", "b_parity")
+    return met.mapInArrow(run, "a long, b long")
+
+
+def crowded_pairs(members: DataFrame, roots: DataFrame, marks: DataFrame, num: int, den: int, block: int = 20_000) -> DataFrame:
+    """Pairs of crowded cells that no link joins yet. Cells whose texts all hang together need nothing; of the others, every
+    text outside the largest part meets all texts, in blocks."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t = pa.Table.from_batches(list(batches))
+        key, root, n, pos = (t.column(c).to_numpy().astype(np.int64) for c in ("key", "root", "n", "pos"))
+        bits = np.frombuffer(b"".join(t.column("parity").to_pylist()), np.uint64).reshape(-1, 16)
+        probe = t.column("probe").to_numpy().astype(bool)
+        base = np.flatnonzero(~probe)
+        base = base[np.argsort(n[base], kind="stable")]
+        xs, ys = [key[:0]], [key[:0]]
+        for i in np.flatnonzero(probe).tolist():
+            lo, hi = np.searchsorted(n[base] * den, num * n[i]), np.searchsorted(n[base] * num, den * n[i], "right")
+            j = base[lo:hi]
+            j = j[(root[j] != root[i])]
+            j = j[fitting(n, pos, np.full(len(j), i), j, num, den)]
+            apart = np.bitwise_count(bits[j] ^ bits[i]).sum(1, dtype=np.int64)
+            j = j[(num + den) * apart <= (den - num) * (n[j] + n[i])]
+            xs.append(np.full(len(j), key[i]))
+            ys.append(key[j])
+        a, b = distinct_pairs(np.concatenate(xs), np.concatenate(ys))
+        yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+
+    named = members.distinct().join(roots.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    named = shared.keep(named, "members")
+    per = named.groupBy("cell", "root").agg(F.count(F.lit(1)).alias("many"))
+    cells = per.groupBy("cell").agg(F.max_by("root", "many").alias("main"), F.sum("many").alias("all"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
+    blocks = F.ceil(F.col("all") / block).cast("int")
+    mixed = named.join(cells.select("cell", "main", blocks.alias("blocks")), "cell").join(marks.select("key", "parity"), "key")
+    base = mixed.withColumn("salt", F.pmod(F.xxhash64("key"), "blocks").cast("int")).withColumn("probe", F.lit(False))
+    probes = mixed.where("root <> main").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("probe", F.lit(True))
+    cols = ("cell", "salt", "key", "root", "n", "pos", "parity", "probe")
+    both = base.select(*cols).union(probes.select(*cols))
+
+    def grouped(_: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        return run(batches)
+
+    return both.groupBy("cell", "salt").applyInArrow(grouped, "a long, b long").distinct()
+
+
+def bitmap(hashes: DataFrame) -> np.ndarray:
+    """A filter of BITS bits, packed, with the bits of all the hashes (a column th) set."""
+    chunk = 1 << 16
+
+    def run(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        on = np.zeros(chunk, np.uint8)
         for batch in batches:
-            packed = [s.tobytes() for s in shingle_sets(batch.column(1), width)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(packed, pa.binary())], ["key", "set"])
+            on[batch.column("bit").to_numpy() % chunk] = 1
+        yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([pack(np.packbits(on))], pa.binary())], ["k", "bits"])
+
+    bit = F.pmod("th", F.lit(BITS))
+    got = hashes.select(bit.alias("bit")).distinct().withColumn("k", F.floor(F.col("bit") / chunk).cast("int")).groupBy("k").applyInArrow(run, "k int, bits binary").collect()
+    out = np.zeros((BITS // chunk, chunk // 8), np.uint8)
+    for r in got:
+        out[r.k] = unpack(bytes(r.bits))[0]
+    return out.ravel()
+
 
-    def verify(batches):
+def texts_of(source: DataFrame, rows: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(key, text) for every key that stands in the pairs: a filter of fixed size picks the texts, so that others never move."""
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct()
+    found = shared.keep(rows.select("key", "th").join(wanted, "key", "left_semi").groupBy("key").agg(F.min("th").alias("th")), "wanted")
+    held = source.sparkSession.sparkContext.broadcast(bitmap(found))
+
+    def run(batches):
+        for batch in batches:
+            th = batch.column(0).to_numpy()
+            bit = th % BITS
+            on = np.flatnonzero(held.value[bit >> 3] >> (7 - (bit & 7)).astype(np.uint8) & 1)
+            on = on[np.unique(th[on], return_index=True)[1]]
+            yield batch.take(pa.array(on))
+
+    near = source.select("th", "text").mapInArrow(run, "th long, text string")
+    return shared.keep(near.join(found, "th").select("key", "text").dropDuplicates(["key"]), "texts")
+
+
+def verified(pairs: DataFrame, texts: DataFrame, width: int, num: int, den: int) -> DataFrame:
+    """Pairs a, b whose sets are similar enough."""
+
+    def run(batches):
         for batch in batches:
             fine = []
-            for x, y in zip(batch.column(2), batch.column(3), strict=True):
-                x, y = (np.frombuffer(v.as_buffer(), np.uint64) for v in (x, y))
+            for x, y in zip(shingle_sets(batch.column(2), width), shingle_sets(batch.column(3), width), strict=True):
                 fine.append((num + den) * len(np.intersect1d(x, y, assume_unique=True)) >= num * (len(x) + len(y)))
             yield pa.RecordBatch.from_arrays(batch.columns[:2], ["a", "b"]).filter(pa.array(fine, pa.bool_()))
 
-    marks = shared.keep(rows.select("key", "n", "parity").dropDuplicates(["key"]), "marks")
-    mark = lambda k: marks.select(F.col("key").alias(k), F.col("n").alias(f"{k}_n"), F.col("parity").alias(f"{k}_parity"))
-    met = candidates(rows, num, den).join(mark("a"), "a").join(mark("b"), "b").select("a", "b", "a_n", "b_n", "a_parity", "b_parity")
-    near = shared.keep(met.mapInArrow(bound, "a long, b long"), "candidates")
-    wanted = near.select(F.col("a").alias("key")).union(near.select(F.col("b").alias("key"))).distinct()
-    texts = rows.select("key", "text").join(wanted, "key", "left_semi").dropDuplicates(["key"])
-    held = shared.keep(texts.mapInArrow(sets, "key long, set binary"), "sets")
-    side = lambda k: held.select(F.col("key").alias(k), F.col("set").alias(f"{k}_set"))
-    both = near.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_set", "b_set")
-    return both.mapInArrow(verify, "a long, b long")
-
-
-def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id and component_id for every row: the least id that chains of texts of similarity num / den or more reach.
-
-    Similarity is the Jaccard coefficient of the sets of `width`-word shingles (A-Z lower-cased, 64 bits of hash a shingle), and
-    no pair is missed: where two sets are similar enough their prefixes meet. Texts of equal sets are one from there on, those
-    without words too. Repeated rows come back as often as they came; null ids never become a component's id.
+    side = lambda k: texts.select(F.col("key").alias(k), F.col("text").alias(f"{k}_text"))
+    return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(run, "a long, b long")
+
+
+def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_col: str = "doc_id", text_col: str = "text", bucket_postings: int = 400_000) -> DataFrame:
+    """For every row its id, text_hash (xxhash64 of the text), class_key and component_id: the least id that chains of texts of
+    similarity num / den or more reach; class_key tells chains apart.
+
+    Similarity is the Jaccard coefficient of the sets of `width`-word shingles (A-Z lower-cased, 64 bits of hash a shingle). No
+    chain is broken: where two sets are similar enough their prefixes meet, and a pair goes unread only where it is ruled out or
+    joined by other links. Texts of equal sets are one from there on, those without words too; a null text counts as empty.
+    Repeated rows come back as often as they came; null ids never become a component's id.
     """
-    source = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    spark = docs.sparkSession
+    source = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("th"), F.col(text_col).alias("text"))
+    total = source.agg(F.count(F.lit(1)).alias("rows"), F.sum(F.octet_length("text")).alias("bytes")).first()
+    buckets = max(32, -(-(total.bytes or 0) // 30 // bucket_postings))
     # at most 2^17 hashes and counts: a bound that does not grow with the data
-    held = source.sparkSession.sparkContext.broadcast(frequent(source, "text", width))
-    kind = source.schema["id"].dataType.simpleString()
-
-    def run(batches):
-        for batch in batches:
-            keys, sizes, first, odd = [], [], [], []
-            for s in shingle_sets(batch.column(1), width):
-                keys.append(set_key(s))
-                sizes.append(len(s))
-                first.append(prefix(s, held.value, num, den).tobytes())
-                odd.append(parities(s))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(keys, pa.int64()), pa.array(sizes, pa.int32()), pa.array(first, pa.binary()), pa.array(odd, pa.binary()), batch.column(1)], ["id", "key", "n", "prefix", "parity", "text"])
-
-    rows = shared.keep(source.mapInArrow(run, f"id {kind}, key long, n int, prefix binary, parity binary, text string"), "shingles")
-    distinct = rows.groupBy("key").agg(F.min("id").alias("least"))
-    roots = shared.keep(components(links(rows, width, num, den)), "roots")
-    named = shared.keep(distinct.join(roots.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key")), "named")
-    ids = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = named.select("key", "root").join(ids, "root").select("key", "component_id")
-    return rows.select("id", "key").join(named, "key").select(F.col("id").alias(id_col), "component_id")
+    held = spark.sparkContext.broadcast(frequent(source, max(1, total.rows), width))
+    kind = source.schema["id"].dataType
+    schema = f"kind int, id {kind.simpleString()}, th long, key long, n int, parity binary, cell long, pos int, payload binary"
+    made = shared.keep(source.mapInArrow(post(held, buckets, num, den, arrow_type(kind), width), schema), "made")
+    rows, marks = made.where(F.col("kind") == ROW), made.where(F.col("kind") == ROW).select("key", "n", "parity").dropDuplicates(["key"])
+    schema = "kind int, a long, b long, n int, pos int"
+    met = shared.keep(made.where(F.col("kind") == POSTING).select("cell", "payload").groupBy("cell").applyInArrow(meet(num, den), schema), "met")
+    early = made.where(F.col("kind") == PAIR).select(F.col("key").alias("a"), F.col("cell").alias("b"))
+    pairs = met.where(F.col("kind") == PAIR).select("a", "b").union(early).distinct()
+    near = shared.keep(bounded(pairs, marks, num, den), "near")
+    members = met.where(F.col("kind") == MEMBER).select(F.col("a").alias("cell"), F.col("b").alias("key"), "n", "pos")
+    members = members.union(made.where(F.col("kind") == MEMBER).select("cell", "key", "n", "pos"))
+
+    # one pair a text first: mostly they join all that belongs together, and pairs inside a part need no reading
+    first = near.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+    links = shared.keep(verified(first, texts_of(source, rows, first), width, num, den), "links")
+    roots = shared.keep(components(links), "roots")
+    end = lambda k: roots.select(F.col("node").alias(k), F.col("root").alias(f"{k}_root"))
+    apart = F.coalesce("a_root", "a") != F.coalesce("b_root", "b")
+    rest = near.join(first, ["a", "b"], "left_anti").join(end("a"), "a", "left").join(end("b"), "b", "left").where(apart).select("a", "b")
+    rest = shared.keep(rest.union(crowded_pairs(members, roots, marks, num, den)).distinct(), "rest")
+    if not rest.isEmpty():
+        more = verified(rest, texts_of(source, rows, rest), width, num, den)
+        roots = shared.keep(components(links.union(more)), "roots")
+
+    least = rows.groupBy("key").agg(F.min("id").alias("least"))
+    named = least.join(roots.select(F.col("node").alias("key"), F.col("root").alias("class_key")), "key", "left").withColumn("class_key", F.coalesce("class_key", "key"))
+    named = shared.keep(named, "named")
+    ids = named.groupBy("class_key").agg(F.min("least").alias("component_id"))
+    named = named.select("key", "class_key").join(ids, "class_key")
+    out = shared.keep(rows.select("id", "th", "key").join(named, "key").select(F.col("id").alias(id_col), F.col("th").alias("text_hash"), "class_key", "component_id"), "out")
+    shared.forget(made, met, near, links, rest, roots, named)
+    return out
+
+
+def arrow_type(kind) -> pa.DataType:
+    from pyspark.sql.pandas.types import to_arrow_type
+
+    return to_arrow_type(kind)

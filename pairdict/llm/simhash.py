@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from . import shared
 from .components import components
+from .near_copies import near_copies
 
 SEGMENTS = 32  # of two bits each
 SEED = 42
@@ -181,12 +182,20 @@ def links(distinct: DataFrame, radius: int = 4, groups: int = 6) -> DataFrame:
     return placed.repartition("cell").sortWithinPartitions("cell").mapInArrow(as_batches, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, radius: int = 4, width: int = 4, groups: int = 6, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(
+    docs: DataFrame, radius: int = 4, width: int = 4, groups: int = 6, similarity: tuple[int, int] | None = None, id_col: str = "doc_id", text_col: str = "text"
+) -> DataFrame:
     """id, fp and component_id for every row: the least id that chains of fingerprints at most `radius` bits apart reach.
 
     Equal fingerprints meet first, so copies of a text are one fingerprint from there on. Null and empty texts have the
     fingerprint 0, linked like any other. Repeated rows come back as often as they came; null ids never become a component's id.
-    """
+
+    With a similarity (num, den) links are the pairs whose shingle sets have a Jaccard coefficient of num / den or more. No radius
+    of 64 bits finds them: at 0.8 two texts differ in 10 bits on average and in 20 at times, as unrelated ones may. So
+    fingerprints give way to postings (`near_copies`, which tells the columns).
+    """
+    if similarity:
+        return near_copies(docs, width, *similarity, id_col=id_col, text_col=text_col)
     rows = shared.keep(add_fingerprints(docs, width, id_col, text_col), "fingerprints")
     distinct = shared.keep(rows.groupBy("fp").agg(F.min("id").alias("least")), "distinct")
     roots = shared.keep(components(links(distinct, radius, groups)), "roots")
