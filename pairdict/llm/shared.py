@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that one kernel call works on; a longer single text is still taken whole.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 19
 
 
 def scratch(spark: SparkSession) -> str:
@@ -113,7 +113,7 @@ _POWERS = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 def powers(n: int):
     if len(_POWERS[0]) < n:
-        m = max(n, SLICE_BYTES + 1)
+        m = 1 << (n - 1).bit_length()
         for k, base in enumerate((_BASE, _INVERSE)):
             p = np.full(m, base, np.uint64)
             p[0] = 1

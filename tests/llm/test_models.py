@@ -170,7 +170,7 @@ def segmentations(voc, unit):
     def go(i, ends, lp):
         if i == len(unit):
             out[sum(1 << (e - 1) for e in ends)] = lp
-        for j in range(i + 1, min(len(unit), i + subwords.WIDEST) + 1):
+        for j in range(i + 1, min(len(unit), i + voc.widest) + 1):
             if unit[i:j] in score:
                 go(j, [*ends, j], lp + score[unit[i:j]])
 
