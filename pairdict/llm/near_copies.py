@@ -63,13 +63,14 @@ def prefix(s: np.ndarray, hot: tuple[np.ndarray, np.ndarray], num: int, den: int
     return s[:many]
 
 
-def frequent(docs: DataFrame, rows: int, width: int, sample: int = 10_000, most: int = 1 << 17) -> tuple[np.ndarray, np.ndarray]:
+def frequent(docs: DataFrame, rows: int, width: int, sample: int = 4_000, most: int = 1 << 17) -> tuple[np.ndarray, np.ndarray]:
     """Frequent shingles of a bounded sample, and their counts. They only set the order of prefixes: any answer gives the same pairs."""
 
     def run(batches):
         held = [np.zeros(0, np.uint64)]
         for batch in batches:
-            held += shingle_sets(batch.column(0), width)
+            for a in range(0, batch.num_rows, 256):
+                held.append(np.concatenate([held[0][:0], *shingle_sets(batch.column(0).slice(a, 256), width)]))
         h, c = np.unique(np.concatenate(held), return_counts=True)
         on = np.argsort(-c, kind="stable")[:most]
         on = np.sort(on[c[on] > 2])
