@@ -17,6 +17,7 @@ from .language_model import least_type, pack, runs, unpack
 NO_HOT = (np.zeros(0, np.uint64), np.zeros(0, np.int64))
 ROW, POSTING, PAIR, MEMBER = range(4)
 SMALL = 16  # a posting list of more texts than this is not joined with itself before the obvious links are known
+ROUNDS = 4  # in all but the last one pair a text is read
 BITS = 1 << 26  # of the filter that finds wanted texts: 8 MB however many are wanted
 
 
@@ -46,8 +47,30 @@ def set_key(s: np.ndarray) -> int:
 
 
 def parities(s: np.ndarray) -> bytes:
-    """1,024 bits: whether a set has an odd number of members in each hash range. Two sets differ in at least as many members as bits."""
-    return np.packbits((np.bincount((s >> np.uint64(54)).astype(np.int64), minlength=1024) & 1).astype(np.uint8)).tobytes()
+    """Whether a set has an odd number of members in each hash range, as bits: ranges enough to hold half a member each, a power
+    of two. Two sets differ in at least as many members as bits, of which the longer row is first folded to the shorter one."""
+    power = min(16, max(8, int(2 * len(s)).bit_length()))
+    return np.packbits((np.bincount((s >> np.uint64(64 - power)).astype(np.int64), minlength=1 << power) & 1).astype(np.uint8)).tobytes()
+
+
+def folded(rows: np.ndarray, size: int) -> np.ndarray:
+    """Rows of parities (bytes) over `size` bytes of coarser ranges."""
+    if rows.shape[1] == size:
+        return rows
+    bits = np.unpackbits(rows, axis=1).reshape(len(rows), size * 8, -1)
+    return np.packbits(np.bitwise_xor.reduce(bits, axis=2), axis=1)
+
+
+def bits_apart(x: list[bytes], y: list[bytes]) -> np.ndarray:
+    """Differing bits of each pair of rows."""
+    sizes = np.array([(len(a), len(b)) for a, b in zip(x, y, strict=True)], np.int64).reshape(-1, 2)
+    out = np.zeros(len(sizes), np.int64)
+    for m, n in np.unique(sizes, axis=0).tolist():
+        on = np.flatnonzero((sizes[:, 0] == m) & (sizes[:, 1] == n))
+        left, right = (np.frombuffer(b"".join([z[k] for k in on.tolist()]), np.uint8).reshape(len(on), -1) for z in (x, y))
+        size = min(m, n)
+        out[on] = np.bitwise_count(folded(left, size) ^ folded(right, size)).sum(1, dtype=np.int64)
+    return out
 
 
 def prefix(s: np.ndarray, hot: tuple[np.ndarray, np.ndarray], num: int, den: int) -> np.ndarray:
@@ -212,8 +235,7 @@ def bounded(pairs: DataFrame, marks: DataFrame, num: int, den: int) -> DataFrame
 
     def run(batches):
         for batch in batches:
-            x, y = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint64).reshape(-1, 16) for k in (4, 5))
-            apart = np.bitwise_count(x ^ y).sum(1, dtype=np.int64)
+            apart = bits_apart(batch.column(4).to_pylist(), batch.column(5).to_pylist())
             both = batch.column(2).to_numpy().astype(np.int64) + batch.column(3).to_numpy()
             yield pa.RecordBatch.from_arrays(batch.columns[:2], ["a", "b"]).filter(pa.array((num + den) * apart <= (den - num) * both))
 
@@ -223,44 +245,49 @@ def bounded(pairs: DataFrame, marks: DataFrame, num: int, den: int) -> DataFrame
 
 
 def crowded_pairs(members: DataFrame, roots: DataFrame, marks: DataFrame, num: int, den: int, block: int = 20_000) -> DataFrame:
-    """Pairs of crowded cells that no link joins yet. Cells whose texts all hang together need nothing; of the others, every
-    text outside the largest part meets all texts, in blocks."""
+    """Pairs of crowded cells that no link joins yet (members: cell, key, n, without repeats). Of cells with the same texts one is
+    read. Cells whose texts all hang together need nothing; of the others, every text outside the largest part meets all texts
+    of other parts, in blocks."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def run(_: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = pa.Table.from_batches(list(batches))
-        key, root, n, pos = (t.column(c).to_numpy().astype(np.int64) for c in ("key", "root", "n", "pos"))
-        bits = np.frombuffer(b"".join(t.column("parity").to_pylist()), np.uint64).reshape(-1, 16)
+        key, root, n = (t.column(c).to_numpy().astype(np.int64) for c in ("key", "root", "n"))
+        raw = t.column("parity").to_pylist()
+        sizes = np.array([len(x) for x in raw], np.int64)
         probe = t.column("probe").to_numpy().astype(bool)
         base = np.flatnonzero(~probe)
         base = base[np.argsort(n[base], kind="stable")]
+        tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+        for size in np.unique(sizes[base]).tolist():
+            mine = base[sizes[base] == size]
+            tables[size] = mine, np.frombuffer(b"".join([raw[k] for k in mine.tolist()]), np.uint8).reshape(len(mine), size)
         xs, ys = [key[:0]], [key[:0]]
         for i in np.flatnonzero(probe).tolist():
-            lo, hi = np.searchsorted(n[base] * den, num * n[i]), np.searchsorted(n[base] * num, den * n[i], "right")
-            j = base[lo:hi]
-            j = j[(root[j] != root[i])]
-            j = j[fitting(n, pos, np.full(len(j), i), j, num, den)]
-            apart = np.bitwise_count(bits[j] ^ bits[i]).sum(1, dtype=np.int64)
-            j = j[(num + den) * apart <= (den - num) * (n[j] + n[i])]
-            xs.append(np.full(len(j), key[i]))
-            ys.append(key[j])
+            own = np.frombuffer(raw[i], np.uint8)[None, :]
+            for size, (mine, rows) in tables.items():
+                lo, hi = np.searchsorted(n[mine] * den, num * n[i]), np.searchsorted(n[mine] * num, den * n[i], "right")
+                at = np.arange(lo, hi)[root[mine[lo:hi]] != root[i]]
+                if len(at):
+                    less = min(size, own.shape[1])
+                    apart = np.bitwise_count(folded(rows[at], less) ^ folded(own, less)).sum(1, dtype=np.int64)
+                    j = mine[at[(num + den) * apart <= (den - num) * (n[mine[at]] + n[i])]]
+                    xs.append(np.full(len(j), key[i]))
+                    ys.append(key[j])
         a, b = distinct_pairs(np.concatenate(xs), np.concatenate(ys))
         yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
-    named = members.distinct().join(roots.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
-    named = shared.keep(named, "members")
+    sets = members.groupBy("cell").agg(F.bit_xor(F.xxhash64("key")).alias("sig"), F.count(F.lit(1)).alias("many"))
+    once = sets.groupBy("sig", "many").agg(F.min("cell").alias("cell")).select("cell")
+    named = members.join(once, "cell", "left_semi").join(roots.select(F.col("node").alias("key"), "root"), "key", "left")
+    named = shared.keep(named.withColumn("root", F.coalesce("root", "key")), "members")
     per = named.groupBy("cell", "root").agg(F.count(F.lit(1)).alias("many"))
     cells = per.groupBy("cell").agg(F.max_by("root", "many").alias("main"), F.sum("many").alias("all"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
     blocks = F.ceil(F.col("all") / block).cast("int")
     mixed = named.join(cells.select("cell", "main", blocks.alias("blocks")), "cell").join(marks.select("key", "parity"), "key")
     base = mixed.withColumn("salt", F.pmod(F.xxhash64("key"), "blocks").cast("int")).withColumn("probe", F.lit(False))
     probes = mixed.where("root <> main").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("probe", F.lit(True))
-    cols = ("cell", "salt", "key", "root", "n", "pos", "parity", "probe")
-    both = base.select(*cols).union(probes.select(*cols))
-
-    def grouped(_: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        return run(batches)
-
-    return both.groupBy("cell", "salt").applyInArrow(grouped, "a long, b long").distinct()
+    cols = ("cell", "salt", "key", "root", "n", "parity", "probe")
+    return base.select(*cols).union(probes.select(*cols)).groupBy("cell", "salt").applyInArrow(run, "a long, b long").distinct()
 
 
 def bitmap(hashes: DataFrame) -> np.ndarray:
@@ -337,20 +364,26 @@ def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_
     early = made.where(F.col("kind") == PAIR).select(F.col("key").alias("a"), F.col("cell").alias("b"))
     pairs = met.where(F.col("kind") == PAIR).select("a", "b").union(early).distinct()
     near = shared.keep(bounded(pairs, marks, num, den), "near")
-    members = met.where(F.col("kind") == MEMBER).select(F.col("a").alias("cell"), F.col("b").alias("key"), "n", "pos")
-    members = members.union(made.where(F.col("kind") == MEMBER).select("cell", "key", "n", "pos"))
-
-    # one pair a text first: mostly they join all that belongs together, and pairs inside a part need no reading
-    first = near.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    links = shared.keep(verified(first, texts_of(source, rows, first), width, num, den), "links")
-    roots = shared.keep(components(links), "roots")
-    end = lambda k: roots.select(F.col("node").alias(k), F.col("root").alias(f"{k}_root"))
-    apart = F.coalesce("a_root", "a") != F.coalesce("b_root", "b")
-    rest = near.join(first, ["a", "b"], "left_anti").join(end("a"), "a", "left").join(end("b"), "b", "left").where(apart).select("a", "b")
-    rest = shared.keep(rest.union(crowded_pairs(members, roots, marks, num, den)).distinct(), "rest")
-    if not rest.isEmpty():
-        more = verified(rest, texts_of(source, rows, rest), width, num, den)
-        roots = shared.keep(components(links.union(more)), "roots")
+    members = met.where(F.col("kind") == MEMBER).select(F.col("a").alias("cell"), F.col("b").alias("key"), "n")
+    members = members.union(made.where(F.col("kind") == MEMBER).select("cell", "key", "n")).distinct()
+
+    # one pair a text at a time: mostly they join all that belongs together, and pairs inside a part need no reading
+    links, old, left = None, [], near
+    for turn in range(ROUNDS):
+        read = left if turn == ROUNDS - 1 else shared.keep(left.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "read")
+        texts = texts_of(source, rows, read)
+        fine = verified(read, texts, width, num, den)
+        links = shared.keep(fine if links is None else links.union(fine), "links")
+        roots = shared.keep(components(links), "roots")
+        end = lambda k, roots=roots: roots.select(F.col("node").alias(k), F.col("root").alias(f"{k}_root"))
+        apart = F.coalesce("a_root", "a") != F.coalesce("b_root", "b")
+        rest = left.join(read, ["a", "b"], "left_anti").join(end("a"), "a", "left").join(end("b"), "b", "left").where(apart).select("a", "b")
+        if not turn:
+            rest = rest.union(crowded_pairs(members, roots, marks, num, den)).distinct()
+        old += [left, read, texts, links]
+        left = shared.keep(rest, "rest")
+        if left.isEmpty():
+            break
 
     least = rows.groupBy("key").agg(F.min("id").alias("least"))
     named = least.join(roots.select(F.col("node").alias("key"), F.col("root").alias("class_key")), "key", "left").withColumn("class_key", F.coalesce("class_key", "key"))
@@ -358,7 +391,7 @@ def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_
     ids = named.groupBy("class_key").agg(F.min("least").alias("component_id"))
     named = named.select("key", "class_key").join(ids, "class_key")
     out = shared.keep(rows.select("id", "th", "key").join(named, "key").select(F.col("id").alias(id_col), F.col("th").alias("text_hash"), "class_key", "component_id"), "out")
-    shared.forget(made, met, near, links, rest, roots, named)
+    shared.forget(made, met, roots, named, left, *old)
     return out
 
 
