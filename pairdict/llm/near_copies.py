@@ -17,7 +17,7 @@ from .language_model import least_type, pack, runs, unpack
 NO_HOT = (np.zeros(0, np.uint64), np.zeros(0, np.int64))
 ROW, POSTING, PAIR, MEMBER = range(4)
 SMALL = 16  # a posting list of more texts than this is not joined with itself before the obvious links are known
-ROUNDS = 4  # in all but the last one pair a text is read
+TURNS = 5  # in all but the last one pair a text is read
 BITS = 1 << 26  # of the filter that finds wanted texts: 8 MB however many are wanted
 
 
@@ -244,10 +244,10 @@ def bounded(pairs: DataFrame, marks: DataFrame, num: int, den: int) -> DataFrame
     return met.mapInArrow(run, "a long, b long")
 
 
-def crowded_pairs(members: DataFrame, roots: DataFrame, marks: DataFrame, num: int, den: int, block: int = 20_000) -> DataFrame:
+def crowded_pairs(members: DataFrame, roots: DataFrame, marks: DataFrame, num: int, den: int, closest: bool, block: int = 20_000) -> DataFrame:
     """Pairs of crowded cells that no link joins yet (members: cell, key, n, without repeats). Of cells with the same texts one is
     read. Cells whose texts all hang together need nothing; of the others, every text outside the largest part meets all texts
-    of other parts, in blocks."""
+    of other parts, in blocks. closest: only the pair with the fewest parities apart of each such text, cell and block."""
 
     def run(_: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = pa.Table.from_batches(list(batches))
@@ -263,16 +263,20 @@ def crowded_pairs(members: DataFrame, roots: DataFrame, marks: DataFrame, num: i
             tables[size] = mine, np.frombuffer(b"".join([raw[k] for k in mine.tolist()]), np.uint8).reshape(len(mine), size)
         xs, ys = [key[:0]], [key[:0]]
         for i in np.flatnonzero(probe).tolist():
-            own = np.frombuffer(raw[i], np.uint8)[None, :]
+            own, near, far = np.frombuffer(raw[i], np.uint8)[None, :], key[:0], np.zeros(0)
             for size, (mine, rows) in tables.items():
                 lo, hi = np.searchsorted(n[mine] * den, num * n[i]), np.searchsorted(n[mine] * num, den * n[i], "right")
                 at = np.arange(lo, hi)[root[mine[lo:hi]] != root[i]]
                 if len(at):
                     less = min(size, own.shape[1])
                     apart = np.bitwise_count(folded(rows[at], less) ^ folded(own, less)).sum(1, dtype=np.int64)
-                    j = mine[at[(num + den) * apart <= (den - num) * (n[mine[at]] + n[i])]]
-                    xs.append(np.full(len(j), key[i]))
-                    ys.append(key[j])
+                    both = n[mine[at]] + n[i]
+                    on = (num + den) * apart <= (den - num) * both
+                    near, far = np.append(near, key[mine[at[on]]]), np.append(far, apart[on] / both[on])
+            if closest and len(near):
+                near = near[far.argmin()][None]
+            xs.append(np.full(len(near), key[i]))
+            ys.append(near)
         a, b = distinct_pairs(np.concatenate(xs), np.concatenate(ys))
         yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
@@ -365,25 +369,32 @@ def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_
     pairs = met.where(F.col("kind") == PAIR).select("a", "b").union(early).distinct()
     near = shared.keep(bounded(pairs, marks, num, den), "near")
     members = met.where(F.col("kind") == MEMBER).select(F.col("a").alias("cell"), F.col("b").alias("key"), "n")
-    members = members.union(made.where(F.col("kind") == MEMBER).select("cell", "key", "n")).distinct()
-
-    # one pair a text at a time: mostly they join all that belongs together, and pairs inside a part need no reading
-    links, old, left = None, [], near
-    for turn in range(ROUNDS):
-        read = left if turn == ROUNDS - 1 else shared.keep(left.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "read")
+    members = shared.keep(members.union(made.where(F.col("kind") == MEMBER).select("cell", "key", "n")).distinct(), "crowds")
+    crowds = not members.isEmpty()
+
+    # one pair a text at a time, from some of the crowded cells: mostly these join all that belongs together, and pairs inside a
+    # part need no reading. The last turn has all that is left, from all cells.
+    links, old, left, roots = None, [members], near, None
+    for turn in range(TURNS):
+        last = turn == TURNS - 1
+        if turn and crowds:
+            some = members if last else members.where(F.pmod(F.xxhash64("cell"), F.lit(16)) == turn)
+            left = left.union(crowded_pairs(some, roots, marks, num, den, not last)).distinct()
+        if turn:
+            left = shared.keep(left, "left")
+            old.append(left)
+            if left.isEmpty():
+                continue
+        read = left if last else shared.keep(left.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "read")
         texts = texts_of(source, rows, read)
         fine = verified(read, texts, width, num, den)
         links = shared.keep(fine if links is None else links.union(fine), "links")
         roots = shared.keep(components(links), "roots")
         end = lambda k, roots=roots: roots.select(F.col("node").alias(k), F.col("root").alias(f"{k}_root"))
         apart = F.coalesce("a_root", "a") != F.coalesce("b_root", "b")
-        rest = left.join(read, ["a", "b"], "left_anti").join(end("a"), "a", "left").join(end("b"), "b", "left").where(apart).select("a", "b")
-        if not turn:
-            rest = rest.union(crowded_pairs(members, roots, marks, num, den)).distinct()
-        old += [left, read, texts, links]
-        left = shared.keep(rest, "rest")
-        if left.isEmpty():
-            break
+        old += [read, texts, links]
+        if not last:
+            left = left.join(read, ["a", "b"], "left_anti").join(end("a"), "a", "left").join(end("b"), "b", "left").where(apart).select("a", "b")
 
     least = rows.groupBy("key").agg(F.min("id").alias("least"))
     named = least.join(roots.select(F.col("node").alias("key"), F.col("root").alias("class_key")), "key", "left").withColumn("class_key", F.coalesce("class_key", "key"))
@@ -391,7 +402,7 @@ def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_
     ids = named.groupBy("class_key").agg(F.min("least").alias("component_id"))
     named = named.select("key", "class_key").join(ids, "class_key")
     out = shared.keep(rows.select("id", "th", "key").join(named, "key").select(F.col("id").alias(id_col), F.col("th").alias("text_hash"), "class_key", "component_id"), "out")
-    shared.forget(made, met, roots, named, left, *old)
+    shared.forget(made, met, near, roots, named, *old)
     return out
 
 
