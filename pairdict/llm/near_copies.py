@@ -17,7 +17,7 @@ from .language_model import least_type, pack, runs, unpack
 NO_HOT = (np.zeros(0, np.uint64), np.zeros(0, np.int64))
 ROW, POSTING, PAIR, MEMBER = range(4)
 SMALL = 16  # a posting list of more texts than this is not joined with itself before the obvious links are known
-TURNS = 5  # in all but the last one pair a text is read
+TURNS = 4  # in all but the last one pair a text is read
 BITS = 1 << 26  # of the filter that finds wanted texts: 8 MB however many are wanted
 
 
@@ -47,9 +47,9 @@ def set_key(s: np.ndarray) -> int:
 
 
 def parities(s: np.ndarray) -> bytes:
-    """Whether a set has an odd number of members in each hash range, as bits: ranges enough to hold half a member each, a power
+    """Whether a set has an odd number of members in each hash range, as bits: ranges enough to hold a member each at most, a power
     of two. Two sets differ in at least as many members as bits, of which the longer row is first folded to the shorter one."""
-    power = min(16, max(8, int(2 * len(s)).bit_length()))
+    power = min(16, max(8, len(s).bit_length()))
     return np.packbits((np.bincount((s >> np.uint64(64 - power)).astype(np.int64), minlength=1 << power) & 1).astype(np.uint8)).tobytes()
 
 
@@ -245,9 +245,10 @@ def bounded(pairs: DataFrame, marks: DataFrame, num: int, den: int) -> DataFrame
 
 
 def crowded_pairs(members: DataFrame, roots: DataFrame, marks: DataFrame, num: int, den: int, closest: bool, block: int = 20_000) -> DataFrame:
-    """Pairs of crowded cells that no link joins yet (members: cell, key, n, without repeats). Of cells with the same texts one is
-    read. Cells whose texts all hang together need nothing; of the others, every text outside the largest part meets all texts
-    of other parts, in blocks. closest: only the pair with the fewest parities apart of each such text, cell and block."""
+    """Pairs of crowded cells that no link joins yet (members: cell, key, n, without repeats). Cells whose texts all hang together
+    need nothing. In the others, the texts outside the largest part meet each other; and they meet the whole of that part, but
+    once for all the cells they share with it, in blocks. closest: they meet the largest part alone, and only the pair with the
+    fewest parities apart of each such text counts."""
 
     def run(_: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = pa.Table.from_batches(list(batches))
@@ -280,18 +281,22 @@ def crowded_pairs(members: DataFrame, roots: DataFrame, marks: DataFrame, num: i
         a, b = distinct_pairs(np.concatenate(xs), np.concatenate(ys))
         yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
-    sets = members.groupBy("cell").agg(F.bit_xor(F.xxhash64("key")).alias("sig"), F.count(F.lit(1)).alias("many"))
-    once = sets.groupBy("sig", "many").agg(F.min("cell").alias("cell")).select("cell")
-    named = members.join(once, "cell", "left_semi").join(roots.select(F.col("node").alias("key"), "root"), "key", "left")
-    named = shared.keep(named.withColumn("root", F.coalesce("root", "key")), "members")
+    named = members.join(roots.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    named = shared.keep(named, "members")
     per = named.groupBy("cell", "root").agg(F.count(F.lit(1)).alias("many"))
-    cells = per.groupBy("cell").agg(F.max_by("root", "many").alias("main"), F.sum("many").alias("all"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
-    blocks = F.ceil(F.col("all") / block).cast("int")
-    mixed = named.join(cells.select("cell", "main", blocks.alias("blocks")), "cell").join(marks.select("key", "parity"), "key")
-    base = mixed.withColumn("salt", F.pmod(F.xxhash64("key"), "blocks").cast("int")).withColumn("probe", F.lit(False))
-    probes = mixed.where("root <> main").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("probe", F.lit(True))
-    cols = ("cell", "salt", "key", "root", "n", "parity", "probe")
-    return base.select(*cols).union(probes.select(*cols)).groupBy("cell", "salt").applyInArrow(run, "a long, b long").distinct()
+    cells = per.groupBy("cell").agg(F.max_by("root", "many").alias("main"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
+    apart = shared.keep(named.join(cells, "cell").where("root <> main").select("cell", "main", "key", "root", "n", (F.col("roots") > 2).alias("several")), "apart")
+    parts = apart.select(F.col("main").alias("group")).distinct()
+    cols = ("group", "own", "key", "root", "n", "probe")
+    mark = lambda df, own, probe: df.withColumn("own", F.lit(own)).withColumn("probe", F.lit(probe)).select(*cols)
+    few = apart.where("several" if not closest else "false").withColumn("group", F.col("cell"))
+    base = mark(few, True, False).union(mark(named.select("key", "root", "n").distinct().join(parts, F.col("root") == F.col("group")), False, False))
+    probes = mark(few, True, True).union(mark(apart.select(F.col("main").alias("group"), "key", "root", "n").distinct(), False, True))
+    blocks = base.groupBy("group", "own").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"))
+    base = base.join(blocks, ["group", "own"]).withColumn("salt", F.pmod(F.xxhash64("key"), "blocks").cast("int"))
+    probes = probes.join(blocks, ["group", "own"]).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    both = base.select(*cols, "salt").union(probes.select(*cols, "salt")).join(marks.select("key", "parity"), "key")
+    return both.groupBy("group", "own", "salt").applyInArrow(run, "a long, b long").distinct()
 
 
 def bitmap(hashes: DataFrame) -> np.ndarray:
@@ -362,24 +367,26 @@ def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_
     kind = source.schema["id"].dataType
     schema = f"kind int, id {kind.simpleString()}, th long, key long, n int, parity binary, cell long, pos int, payload binary"
     made = shared.keep(source.mapInArrow(post(held, buckets, num, den, arrow_type(kind), width), schema), "made")
-    rows, marks = made.where(F.col("kind") == ROW), made.where(F.col("kind") == ROW).select("key", "n", "parity").dropDuplicates(["key"])
+    rows = made.where(F.col("kind") == ROW)
     schema = "kind int, a long, b long, n int, pos int"
     met = shared.keep(made.where(F.col("kind") == POSTING).select("cell", "payload").groupBy("cell").applyInArrow(meet(num, den), schema), "met")
     early = made.where(F.col("kind") == PAIR).select(F.col("key").alias("a"), F.col("cell").alias("b"))
-    pairs = met.where(F.col("kind") == PAIR).select("a", "b").union(early).distinct()
-    near = shared.keep(bounded(pairs, marks, num, den), "near")
+    pairs = shared.keep(met.where(F.col("kind") == PAIR).select("a", "b").union(early).distinct(), "pairs")
     members = met.where(F.col("kind") == MEMBER).select(F.col("a").alias("cell"), F.col("b").alias("key"), "n")
     members = shared.keep(members.union(made.where(F.col("kind") == MEMBER).select("cell", "key", "n")).distinct(), "crowds")
     crowds = not members.isEmpty()
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).union(members.select("key")).distinct()
+    marks = shared.keep(rows.select("key", "n", "parity").join(wanted, "key", "left_semi").dropDuplicates(["key"]), "marks")
+    near = shared.keep(bounded(pairs, marks, num, den), "near")
 
-    # one pair a text at a time, from some of the crowded cells: mostly these join all that belongs together, and pairs inside a
-    # part need no reading. The last turn has all that is left, from all cells.
-    links, old, left, roots = None, [members], near, None
+    # one pair a text at a time: mostly these join all that belongs together, and pairs inside a part need no reading. The last
+    # turn has all that is left.
+    links, old, left = None, [members, marks, pairs], near
+    roots = spark.createDataFrame([], "node long, root long")
     for turn in range(TURNS):
         last = turn == TURNS - 1
         if turn and crowds:
-            some = members if last else members.where(F.pmod(F.xxhash64("cell"), F.lit(16)) == turn)
-            left = left.union(crowded_pairs(some, roots, marks, num, den, not last)).distinct()
+            left = left.union(crowded_pairs(members, roots, marks, num, den, not last)).distinct()
         if turn:
             left = shared.keep(left, "left")
             old.append(left)
