@@ -156,7 +156,7 @@ def sorted_once(*arrays: np.ndarray) -> list[np.ndarray]:
     return [x[at] for x in held]
 
 
-def post(held, buckets: int, num: int, den: int, kind: str, width: int, flush: int = 1_000_000):
+def post(held, buckets: int, num: int, den: int, kind: str, width: int, flush: int = 400_000):
     """mapInArrow: for every text its row; its prefix as postings, packed by bucket; what crowded cells of a task hold at once."""
 
     def table(kinds, **columns):
@@ -317,6 +317,21 @@ def bitmap(hashes: DataFrame) -> np.ndarray:
     return out.ravel()
 
 
+def parted(rows: DataFrame, hashes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The rows (first column: th) that surely have none of the hashes, and the others; nothing moves."""
+    held = rows.sparkSession.sparkContext.broadcast(bitmap(hashes))
+
+    def side(wanted: bool):
+        def run(batches):
+            for batch in batches:
+                bit = batch.column(0).to_numpy() % BITS
+                yield batch.filter(pa.array((held.value[bit >> 3] >> (7 - (bit & 7)).astype(np.uint8) & 1).astype(bool) == wanted))
+
+        return rows.mapInArrow(run, rows.schema)
+
+    return side(False), side(True)
+
+
 def texts_of(source: DataFrame, rows: DataFrame, pairs: DataFrame) -> DataFrame:
     """(key, text) for every key that stands in the pairs: a filter of fixed size picks the texts, so that others never move."""
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct()
