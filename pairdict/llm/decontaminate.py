@@ -246,7 +246,7 @@ def scan(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: str = "
             columns.append(pa.array(cleaned, pa.string()))
             yield pa.RecordBatch.from_arrays(columns, [*(f.name for f in names), "n_words", "n_hit", "items", "spans", text_col])
 
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(shared.tidily(run), schema)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

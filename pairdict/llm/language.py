@@ -172,7 +172,7 @@ def identify(docs: DataFrame, model: Model, text_col: str = "text", keep: list[s
             yield pa.RecordBatch.from_arrays(columns, [*keep, "lang_pred", "score"])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[:-1])
-    return rows.mapInArrow(run, f"{fields}, lang_pred string, score double")
+    return rows.mapInArrow(shared.tidily(run), f"{fields}, lang_pred string, score double")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

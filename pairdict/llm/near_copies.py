@@ -100,7 +100,7 @@ def frequent(docs: DataFrame, rows: int, width: int, sample: int = 4_000, most:
         yield pa.RecordBatch.from_arrays([pa.array([h[on].tobytes()]), pa.array([c[on].tobytes()])], ["h", "c"])
 
     few = docs.select("text").where(F.rand(7) * rows < sample)
-    got = few.repartition(1).mapInArrow(run, "h binary, c binary").collect()  # one task over a sample that does not grow
+    got = few.repartition(1).mapInArrow(shared.tidily(run), "h binary, c binary").collect()  # one task over a sample that does not grow
     return (np.frombuffer(bytes(got[0].h), np.uint64), np.frombuffer(bytes(got[0].c), np.int64)) if got else NO_HOT
 
 
@@ -206,7 +206,7 @@ def post(held, buckets: int, num: int, den: int, kind: str, width: int, flush: i
                 keys, sizes, firsts, total = [], [], [], 0
         yield from flushed(keys, sizes, firsts)
 
-    return run
+    return shared.tidily(run)
 
 
 def meet(num: int, den: int):
@@ -241,7 +241,7 @@ def bounded(pairs: DataFrame, marks: DataFrame, num: int, den: int) -> DataFrame
 
     mark = lambda k: marks.select(F.col("key").alias(k), F.col("n").alias(f"{k}_n"), F.col("parity").alias(f"{k}_parity"))
     met = pairs.join(mark("a"), "a").join(mark("b"), "b").select("a", "b", "a_n", "b_n", "a_parity", "b_parity")
-    return met.mapInArrow(run, "a long, b long")
+    return met.mapInArrow(shared.tidily(run), "a long, b long")
 
 
 def crowded_pairs(members: DataFrame, roots: DataFrame, marks: DataFrame, num: int, den: int, closest: bool, block: int = 20_000) -> DataFrame:
@@ -327,7 +327,7 @@ def parted(rows: DataFrame, hashes: DataFrame) -> tuple[DataFrame, DataFrame]:
                 bit = batch.column(0).to_numpy() % BITS
                 yield batch.filter(pa.array((held.value[bit >> 3] >> (7 - (bit & 7)).astype(np.uint8) & 1).astype(bool) == wanted))
 
-        return rows.mapInArrow(run, rows.schema)
+        return rows.mapInArrow(shared.tidily(run), rows.schema)
 
     return side(False), side(True)
 
@@ -346,8 +346,11 @@ def texts_of(source: DataFrame, rows: DataFrame, pairs: DataFrame) -> DataFrame:
             on = on[np.unique(th[on], return_index=True)[1]]
             yield batch.take(pa.array(on))
 
-    near = source.select("th", "text").mapInArrow(run, "th long, text string")
-    return shared.keep(near.join(found, "th").select("key", "text").dropDuplicates(["key"]), "texts")
+    near = source.select("th", "text").mapInArrow(shared.tidily(run), "th long, text string")
+    out = shared.keep(near.join(found, "th").select("key", "text").dropDuplicates(["key"]), "texts")
+    held.unpersist()
+    shared.forget(found)
+    return out
 
 
 def verified(pairs: DataFrame, texts: DataFrame, width: int, num: int, den: int) -> DataFrame:
@@ -361,7 +364,7 @@ def verified(pairs: DataFrame, texts: DataFrame, width: int, num: int, den: int)
             yield pa.RecordBatch.from_arrays(batch.columns[:2], ["a", "b"]).filter(pa.array(fine, pa.bool_()))
 
     side = lambda k: texts.select(F.col("key").alias(k), F.col("text").alias(f"{k}_text"))
-    return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(run, "a long, b long")
+    return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(shared.tidily(run), "a long, b long")
 
 
 def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_col: str = "doc_id", text_col: str = "text", bucket_postings: int = 400_000) -> DataFrame:
