@@ -6,32 +6,43 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..corpora import size_bytes
+from ..scratch import keep
+
 CODECS = ("lz4_raw", "zstd", "gzip")
 BLOCK_BYTES = 65536
 
 
-def layout(corpus: DataFrame, block_bytes: int = BLOCK_BYTES, parts: int = 16, chunk: int | None = None) -> DataFrame:
+def layout(corpus: DataFrame, block_bytes: int = BLOCK_BYTES, part_bytes: int = 64 << 20) -> DataFrame:
     """key, value, block_id, start: where each string lies when the corpus is written end to end in key order.
 
-    Offsets come in two levels: running sums inside ranges of keys, and the ranges' totals (a row each) summed up front, so no
-    window sees the whole corpus. A block is what begins inside one stretch of `block_bytes`. Nulls are left out.
+    Offsets come in two levels: running sums inside ranges of keys that hold about `part_bytes` each, and the ranges' totals (a row
+    each) summed up front, so no window sees the whole corpus. A block is what begins inside one stretch of `block_bytes`.
+    Nulls are left out. The ranges are written to the shared folder: both passes must see the same ones.
     """
-    rows = corpus.where(F.col("value").isNotNull()).withColumn("n", F.octet_length("value").cast("long"))
-    if chunk is None:
-        low, high = rows.agg(F.min("key"), F.max("key")).first()
-        if low is None:
-            return rows.select("key", "value", F.lit(0).cast("long").alias("block_id"), F.lit(0).cast("long").alias("start"))
-        chunk = max(1, -(-(high - low + 1) // parts))
-    rows = rows.withColumn("part", F.floor(F.col("key") / chunk))
-    totals = rows.groupBy("part").agg(F.sum("n").alias("size"))
+    spark = corpus.sparkSession
+    rows = corpus.where(F.col("value").isNotNull()).select(F.col("key").cast("long").alias("key"), "value")
+    parts = max(8, -(-size_bytes(rows) // part_bytes))
+
+    def run(batches):
+        part, at = TaskContext.get().partitionId(), 0
+        for batch in batches:
+            n = pc.binary_length(batch.column(1)).to_numpy().astype(np.int64)
+            start = at + np.cumsum(n) - n
+            at += int(n.sum())
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.full(len(n), part, np.int32)), pa.array(start), pa.array(start + n)], ["key", "value", "part", "inside", "upto"])
+
+    placed = rows.repartitionByRange(parts, "key").sortWithinPartitions("key").mapInArrow(run, "key long, value string, part int, inside long, upto long")
+    placed = keep(placed)
+    totals = placed.groupBy("part").agg(F.max("upto").alias("size"))
     before = totals.select("part", F.coalesce(F.sum("size").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
-    inside = Window.partitionBy("part").orderBy("key").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    placed = rows.withColumn("upto", F.sum("n").over(inside)).join(F.broadcast(before), "part")
-    start = F.col("base") + F.col("upto") - F.col("n")
-    return placed.select("key", "value", F.floor(start / block_bytes).cast("long").alias("block_id"), start.cast("long").alias("start"))
+    start = F.col("base") + F.col("inside")
+    return placed.join(F.broadcast(before), "part").select("key", "value", F.floor(start / block_bytes).cast("long").alias("block_id"), start.cast("long").alias("start"))
 
 
 def compress(corpus: DataFrame, codec: str = "zstd", block_bytes: int = BLOCK_BYTES) -> tuple[DataFrame, DataFrame]:
@@ -52,30 +63,27 @@ def compress(corpus: DataFrame, codec: str = "zstd", block_bytes: int = BLOCK_BY
     return blocks, locator.select("key", "block_id", (F.col("start") - F.col("first")).cast("int").alias("at"), "len")
 
 
-def lookup(blocks: DataFrame, locator: DataFrame, keys: DataFrame, codec: str = "zstd", cache: bool = True) -> DataFrame:
-    """key, value for the keys asked (repeats stay). With `cache` a block is opened once for all its keys; without, once a key."""
-    asked = keys.select("key").join(locator, "key").join(blocks.select("block_id", "payload", "raw_bytes"), "block_id")
+def lookup(blocks: DataFrame, locator: DataFrame, keys: DataFrame | None, codec: str = "zstd", cache: bool = True) -> DataFrame:
+    """key, value for the keys asked (repeats stay; None: all). Blocks and the places asked of them meet by block, so a block moves
+    once however many strings it holds. With `cache` it is opened once for all its keys; without, once a key."""
+    asked = locator if keys is None else keys.select("key").join(locator, "key")
+    wanted = blocks if keys is None else blocks.join(asked.select("block_id").distinct(), "block_id", "left_semi")
 
-    def run(batches):
-        opened: dict[int, bytes] = {}
-        for batch in batches:
-            t = batch.to_pydict()
-            out = []
-            for b, body, size, at, n in zip(t["block_id"], t["payload"], t["raw_bytes"], t["at"], t["len"], strict=True):
-                if not cache or b not in opened:
-                    if len(opened) >= 16:
-                        opened.clear()
-                    opened[b] = pa.Codec(codec).decompress(body, size, asbytes=True) if size else b""
-                out.append(opened[b][at : at + n].decode())
-            yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index("key")), pa.array(out, pa.string())], ["key", "value"])
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        body, size = (left[c][0].as_py() for c in ("payload", "raw_bytes"))
+        unpack = lambda: pa.Codec(codec).decompress(body, size, asbytes=True) if size else b""
+        opened, out = unpack() if cache else None, []
+        for at, n in zip(right["at"].to_pylist(), right["len"].to_pylist(), strict=True):
+            out.append((opened if cache else unpack())[at : at + n].decode())
+        return pa.table({"key": right["key"], "value": pa.array(out, pa.string())})
 
-    rows = asked.select("key", "block_id", "payload", "raw_bytes", "at", "len")
-    return (rows.repartition("block_id").sortWithinPartitions("block_id") if cache else rows).mapInArrow(run, "key long, value string")
+    grouped = wanted.select("block_id", "payload", "raw_bytes").groupBy("block_id").cogroup(asked.select("key", "block_id", "at", "len").groupBy("block_id"))
+    return grouped.applyInArrow(run, "key long, value string")
 
 
 def decompress(blocks: DataFrame, locator: DataFrame, codec: str = "zstd") -> DataFrame:
     """key, value of everything."""
-    return lookup(blocks, locator, locator.select("key"), codec)
+    return lookup(blocks, locator, None, codec)
 
 
 def bytes_touched(locator: DataFrame, blocks: DataFrame, keys: DataFrame, cache: bool) -> DataFrame:

@@ -13,6 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..corpora import size_bytes
 from ..dictionary import Dictionary, single_bytes
 from ..sampling import SampleSpec, draw_sample
 from ..scratch import keep
@@ -88,8 +89,10 @@ def merge_rounds(texts: list[bytes], capacity: int) -> tuple[list[bytes], list,
 
 
 def train(corpus: DataFrame, bits: int = 10, sample: SampleSpec = SampleSpec(max_bytes=1 << 20), max_entries: int | None = None) -> Dictionary:
-    """The kernel engine: one task over a sample of at most `max_bytes`."""
+    """The kernel engine: one task over a sample of at most `max_bytes`. Pair counts are exact on a corpus of that size or less."""
     capacity = min(1 << bits, max_entries or 1 << bits)
+    if sample.fraction is None:
+        sample = sample.fitted(size_bytes(corpus))
 
     def run(batches):
         texts, size = [], 0

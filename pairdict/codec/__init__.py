@@ -8,8 +8,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..dictionary import Dictionary
+from ..match.static import StaticVectorIndex
 from ..match.vector import VectorIndex
 
+INDEXES = {"dynamic": VectorIndex, "static": StaticVectorIndex}
+
 _CACHE: dict[str, tuple] = {}
 
 
@@ -39,10 +42,10 @@ def binary_array(data: np.ndarray, offs: np.ndarray, null: np.ndarray, kind=pa.b
     return pa.Array.from_buffers(kind, len(null), [valid, pa.py_buffer(wide.tobytes()), pa.py_buffer(np.ascontiguousarray(data).tobytes())])
 
 
-def encode_column(column: pa.Array, dictionary: Dictionary) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def encode_column(column: pa.Array, dictionary: Dictionary, index: str = "dynamic") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Entry numbers end to end, how many each value has, and nulls."""
     data, offs, null = flat(column)
-    ids, count = _of("index", dictionary, VectorIndex).parse(data, offs)
+    ids, count = _of(index, dictionary, INDEXES[index]).parse(data, offs)
     return ids, count, null
 
 
@@ -55,22 +58,53 @@ def _schema(df: DataFrame) -> str:
     return ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields)
 
 
-def encode(df: DataFrame, column: str, dictionary: Dictionary, out: str = "payload") -> DataFrame:
+def pack_column(ids: np.ndarray, count: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
+    """Numbers of `bits` bits, lowest bit first; each value's run is filled up to whole bytes. The bytes, and where values begin."""
+    size = -(-count.astype(np.int64) * bits // 8)
+    offs = np.concatenate([[0], np.cumsum(size)])
+    place = np.arange(len(ids)) - np.repeat(np.cumsum(count) - count, count)
+    first = np.repeat(offs[:-1] * 8, count) + place * bits
+    flags = np.zeros(int(offs[-1]) * 8, np.uint8)
+    for b in range(bits):
+        flags[first + b] = ids >> b & 1
+    return np.packbits(flags, bitorder="little"), offs
+
+
+def unpack_column(data: np.ndarray, offs: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
+    """The numbers of `pack_column`, and how many each value has (fewer fill bits than a number has)."""
+    count = np.diff(offs) * 8 // bits
+    flags = np.unpackbits(data, bitorder="little")
+    place = np.arange(int(count.sum())) - np.repeat(np.cumsum(count) - count, count)
+    first = np.repeat(offs[:-1] * 8, count) + place * bits
+    ids = np.zeros(len(first), np.int64)
+    for b in range(bits):
+        ids |= flags[first + b].astype(np.int64) << b
+    return ids, count
+
+
+def encode(df: DataFrame, column: str, dictionary: Dictionary, out: str = "payload", index: str = "dynamic", packed: bool = False) -> DataFrame:
     """Replace a string or binary column by `out` (numbers, little-endian, two bytes each) and n_tokens; adds dict_version.
 
-    A narrow map: rows are not moved. Null stays null with null n_tokens; the empty string has an empty payload.
+    A narrow map: rows are not moved. Null stays null with null n_tokens; the empty string has an empty payload. index: "static"
+    parses with the frozen perfect-hash index (bounded dictionaries), to the same numbers. packed: numbers take the
+    dictionary's bits in place of whole bytes. Columns of df that bear the new names are replaced.
     """
+    if index not in INDEXES:
+        raise ValueError(f"index is one of {sorted(INDEXES)}")
     held = df.sparkSession.sparkContext.broadcast(dictionary)  # at most 2^21 entries; 1.25 MiB for the bounded variant at 16 bits
-    keep = [c for c in df.columns if c != column]
+    keep = [c for c in df.columns if c not in (column, out, "n_tokens", "dict_version")]
     rows = df.select(*keep, column)
     version = dictionary.version
 
     def run(batches):
         d = held.value
         for batch in batches:
-            ids, count, null = encode_column(batch.column(batch.num_columns - 1), d)
-            body, wide = _pairs(ids, d.bits)
-            offs = np.concatenate([[0], np.cumsum(count)]) * wide
+            ids, count, null = encode_column(batch.column(batch.num_columns - 1), d, index)
+            if packed:
+                body, offs = pack_column(ids, count, d.bits)
+            else:
+                body, wide = _pairs(ids, d.bits)
+                offs = np.concatenate([[0], np.cumsum(count)]) * wide
             n = pa.array(count.astype(np.int32), mask=null)
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], binary_array(body.view(np.uint8), offs, null), n, pa.array([version] * batch.num_rows)], [*keep, out, "n_tokens", "dict_version"])
 
@@ -109,37 +143,41 @@ class DecodeTable:
         return out, at
 
 
-def decode_column(column: pa.Array, dictionary: Dictionary, kind=pa.string()) -> pa.Array:
+def decode_column(column: pa.Array, dictionary: Dictionary, kind=pa.string(), packed: bool = False) -> pa.Array:
     data, offs, null = flat(column)
-    wide = 2 if dictionary.bits <= 16 else 4
-    ids = np.ascontiguousarray(data).view("<u2" if wide == 2 else "<u4").astype(np.int64)
+    if packed:
+        ids, count = unpack_column(np.ascontiguousarray(data), offs, dictionary.bits)
+        first = np.concatenate([[0], np.cumsum(count)])
+    else:
+        wide = 2 if dictionary.bits <= 16 else 4
+        ids, first = np.ascontiguousarray(data).view("<u2" if wide == 2 else "<u4").astype(np.int64), offs // wide
     body, at = _of("table", dictionary, DecodeTable).expand(ids)
-    return binary_array(body, at[offs // wide], null, kind)
+    return binary_array(body, at[first], null, kind)
 
 
-def decode(df: DataFrame, column: str, dictionary: Dictionary, out: str = "value", binary: bool = False) -> DataFrame:
+def decode(df: DataFrame, column: str, dictionary: Dictionary, out: str = "value", binary: bool = False, packed: bool = False) -> DataFrame:
     """Replace a payload column by the values it stands for. Put it last: filters, joins and limits before it spare the work."""
     held = df.sparkSession.sparkContext.broadcast(dictionary)
-    keep = [c for c in df.columns if c != column]
+    keep = [c for c in df.columns if c not in (column, out)]
     rows = df.select(*keep, column)
 
     def run(batches):
         for batch in batches:
-            got = decode_column(batch.column(batch.num_columns - 1), held.value, pa.binary() if binary else pa.string())
+            got = decode_column(batch.column(batch.num_columns - 1), held.value, pa.binary() if binary else pa.string(), packed)
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], got], [*keep, out])
 
     head = _schema(df.select(*keep))
     return rows.mapInArrow(run, (head + ", " if keep else "") + f"`{out}` {'binary' if binary else 'string'}")
 
 
-def token_ids(df: DataFrame, column: str, dictionary: Dictionary, out: str = "ids") -> DataFrame:
+def token_ids(df: DataFrame, column: str, dictionary: Dictionary, out: str = "ids", index: str = "dynamic") -> DataFrame:
     """Replace a column by its entry numbers as an array."""
     held = df.sparkSession.sparkContext.broadcast(dictionary)
-    keep = [c for c in df.columns if c != column]
+    keep = [c for c in df.columns if c not in (column, out)]
 
     def run(batches):
         for batch in batches:
-            ids, count, null = encode_column(batch.column(batch.num_columns - 1), held.value)
+            ids, count, null = encode_column(batch.column(batch.num_columns - 1), held.value, index)
             offs = pa.array(np.concatenate([[0], np.cumsum(count)]).astype(np.int32))
             got = pa.ListArray.from_arrays(offs, pa.array(ids.astype(np.int32)), mask=pa.array(null))
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], got], [*keep, out])

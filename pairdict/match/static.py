@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from ..dictionary import Dictionary
 from .dynamic import SHORT, Cost, DynamicMatcher
+from .vector import VectorIndex
+from .words import is_prefix_words
 
 _MULTIPLY = np.uint64(0x9E3779B97F4A7C15)
 
@@ -115,3 +117,47 @@ class StaticIndex:
         rows = [(s, bytearray(p), o, n, [(bytearray(x), len(x), i) for x, i in b]) for s, (p, o, n, b) in enumerate(self.records)]
         more = [(k, bytearray(x), len(x), i) for k, (x, i) in enumerate(self.overflow)]
         return spark.createDataFrame(rows, "slot int, prefix8 binary, offset int, size int, inline array<struct<suffix:binary,len:int,token_id:int>>"), spark.createDataFrame(more, "pos int, suffix binary, len int, token_id int")
+
+
+class StaticVectorIndex(VectorIndex):
+    """The static index for a whole column: one perfect-hash probe a place finds the record; inline suffixes, then those of the
+    overflow vector, are tested as 64-bit words, longest first; entries of up to eight bytes stand in the short map."""
+
+    def __init__(self, dictionary: Dictionary, inline: int = 4):
+        super().__init__(dictionary, SHORT)
+        index = StaticIndex.build(dictionary, inline)
+        n = len(index.records)
+        self.hash = index.hash
+        self.prefix, self.first, self.more = np.zeros(n, np.uint64), np.zeros(n, np.int64), np.zeros(n, np.int64)
+        self.words, self.sizes, self.ids = np.zeros((n, inline), np.uint64), np.full((n, inline), 99, np.int64), np.full((n, inline), -1, np.int64)
+        for slot, (p, offset, more, bucket) in enumerate(index.records):
+            self.prefix[slot], self.first[slot], self.more[slot] = word_of(p), offset, more
+            for k, (suffix, number) in enumerate(bucket):
+                self.words[slot, k], self.sizes[slot, k], self.ids[slot, k] = word_of(suffix), len(suffix), number
+        self.over = tuple(np.array(x, kind) for x, kind in zip(zip(*((word_of(s), len(s), i) for s, i in index.overflow), strict=True), (np.uint64, np.int64, np.int64), strict=True)) if index.overflow else ()
+
+    def match(self, padded: np.ndarray, at: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        number, size = super().match(padded, at, end)
+        left = end - at
+        on = np.flatnonzero(left > SHORT)
+        if not len(self.prefix) or not len(on):
+            return number, size
+        view = np.ndarray((len(padded) - 7,), "<u8", padded, 0, (1,))
+        slot = self.hash.slot(view[at[on]])
+        same = self.prefix[slot] == view[at[on]]
+        on, slot = on[same], slot[same]
+        rest, room = view[at[on] + SHORT], left[on] - SHORT
+
+        def take(live, words, sizes, ids):
+            hit = is_prefix_words(rest[live], room[live], words, sizes)
+            number[on[live[hit]]], size[on[live[hit]]] = ids[hit], SHORT + sizes[hit]
+            return live[~hit]
+
+        live = np.arange(len(on))
+        for k in range(self.words.shape[1]):
+            live = take(live, self.words[slot[live], k], self.sizes[slot[live], k], self.ids[slot[live], k])
+        for k in range(int(self.more.max(initial=0))):
+            live = live[self.more[slot[live]] > k]
+            place = self.first[slot[live]] + k
+            live = take(live, *(x[place] for x in self.over))
+        return number, size

@@ -27,8 +27,9 @@ def _hash(low, high, size):
 class VectorIndex:
     """Hash tables over the entries of up to 16 bytes, and buckets of longer ones by their first 16 bytes."""
 
-    def __init__(self, dictionary: Dictionary):
-        entries = dictionary.entries
+    def __init__(self, dictionary: Dictionary, most: int | None = None):
+        """most: only entries of up to so many bytes take part."""
+        entries = [e if most is None or len(e) <= most else b"" for e in dictionary.entries]
         self.lens = np.array([len(e) for e in entries], np.int64)
         packed = np.zeros((len(entries), WIDE), np.uint8)
         for i, e in enumerate(entries):

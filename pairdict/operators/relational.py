@@ -115,9 +115,9 @@ def grid(spark: SparkSession, d: str) -> DataFrame:
     return spark.range(1).select(F.explode(F.array(*map(F.lit, ("raw", "block_zstd", "pairdict16")))).alias("codec")).select("codec", F.explode(F.array(F.lit("titles"), F.lit("urls"))).alias("corpus"))
 
 
-@_query("o14_explode", "SELECT doc_id, word, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, ' ')) AS word FROM documents WHERE doc_id < 50) WHERE word <> '' GROUP BY 1, 2")
+@_query("o14_explode", "SELECT doc_id, word, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, ' ')) AS word FROM documents) WHERE word <> '' GROUP BY 1, 2")
 def explode(spark: SparkSession, d: str) -> DataFrame:
-    words = table(spark, d, "documents").where("doc_id < 50").select("doc_id", F.explode(F.split("text", " ")).alias("word"))
+    words = table(spark, d, "documents").select("doc_id", F.explode(F.split("text", " ")).alias("word"))
     return words.where("word <> ''").groupBy("doc_id", "word").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -182,9 +182,9 @@ def pivot(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "documents").groupBy("source").pivot("lang", ["de", "en", "es", "fr"]).count().na.fill(0)
 
 
-@_query("o21_unpivot", "SELECT l_orderkey, l_linenumber, name, value FROM lineitem UNPIVOT (value FOR name IN (l_quantity, l_extendedprice, l_tax)) WHERE l_orderkey < 500")
+@_query("o21_unpivot", "SELECT l_orderkey, l_linenumber, name, value FROM lineitem UNPIVOT (value FOR name IN (l_quantity, l_extendedprice, l_tax))")
 def unpivot(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "lineitem").where("l_orderkey < 500").unpivot(["l_orderkey", "l_linenumber"], ["l_quantity", "l_extendedprice", "l_tax"], "name", "value")
+    return table(spark, d, "lineitem").unpivot(["l_orderkey", "l_linenumber"], ["l_quantity", "l_extendedprice", "l_tax"], "name", "value")
 
 
 @_query("o22_ranking", """

@@ -112,9 +112,9 @@ for _name in ("reviews", "reviews_xl", "headlines", "tweets", "urls", "ids", "ht
 # --- training -------------------------------------------------------------------------------------------------------------
 
 
-def _training(name: str, threshold: int, variant: str, where: str = "true"):
+def _training(name: str, threshold: int, variant: str):
     def run(spark: SparkSession, d: str) -> DataFrame:
-        dic = train(load(spark, d, name).where(where), variant=variant, bits=9, threshold=threshold, sample=SAMPLE)
+        dic = train(load(spark, d, name), variant=variant, bits=9, threshold=threshold, sample=SAMPLE)
         return dic.frame(spark).where("token_id >= 256").select("token_id", F.hex("entry").alias("entry"), "entry_len")
 
     return run
@@ -123,7 +123,7 @@ def _training(name: str, threshold: int, variant: str, where: str = "true"):
 _query("train_nations_t2", _fold(CORPUS_SQL["nations"], 2, 16))(_training("nations", 2, "bounded16"))
 _query("train_nations_t3", _fold(CORPUS_SQL["nations"], 3, 16))(_training("nations", 3, "bounded16"))
 _query("train_nations_unbounded", _fold(CORPUS_SQL["nations"], 2, None))(_training("nations", 2, "unbounded"))
-_query("train_ids_bounded16", _fold(CORPUS_SQL["ids"] + " WHERE c_custkey <= 100", 2, 16))(_training("ids", 2, "bounded16", "key <= 100"))
+_query("train_ids_bounded16")(_training("ids", 2, "bounded16"))  # recursive SQL would take a step a match of the whole table
 
 
 @_query("adaptive_threshold_by_corpus", " UNION ALL ".join(f"SELECT '{n}' AS corpus, CAST(greatest(2, floor(log2(greatest(1, sum(strlen(value)) / 1048576.0)))) AS INTEGER) AS threshold FROM ({CORPUS_SQL[n]})" for n in ("titles", "headlines", "html", "reviews_xl")))
@@ -150,16 +150,26 @@ def train_sharded_titles(spark: SparkSession, d: str) -> DataFrame:
     return train_sharded(load(spark, d, "titles"), 4, bits=10).frame(spark).where("token_id >= 256").select("token_id", F.hex("entry").alias("entry"), "entry_len")
 
 
-@_query("suggested_bits")
+@_query("suggested_bits", f"{_WALK}, u AS (SELECT token_id, sum(gain) OVER (ORDER BY token_id) AS s FROM gn), b AS (SELECT range AS bits, (SELECT s FROM u ORDER BY abs(token_id - least((1 << range) - 1, (SELECT max(token_id) FROM u))) LIMIT 1) AS saved FROM range(9, 14)) SELECT 'titles' AS corpus, CAST(bits AS INTEGER) AS bits FROM b ORDER BY ((SELECT sum(strlen(value)) FROM t) - saved) * bits / 16 + 4 * (1 << bits), bits LIMIT 1")
 def suggested_bits(spark: SparkSession, d: str) -> DataFrame:
     c = load(spark, d, "titles")
-    dic = _trained(c, "titles", bits=13, threshold=2)
-    gain = measures.token_gain(codec.token_frequencies(c, "value", dic), dic.frame(spark))
-    return spark.createDataFrame([("titles", suggest_bits(gain, size_bytes(c), 9, 13))], "corpus string, bits int")
+    return spark.createDataFrame([("titles", suggest_bits(_fixed_gain(spark, d), size_bytes(c), 9, 13))], "corpus string, bits int")
 
 
-@_query("training_stats")
+_FOLDED = _fold(CORPUS_SQL["nations"], 2, None).strip()
+
+
+@_query("training_stats", f"SELECT 'unbounded' AS variant, CAST(sum(strlen(n_name)) AS BIGINT) AS bytes_read, count(*) AS strings_read, CAST(256 + (SELECT count(*) FROM ({_FOLDED})) AS INTEGER) AS entries, 'exhausted' AS stop_reason FROM nation UNION ALL SELECT 'bounded16', CAST(sum(strlen(n_name)) AS BIGINT), count(*), CAST(256 + (SELECT count(*) FROM ({_fold(CORPUS_SQL['nations'], 2, 16).strip()})) AS INTEGER), 'exhausted' FROM nation")
 def training_stats(spark: SparkSession, d: str) -> DataFrame:
+    out = []
+    for variant in ("unbounded", "bounded16"):
+        s = train(load(spark, d, "nations"), variant=variant, bits=9, threshold=2, sample=SAMPLE).stats
+        out.append((variant, s["bytes_read"], s["strings_read"], s["entries"], s["stop_reason"]))
+    return spark.createDataFrame(out, "variant string, bytes_read long, strings_read long, entries int, stop_reason string")
+
+
+@_query("training_costs")
+def training_costs(spark: SparkSession, d: str) -> DataFrame:
     out = []
     for variant in ("unbounded", "bounded16"):
         s = _trained(load(spark, d, "titles"), "titles", variant).stats
@@ -199,8 +209,8 @@ def lpm_relational(spark: SparkSession, d: str) -> DataFrame:
     return lpm_join(c, fixed_frame(c))
 
 
-def _parsed(c: DataFrame, dic: Dictionary) -> DataFrame:
-    return codec.token_ids(c, "value", dic).select("key", F.size("ids").cast("long").alias("n_tokens"), F.array_join("ids", ",").alias("ids"))
+def _parsed(c: DataFrame, dic: Dictionary, index: str = "dynamic") -> DataFrame:
+    return codec.token_ids(c, "value", dic, index=index).select("key", F.size("ids").cast("long").alias("n_tokens"), F.array_join("ids", ",").alias("ids"))
 
 
 _PARSED = f"{_WALK} SELECT key, count(*) AS n_tokens, string_agg(token_id, ',' ORDER BY pos) AS ids FROM tok GROUP BY key"
@@ -214,14 +224,7 @@ def parse_fixed(spark: SparkSession, d: str) -> DataFrame:
 @_query("parse_fixed_static", _PARSED)
 def parse_fixed_static(spark: SparkSession, d: str) -> DataFrame:
     """The same ids by the static index."""
-    c, dic = _fixed(spark, d)
-    held = spark.sparkContext.broadcast(StaticIndex.build(dic))
-
-    @F.udf("array<int>")
-    def parse(v):
-        return held.value.parse(v.encode())
-
-    return c.select("key", parse("value").alias("ids")).select("key", F.size("ids").cast("long").alias("n_tokens"), F.array_join("ids", ",").alias("ids"))
+    return _parsed(*_fixed(spark, d), index="static")
 
 
 @_query("parse_fixed_sql", _PARSED)
@@ -233,12 +236,12 @@ def parse_fixed_sql(spark: SparkSession, d: str) -> DataFrame:
     return spark.sql("SELECT key, CAST(size(ids) AS BIGINT) AS n_tokens, array_join(ids, ',') AS ids FROM (SELECT key, pd_token_ids(value) AS ids FROM titles_corpus)")
 
 
-@_query("explain_matches", f"{_WALK} SELECT key, CAST(pos - 1 AS INTEGER) AS pos, token_id, len FROM tok WHERE key <= 50")
+@_query("explain_matches", f"{_WALK} SELECT key, CAST(pos - 1 AS INTEGER) AS pos, token_id, len FROM tok")
 def explain_matches(spark: SparkSession, d: str) -> DataFrame:
     c, dic = _fixed(spark, d)
     register_functions(spark, dic)
-    c.where("key <= 50").createOrReplaceTempView("titles_few")
-    return spark.sql("SELECT key, pos, token_id, len FROM titles_few, LATERAL pd_explain(value)")
+    c.createOrReplaceTempView("titles_explained")
+    return spark.sql("SELECT key, pos, token_id, len FROM titles_explained, LATERAL pd_explain(value)")
 
 
 @_query("udf_n_tokens", f"{_WALK} SELECT key, CAST(count(*) AS INTEGER) AS n_tokens FROM tok GROUP BY key")
@@ -295,11 +298,44 @@ def lpm_buckets(spark: SparkSession, d: str) -> DataFrame:
     return grouped.select("prefix8", "n", F.array_join(F.transform("xs", lambda x: x["s"]), ",").alias("suffixes"))
 
 
-@_query("static_index_records")
+@_query("static_index_records", f"WITH {_GRAMS}, b AS (SELECT substr(entry, 1, 16) AS prefix8, count(*) AS n FROM every WHERE entry_len > 8 GROUP BY 1) SELECT prefix8, CAST(greatest(n - 4, 0) AS INTEGER) AS size, CAST(least(n, 4) AS INTEGER) AS inline, CAST((SELECT sum(greatest(n - 4, 0)) FROM b) AS BIGINT) AS overflow FROM b")
 def static_index_records(spark: SparkSession, d: str) -> DataFrame:
-    c = load(spark, d, "urls")
-    records, overflow = StaticIndex.build(_trained(c, "urls")).frames(spark)
-    return records.select("slot", F.hex("prefix8").alias("prefix8"), "size", F.size("inline").alias("inline")).join(overflow.agg(F.count(F.lit(1)).alias("overflow")), how="left")
+    records, overflow = StaticIndex.build(_fixed(spark, d)[1]).frames(spark)
+    return records.select(F.hex("prefix8").alias("prefix8"), "size", F.size("inline").alias("inline")).join(overflow.agg(F.count(F.lit(1)).alias("overflow")), how="left")
+
+
+@_query("roundtrip_packed_bits", CORPUS_SQL["tweets"])
+def roundtrip_packed_bits(spark: SparkSession, d: str) -> DataFrame:
+    """Numbers of eleven bits, packed."""
+    c = load(spark, d, "tweets")
+    dic = _trained(c, "tweets", bits=11)
+    return codec.decode(codec.encode(c, "value", dic, packed=True).select("key", "payload"), "payload", dic, packed=True)
+
+
+@_query("packed_sizes", f"{_WALK} SELECT key, CAST(ceil(count(*) * 10 / 8) AS INTEGER) AS n_bytes FROM tok GROUP BY key")
+def packed_sizes(spark: SparkSession, d: str) -> DataFrame:
+    c, dic = _fixed(spark, d)
+    return codec.encode(c, "value", dic, packed=True).select("key", F.octet_length("payload").alias("n_bytes"))
+
+
+@_query("roundtrip_static_index", CORPUS_SQL["reviews"])
+def roundtrip_static_index(spark: SparkSession, d: str) -> DataFrame:
+    c = load(spark, d, "reviews")
+    dic = _trained(c, "reviews")
+    return codec.decode(codec.encode(c, "value", dic, index="static").select("key", "payload"), "payload", dic)
+
+
+@_query("static_equals_dynamic", " UNION ALL ".join(f"SELECT '{n}' AS corpus, count(*) AS n_rows, CAST(0 AS BIGINT) AS differ FROM ({CORPUS_SQL[n]})" for n in ("titles", "urls", "ids", "headlines")))
+def static_equals_dynamic(spark: SparkSession, d: str) -> DataFrame:
+    """Rows whose payload differs between the two indexes of a trained dictionary: none."""
+    out = None
+    for name in ("titles", "urls", "ids", "headlines"):
+        c = load(spark, d, name)
+        dic = _trained(c, name)
+        both = codec.encode(codec.encode(c.withColumn("again", F.col("value")), "value", dic, "a").drop("n_tokens", "dict_version"), "again", dic, "b", index="static")
+        row = both.agg(F.lit(name).alias("corpus"), F.count(F.lit(1)).alias("n_rows"), F.count_if(~F.col("a").eqNullSafe(F.col("b"))).alias("differ"))
+        out = row if out is None else out.union(row)
+    return out
 
 
 @_query("search_cost")
@@ -554,7 +590,7 @@ def null_suppress(spark: SparkSession, d: str) -> DataFrame:
 # --- range joins and payload ids ---------------------------------------------------------------------------------------------
 
 
-@_query("o10_range_join", "WITH b AS (SELECT CAST(range AS BIGINT) AS block_id, range * 65536 AS low, (range + 1) * 65536 AS high FROM range(2000)), s AS (SELECT key, CAST(sum(strlen(value)) OVER (ORDER BY key) - strlen(value) AS BIGINT) AS start FROM (" + CORPUS_SQL["reviews"] + ")) SELECT key, block_id FROM s JOIN b ON start >= low AND start < high")
+@_query("o10_range_join", "WITH c AS (" + CORPUS_SQL["reviews"] + "), b AS (SELECT CAST(range AS BIGINT) AS block_id, range * 65536 AS low, (range + 1) * 65536 AS high FROM range((SELECT CAST(sum(strlen(value)) // 65536 + 1 AS BIGINT) FROM c))), s AS (SELECT key, CAST(sum(strlen(value)) OVER (ORDER BY key) - strlen(value) AS BIGINT) AS start FROM (" + CORPUS_SQL["reviews"] + ")) SELECT key, block_id FROM s JOIN b ON start >= low AND start < high")
 def range_join(spark: SparkSession, d: str) -> DataFrame:
     """Offsets into block ranges: an equi-join on bins of the block's width, then the exact bounds."""
     starts = blocks.layout(load(spark, d, "reviews")).select("key", "start")

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from ..corpora import size_bytes
 from ..dictionary import Dictionary
 from ..sampling import SampleSpec, draw_sample, fitting_fraction
+from ..scratch import keep
 from .kernel import Trainer, learn
 
 VARIANTS = {"unbounded": (None, None), "bounded16": (16, 128)}
@@ -64,13 +65,13 @@ def resolve_threshold(corpus: DataFrame, threshold, total: int | None = None) ->
 def train(corpus: DataFrame, *, variant: str = "bounded16", bits: int = 16, threshold="auto", sample: SampleSpec | None = None, max_len="variant", max_bucket="variant", total_bytes: int | None = None) -> Dictionary:
     """A dictionary of at most 2^bits entries from one pass over a shuffled sample.
 
-    Only the sample, bounded in bytes, goes to the one ordered task, which stops reading when the dictionary is full. Pass
-    total_bytes where it is known, else threshold="auto" adds an aggregate over the corpus. Null values teach nothing.
+    Only the sample, about twice its max_bytes, goes to the one ordered task, which stops reading when the dictionary is full.
+    Pass total_bytes where it is known, else an aggregate over the corpus finds it. Null values teach nothing.
     """
     threshold, total = resolve_threshold(corpus, threshold, total_bytes)
-    if sample is None:
-        total = size_bytes(corpus) if total is None else total
-        sample = SampleSpec(fraction=fitting_fraction(total, 8 << 20))
+    sample = sample or SampleSpec()
+    if sample.fraction is None:
+        sample = sample.fitted(size_bytes(corpus) if total is None else total)
     max_len, max_bucket = _limits(variant, max_len, max_bucket)
     kw = dict(capacity=1 << bits, threshold=threshold, max_len=max_len, max_bucket=max_bucket, max_bytes=sample.max_bytes)
 
@@ -93,7 +94,7 @@ def train_by(corpus: DataFrame, by: list[str], *, variant: str = "bounded16", bi
     """
     max_len, max_bucket = VARIANTS[variant]
     sizes = corpus.groupBy(*by).agg(F.sum(F.octet_length("value")).alias("_bytes"))  # one row a group
-    rows = corpus.where(F.col("value").isNotNull()).join(F.broadcast(sizes), by)
+    rows = corpus.where(F.col("value").isNotNull()).join(sizes, by)
     rows = rows.where(F.pmod(F.xxhash64(F.lit(seed), "key"), F.lit(1_000_000)) < F.lit(2e6) * max_bytes / F.col("_bytes"))
     rows = rows.select(*by, F.md5(F.concat(F.lit(f"{seed}:"), F.col("key").cast("string")).cast("binary")).alias("_ord"), "key", "value")
     kinds = [(f.name, f.dataType.simpleString()) for f in corpus.select(*by).schema.fields]
@@ -116,14 +117,19 @@ def train_sharded(corpus: DataFrame, shards: int = 8, *, variant: str = "bounded
 
     sharded = corpus.withColumn("_shard", F.pmod(F.xxhash64(F.lit(seed), "key"), F.lit(shards)).cast("int"))
     entries = train_by(sharded, ["_shard"], variant=variant, bits=bits, threshold=threshold, max_bytes=max_bytes, seed=seed)
-    union = entries.where("token_id >= 256").select("entry").distinct().orderBy(F.hex("entry"))
-    found = [bytes(r.entry) for r in union.limit(1 << 20).collect()]  # at most shards x 2^bits entries of bounded length
-    every = Dictionary([bytes([b]) for b in range(256)] + found, variant=variant, bits=21, threshold=threshold)
-    held_out = corpus.where(F.pmod(F.xxhash64(F.lit(seed + 1), "key"), F.lit(1_000_000)) < int(1e6 * fitting_fraction(size_bytes(corpus), max_bytes)))
-    gain = token_gain(token_frequencies(held_out, "value", every), every.frame(corpus.sparkSession))
-    best = gain.where("token_id >= 256").orderBy(F.desc("gain"), F.hex("entry")).limit((1 << bits) - 256)
-    kept = [bytes(r.entry) for r in best.select("entry").collect()]
-    return Dictionary([bytes([b]) for b in range(256)] + kept, variant=variant, bits=bits, threshold=threshold, stats={"shards": shards, "candidates": len(found)})
+    union = keep(entries.where("token_id >= 256").select("entry").distinct())
+    # the union is parsed with in parts, dealt by hash, that a dictionary of 21 bits holds: no entry is left out
+    many = union.count()
+    parts = max(1, -(-many // (1 << 20)))
+    sample = corpus.where(F.pmod(F.xxhash64(F.lit(seed + 1), "key"), F.lit(1_000_000)) < int(1e6 * fitting_fraction(size_bytes(corpus), max_bytes)))
+    best: list[tuple[int, bytes]] = []
+    for part in range(parts):
+        found = sorted(bytes(r.entry) for r in union.where(F.pmod(F.xxhash64("entry"), F.lit(parts)) == part).collect())
+        every = Dictionary([bytes([b]) for b in range(256)] + found, variant=variant, bits=21, threshold=threshold)
+        gain = token_gain(token_frequencies(sample, "value", every), every.frame(corpus.sparkSession))
+        top = gain.where("token_id >= 256").orderBy(F.desc("gain"), F.hex("entry")).limit((1 << bits) - 256)
+        best = sorted([*best, *((-r.gain, bytes(r.entry)) for r in top.select("gain", "entry").collect())])[: (1 << bits) - 256]
+    return Dictionary([bytes([b]) for b in range(256)] + [e for _, e in best], variant=variant, bits=bits, threshold=threshold, stats={"shards": shards, "candidates": many})
 
 
 def suggest_bits(gain: DataFrame, corpus_bytes: int, least: int = 9, most: int = 16) -> int:

@@ -277,3 +277,49 @@ def test_trends(spark):
     assert ratios["unbounded"] >= 0.93 * ratios["bpe"] * 0.95
     c.unpersist()
     assert hashlib.sha256(b"").hexdigest() and math.isfinite(ratios["bpe"])
+
+
+# --- the static index over a column, packed numbers, bounded samples, whole unions ------------------------------------------
+
+
+def test_static_column_matcher():
+    rng = np.random.default_rng(3)
+    pick = lambda signs, n: bytes(rng.choice(list(signs), n).tolist())
+    words = [pick(b"abAB", rng.integers(2, 17)) for _ in range(400)]
+    words += [b"Customer" + bytes([48 + k]) * (1 + k % 8) for k in range(10)] + [b"prefix08" + pick(b"xyz", 1 + k % 8) for k in range(60)]
+    d = Dictionary([bytes([b]) for b in range(256)] + sorted(set(words)), bits=10)
+    texts = [b"".join(words[k] for k in rng.integers(0, len(words), 5)) if rng.random() < 0.5 else pick(b"abABCustomerprefix08xyz", 60) for _ in range(300)] + [b"", b"Customer", b"prefix08x"]
+    plain = StaticIndex.build(d)
+    for index in ("dynamic", "static"):
+        ids, count, _ = codec.encode_column(pa.array(texts, pa.binary()), d, index)
+        cut = np.concatenate([[0], np.cumsum(count)])
+        assert [ids[a:b].tolist() for a, b in zip(cut, cut[1:], strict=False)] == [plain.parse(t) for t in texts]
+
+
+def test_packed_columns():
+    rng = np.random.default_rng(4)
+    for bits in (9, 12, 16, 21):
+        count = rng.integers(0, 9, 200)
+        ids = rng.integers(0, 1 << bits, int(count.sum()))
+        data, offs = codec.pack_column(ids, count, bits)
+        assert (np.diff(offs) == -(-count * bits // 8)).all()
+        back, n = codec.unpack_column(data, offs, bits)
+        assert (back == ids).all() and (n == count).all()
+
+
+def test_encode_replaces_columns_of_its_names(spark):
+    df = spark.createDataFrame([(1, "abc", 7, "p", "v")], "key long, value string, n_tokens int, payload string, dict_version string")
+    got = codec.encode(df, "value", Dictionary([bytes([b]) for b in range(256)], bits=9))
+    assert got.columns == ["key", "payload", "n_tokens", "dict_version"] and got.first().n_tokens == 3
+
+
+def test_sample_does_not_grow(spark):
+    """What reaches the one ordered task is about twice max_bytes, whether the corpus is small or ten times as large."""
+    from pairdict.sampling import SampleSpec, draw_sample
+
+    for n in (4_000, 40_000):
+        c = spark.range(n).select(F.col("id").alias("key"), F.rpad(F.col("id").cast("string"), 100, "x").alias("value"))
+        spec = SampleSpec(max_bytes=100_000).fitted(n * 100)
+        drawn = draw_sample(c, spec).agg(F.sum(F.octet_length("value"))).first()[0]
+        assert 150_000 < drawn < 250_000
+        assert train(c, bits=10, threshold=2, sample=SampleSpec(max_bytes=100_000)).stats["bytes_read"] <= 100_100
