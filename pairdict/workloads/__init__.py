@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -27,15 +28,17 @@ def _train(corpus: DataFrame, name: str, variant: str, bits: int | None = None,
     return train(corpus, variant=variant, bits=bits or BITS[name], sample=kw.pop("sample", WIDE), **kw)
 
 
-def w01_threshold_sweep(spark: SparkSession, d: str, corpus: str = "titles", thresholds=range(2, 31), bits: int | None = None) -> DataFrame:
+def w01_threshold_sweep(spark: SparkSession, d: str, corpora=("titles", "headlines"), thresholds=range(2, 31), bits: int | None = None) -> DataFrame:
     """Ratio and training volume by threshold."""
-    c = load(spark, d, corpus).cache()
     out = []
-    for t in thresholds:
-        dic = _train(c, corpus, "unbounded", bits, threshold=t)
-        raw, n, _ = measures.encode_totals(c, dic)
-        out.append((corpus, t, measures.ratio(raw, n, dic, dic.bits), dic.stats["bytes_read"], len(dic.entries), dic.stats["stop_reason"]))
-    c.unpersist()
+    for corpus in corpora:
+        c = load(spark, d, corpus).cache()
+        total = size_bytes(c)
+        for t in thresholds:
+            dic = _train(c, corpus, "unbounded", bits, threshold=t, total_bytes=total)
+            raw, n, _ = measures.encode_totals(c, dic)
+            out.append((corpus, t, measures.ratio(raw, n, dic, dic.bits), dic.stats["bytes_read"], len(dic.entries), dic.stats["stop_reason"]))
+        c.unpersist()
     return _frame(spark, out, "corpus string, threshold int, ratio double, bytes_read long, entries int, stop_reason string")
 
 
@@ -45,8 +48,9 @@ def _gain(spark, d, corpus, variant, bits=None):
     return c, dic, measures.token_gain(codec.token_frequencies(c, "value", dic), dic.frame(spark))
 
 
-def w02_gain_by_length(spark: SparkSession, d: str, corpus: str = "titles", bits: int | None = None) -> DataFrame:
-    return measures.gain_by_length(_gain(spark, d, corpus, "unbounded", bits)[2])
+def w02_gain_by_length(spark: SparkSession, d: str, corpora=("titles", "headlines"), bits: int | None = None) -> DataFrame:
+    parts = [measures.gain_by_length(_gain(spark, d, c, "unbounded", bits)[2]).withColumn("corpus", F.lit(c)) for c in corpora]
+    return reduce(DataFrame.unionByName, parts)
 
 
 def w03_bucket_sizes(spark: SparkSession, d: str, corpora=("titles", "reviews", "tweets", "urls", "ids")) -> DataFrame:
@@ -61,20 +65,21 @@ def w04_smoothed_gain(spark: SparkSession, d: str, corpus: str = "headlines", bi
     return measures.smoothed_gain(_gain(spark, d, corpus, "unbounded", bits)[2])
 
 
-def w05_size_sweep(spark: SparkSession, d: str, corpus: str = "titles", widths=range(9, 14), queries: int = 2000) -> DataFrame:
-    """Ratio, speeds, access time and dictionary size by the width of an entry number, at threshold 2."""
+def w05_size_sweep(spark: SparkSession, d: str, corpus: str = "headlines", widths=range(9, 22), queries: int = 10_000) -> DataFrame:
+    """Ratio, speeds, access time and dictionary size by the width of an entry number, at threshold 2; numbers are stored packed."""
     c = load(spark, d, corpus).cache()
     raw, out = size_bytes(c), []
+    keys = uniform_keys(spark, c, queries).cache()
+    keys.count()
     for bits in widths:
         t = time.perf_counter()
-        dic = _train(c, corpus, "unbounded", bits, threshold=2)
-        coded = codec.encode(c, "value", dic).cache()
+        dic = _train(c, corpus, "unbounded", bits, threshold=2, total_bytes=raw)
+        coded = codec.encode(c, "value", dic, packed=True).cache()
         coded.count()
         t_comp = time.perf_counter() - t
         _, n, _ = measures.encode_totals(c, dic)
-        t_dec = measures.timed(codec.decode(coded.select("key", "payload"), "payload", dic))
-        keys = uniform_keys(spark, c, queries)
-        t_acc = measures.timed(codec.decode(keys.join(coded.select("key", "payload"), "key"), "payload", dic))
+        t_dec = measures.timed(codec.decode(coded.select("key", "payload"), "payload", dic, packed=True))
+        t_acc = measures.timed(codec.decode(keys.join(coded.select("key", "payload"), "key"), "payload", dic, packed=True))
         mib = (sum(map(len, dic.entries)) + 4 * (1 << bits)) / measures.MIB
         out.append((bits, measures.ratio(raw, n, dic, bits), measures.throughput(raw, t_comp), measures.throughput(raw, t_dec), t_acc / queries * 1e9, mib, raw / n))
         coded.unpersist()
@@ -86,7 +91,7 @@ def w06_corpora(spark: SparkSession, d: str) -> DataFrame:
     return summary(spark, d)
 
 
-def w07_comparison(spark: SparkSession, d: str, corpora=("titles", "urls"), queries: int = 1000, bits: dict | None = None) -> DataFrame:
+def w07_comparison(spark: SparkSession, d: str, corpora=FIVE, queries: int = 10_000, bits: dict | None = None) -> DataFrame:
     """Seven codecs on each corpus: ratio, compression and decompression speed, access time."""
     out = []
     for name in corpora:
@@ -138,7 +143,7 @@ def w08_footprint(spark: SparkSession, d: str, corpora=FIVE) -> DataFrame:
     return _frame(spark, out, "variant string, corpus string, total_mib double, data_mib double")
 
 
-def w09_token_lengths(spark: SparkSession, d: str, corpora=("titles", "tweets")) -> DataFrame:
+def w09_token_lengths(spark: SparkSession, d: str, corpora=FIVE) -> DataFrame:
     """Emitted lengths of the symbol table against the bounded variant."""
     out = None
     for name in corpora:
@@ -149,13 +154,16 @@ def w09_token_lengths(spark: SparkSession, d: str, corpora=("titles", "tweets"))
     return out
 
 
-def w10_coverage(spark: SparkSession, d: str, corpus: str = "titles", bits: int | None = None) -> DataFrame:
-    c = load(spark, d, corpus)
-    dic = _train(c, corpus, "bounded16", bits)
-    return measures.coverage_curve(codec.token_frequencies(c, "value", dic), dic.frame(spark))
+def w10_coverage(spark: SparkSession, d: str, corpora=("titles", "headlines"), bits: int | None = None) -> DataFrame:
+    parts = []
+    for name in corpora:
+        c = load(spark, d, name)
+        dic = _train(c, name, "bounded16", bits)
+        parts.append(measures.coverage_curve(codec.token_frequencies(c, "value", dic), dic.frame(spark)).withColumn("corpus", F.lit(name)))
+    return reduce(DataFrame.unionByName, parts)
 
 
-def w11_phase_times(spark: SparkSession, d: str, corpora=("titles", "urls")) -> DataFrame:
+def w11_phase_times(spark: SparkSession, d: str, corpora=FIVE) -> DataFrame:
     out = []
     for name in corpora:
         c = load(spark, d, name).cache()
@@ -169,7 +177,7 @@ def w11_phase_times(spark: SparkSession, d: str, corpora=("titles", "urls")) ->
     return _frame(spark, out, "corpus string, variant string, train_s double, parse_s double")
 
 
-def w12_access(spark: SparkSession, d: str, corpora=("titles", "urls"), queries: int = 1000) -> DataFrame:
+def w12_access(spark: SparkSession, d: str, corpora=FIVE, queries: int = 10_000) -> DataFrame:
     """Bytes touched and time of uniform point reads, field by field and by blocks."""
     out = []
     for name in corpora:
@@ -192,7 +200,7 @@ def w12_access(spark: SparkSession, d: str, corpora=("titles", "urls"), queries:
     return _frame(spark, out, "corpus string, codec string, n int, mean_ns double, bytes_touched long")
 
 
-def w13_full_decode(spark: SparkSession, d: str, corpora=("titles", "tweets")) -> DataFrame:
+def w13_full_decode(spark: SparkSession, d: str, corpora=FIVE) -> DataFrame:
     out = []
     for name in corpora:
         c = load(spark, d, name).cache()
