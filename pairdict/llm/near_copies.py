@@ -226,6 +226,8 @@ def meet(num: int, den: int):
         yield pa.RecordBatch.from_arrays([pa.array(np.full(len(a), PAIR, np.int32)), pa.array(a), pa.array(b), none(len(a)), none(len(a))], names)
         cell, name, n, pos = (x[crowd] for x in (cell, name, n, pos))
         yield pa.RecordBatch.from_arrays([pa.array(np.full(len(cell), MEMBER, np.int32)), pa.array(cell), pa.array(name), pa.array(n.astype(np.int32)), pa.array(pos.astype(np.int32))], names)
+        del parts, cell, n, name, pos, hot, a, b
+        shared.tidy()
 
     return run
 

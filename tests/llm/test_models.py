@@ -235,7 +235,7 @@ def test_subwords_edges(spark, edge, empty):
     assert {tuple(r.ids) for r in got.collect() if r.doc_id in (4, 5)} == {()}
     assert subwords.encode(empty).count() == 0
     plain = lambda df: sorted((str(r.doc_id), r.sample, tuple(r.ids), round(r.log_prob, 6), round(r.perturbed, 6)) for r in df.collect())
-    assert plain(got.repartition(5)) == plain(subwords.encode(docs.repartition(3), 2))
+    assert plain(got.repartition(5)) == plain(subwords.encode(docs.repartition(3), 2)) == plain(subwords.encode(docs, 2, lean=True))
     with pytest.raises(ValueError):
         subwords.encode(edge, 0)
 
