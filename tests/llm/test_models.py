@@ -212,6 +212,47 @@ def test_few_segmentations():
         assert sorted(masks) == sorted(segmentations(voc, text)) and np.isneginf(limit[t])
 
 
+def test_no_segmentation_is_left_out():
+    voc = subwords.vocabulary()
+    for text in ("   ab", "a" * 3 + "     "):  # runs of spaces have pieces of their own
+        sampler = subwords.Sampler(voc, [text], shared.mix(np.arange(1, dtype=np.uint64)))
+        found, limit = sampler.best(400)
+        found = [f for f in found if len(f[0])]
+        want = segmentations(voc, "▁" + text.replace(" ", "▁"))
+        assert len({tuple(sampler.ids(f[1], f[0])[0].tolist()) for f in found}) == len(found) == len(want) < 400 and np.isneginf(limit[0])
+        assert np.allclose(sorted(f[2][0] for f in found), sorted(want.values()), atol=2e-3)
+
+
+@pytest.mark.parametrize("word", ["x" * 150, "internationalization" * 9, "zq" * 16 + "-" * 40])
+def test_long_words_are_whole(word):
+    """Against plain sums over the word's whole lattice: log probabilities, and how often a piece ends at places that once were cuts."""
+    voc, n = subwords.vocabulary(), 1500
+    sampler = subwords.Sampler(voc, [word] * n, shared.mix(np.arange(n, dtype=np.uint64)))
+    found, limit = sampler.best(2)
+    unit = "▁" + word
+    score = {voc.raw[i].decode().replace(" ", "▁"): s for i, s in zip(voc.ids, voc.scores, strict=True)}
+    by_id = dict(zip(voc.ids.tolist(), voc.scores.tolist(), strict=True))
+    pieces = [(i, j) for i in range(len(unit)) for j in range(i + 1, min(len(unit), i + voc.widest) + 1) if unit[i:j] in score]
+    upto, back = np.full(len(unit) + 1, -np.inf), np.full(len(unit) + 1, -np.inf)
+    upto[0] = back[-1] = 0
+    for i, j in pieces:
+        upto[j] = np.logaddexp(upto[j], upto[i] + score[unit[i:j]])
+    for i, j in sorted(pieces, key=lambda x: -x[1]):
+        back[i] = np.logaddexp(back[i], back[j] + score[unit[i:j]])
+    paths = []
+    for texts, mask, logp, _ in found:
+        ids = sampler.ids(mask, texts)
+        assert all(subwords.decode(voc, x.tolist()) == word for x in ids[:50])
+        assert np.allclose(logp[:200], [sum(map(by_id.get, x.tolist())) - upto[-1] for x in ids[:200]], atol=0.02)
+        paths.append([tuple(x.tolist()) for x in ids])
+    assert all(x != y for x, y in zip(*paths, strict=True)) and (found[0][3] >= found[1][3]).all() and (found[1][3] >= limit).all()
+    for place in (32, 64):
+        if place < len(unit):
+            p = math.exp(upto[place] + back[place] - upto[-1])
+            share = np.mean([place in np.cumsum([len(voc.raw[i].decode()) for i in x]) for x in paths[0]])
+            assert abs(share - p) < 5 * math.sqrt(p * (1 - p) / n) + 1e-3
+
+
 def test_subwords_query(spark):
     import sentencepiece
 
