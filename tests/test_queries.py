@@ -49,3 +49,10 @@ def test_files(spark, tmp_path):
     assert sources.read_text(spark, str(tmp_path / "a.csv")).count() == 3
     df = spark.range(1000).select(F.col("id"), F.lit("the same text").alias("v"))
     assert sources.parquet_bytes(df, str(tmp_path / "z"), "zstd") <= sources.parquet_bytes(df, str(tmp_path / "n"), "uncompressed")
+
+
+def test_whole_results_of_streams_do_not_pass_the_driver(spark):
+    """Spark's memory sink holds all rows of a stream's result in the driver."""
+    for name in ("stream_sessions", "stream_ratio_tumbling", "stream_ratio_sliding"):
+        got = queries.queries()[name](spark, SF)
+        assert got.inputFiles() and got.count() > 0
