@@ -56,3 +56,8 @@ def test_whole_results_of_streams_do_not_pass_the_driver(spark):
     for name in ("stream_sessions", "stream_ratio_tumbling", "stream_ratio_sliding"):
         got = queries.queries()[name](spark, SF)
         assert got.inputFiles() and got.count() > 0
+
+
+@pytest.mark.parametrize("name", ["o13_grid"])
+def test_reads_a_given_table(spark, name):
+    assert queries.queries()[name](spark, SF).inputFiles()
