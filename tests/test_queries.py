@@ -58,6 +58,6 @@ def test_whole_results_of_streams_do_not_pass_the_driver(spark):
         assert got.inputFiles() and got.count() > 0
 
 
-@pytest.mark.parametrize("name", ["o13_grid"])
+@pytest.mark.parametrize("name", ["o13_grid", "o30_recursion"])
 def test_reads_a_given_table(spark, name):
-    assert queries.queries()[name](spark, SF).inputFiles()
+    assert "parquet" in queries.queries()[name](spark, SF)._jdf.queryExecution().toString()
