@@ -1,5 +1,6 @@
-"""All pairs of texts of a given Jaccard similarity of word shingles: postings of prefixes, bounds on length, place and parities,
-then the texts themselves. `simhash.near_duplicates` uses it where a similarity, not a radius of bits, is asked for."""
+"""All pairs of texts of a given Jaccard similarity of word shingles: those that SimHash finds, then the rest by postings of
+prefixes, bounds on length, place and parities; all are held against the texts themselves. `simhash.near_duplicates` uses it
+where a similarity, not a radius of bits, is asked for."""
 
 from __future__ import annotations
 
@@ -156,13 +157,13 @@ def sorted_once(*arrays: np.ndarray) -> list[np.ndarray]:
     return [x[at] for x in held]
 
 
-def post(held, buckets: int, num: int, den: int, kind: str, width: int, flush: int = 400_000):
+def post(held, buckets: int, num: int, den: int, kind: str, width: int, prints, flush: int = 400_000):
     """mapInArrow: for every text its row; its prefix as postings, packed by bucket; what crowded cells of a task hold at once."""
 
     def table(kinds, **columns):
         size = len(kinds)
         null = lambda t: pa.nulls(size, t)
-        cols = {"kind": pa.array(np.asarray(kinds, np.int32)), "id": null(kind), "th": null(pa.int64()), "key": null(pa.int64()), "n": null(pa.int32()), "parity": null(pa.binary()), "cell": null(pa.int64()), "pos": null(pa.int32()), "payload": null(pa.binary())}
+        cols = {"kind": pa.array(np.asarray(kinds, np.int32)), "id": null(kind), "th": null(pa.int64()), "key": null(pa.int64()), "n": null(pa.int32()), "fp": null(pa.int64()), "parity": null(pa.binary()), "cell": null(pa.int64()), "pos": null(pa.int32()), "payload": null(pa.binary())}
         return pa.RecordBatch.from_pydict(cols | columns)
 
     def flushed(keys, sizes, firsts):
@@ -199,7 +200,8 @@ def post(held, buckets: int, num: int, den: int, kind: str, width: int, flush: i
                 odd.append(parities(s))
                 firsts.append(prefix(s, held.value, num, den))
                 total += len(firsts[-1])
-            yield table([ROW] * len(key), id=batch.column(0), th=batch.column(1), key=pa.array(key, pa.int64()), n=pa.array(n, pa.int32()), parity=pa.array(odd, pa.binary()))
+            fp = pa.array(prints(batch.column(2), width).view(np.int64))
+            yield table([ROW] * len(key), id=batch.column(0), th=batch.column(1), key=pa.array(key, pa.int64()), n=pa.array(n, pa.int32()), fp=fp, parity=pa.array(odd, pa.binary()))
             keys, sizes = keys + key, sizes + n
             if total >= flush:
                 yield from flushed(keys, sizes, firsts)
@@ -369,9 +371,22 @@ def verified(pairs: DataFrame, texts: DataFrame, width: int, num: int, den: int)
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_text", "b_text").mapInArrow(shared.tidily(run), "a long, b long")
 
 
-def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_col: str = "doc_id", text_col: str = "text", bucket_postings: int = 400_000) -> DataFrame:
+def fingerprint_pairs(rows: DataFrame, links) -> DataFrame:
+    """Pairs a, b of keys (rows: key, fp) whose fingerprints SimHash links: each key with the least of its fingerprint, and these
+    along the links. Nothing is decided yet: pairs of keys are still held against the texts."""
+    least = shared.keep(rows.groupBy("fp").agg(F.min("key").alias("lead")), "prints")
+    same = rows.select("key", "fp").distinct().join(least, "fp").where("key <> lead").select(F.col("lead").alias("a"), F.col("key").alias("b"))
+    end = lambda k: least.select(F.col("fp").alias(f"{k}_fp"), F.col("lead").alias(k))
+    found = links(least).select(F.col("a").alias("a_fp"), F.col("b").alias("b_fp")).join(end("a"), "a_fp").join(end("b"), "b_fp")
+    out = shared.keep(same.union(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))).where("a <> b").distinct(), "linked")
+    shared.forget(least)
+    return out
+
+
+def near_copies(docs: DataFrame, prints, links, width: int = 5, num: int = 4, den: int = 5, id_col: str = "doc_id", text_col: str = "text", bucket_postings: int = 400_000) -> DataFrame:
     """For every row its id, text_hash (xxhash64 of the text), class_key and component_id: the least id that chains of texts of
-    similarity num / den or more reach; class_key tells chains apart.
+    similarity num / den or more reach; class_key tells chains apart. prints and links are SimHash's: fingerprints of texts, and links
+    between them. They come first; what they join needs no reading afterwards, and postings find what is too far apart in bits.
 
     Similarity is the Jaccard coefficient of the sets of `width`-word shingles (A-Z lower-cased, 64 bits of hash a shingle). No
     chain is broken: where two sets are similar enough their prefixes meet, and a pair goes unread only where it is ruled out or
@@ -385,8 +400,8 @@ def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_
     # at most 2^17 hashes and counts: a bound that does not grow with the data
     held = spark.sparkContext.broadcast(frequent(source, max(1, total.rows), width))
     kind = source.schema["id"].dataType
-    schema = f"kind int, id {kind.simpleString()}, th long, key long, n int, parity binary, cell long, pos int, payload binary"
-    made = shared.keep(source.mapInArrow(post(held, buckets, num, den, arrow_type(kind), width), schema), "made")
+    schema = f"kind int, id {kind.simpleString()}, th long, key long, n int, fp long, parity binary, cell long, pos int, payload binary"
+    made = shared.keep(source.mapInArrow(post(held, buckets, num, den, arrow_type(kind), width, prints), schema), "made")
     rows = made.where(F.col("kind") == ROW)
     schema = "kind int, a long, b long, n int, pos int"
     met = shared.keep(made.where(F.col("kind") == POSTING).select("cell", "payload").groupBy("cell").applyInArrow(meet(num, den), schema), "met")
@@ -395,13 +410,15 @@ def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_
     members = met.where(F.col("kind") == MEMBER).select(F.col("a").alias("cell"), F.col("b").alias("key"), "n")
     members = shared.keep(members.union(made.where(F.col("kind") == MEMBER).select("cell", "key", "n")).distinct(), "crowds")
     crowds = not members.isEmpty()
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).union(members.select("key")).distinct()
+    linked = fingerprint_pairs(rows, links)
+    wanted = pairs.union(linked).select(F.explode(F.array("a", "b")).alias("key")).union(members.select("key")).distinct()
     marks = shared.keep(rows.select("key", "n", "parity").join(wanted, "key", "left_semi").dropDuplicates(["key"]), "marks")
     near = shared.keep(bounded(pairs, marks, num, den), "near")
+    linked_near = shared.keep(bounded(linked, marks, num, den), "linked_near")
 
-    # one pair a text at a time: mostly these join all that belongs together, and pairs inside a part need no reading. The last
-    # turn has all that is left.
-    links, old, left = None, [members, marks, pairs], near
+    # first what SimHash links, and one pair a text of the others; then one pair a text at a time: mostly these join all that
+    # belongs together, and pairs inside a part need no reading. The last turn has all that is left.
+    joined, old, left = None, [members, marks, pairs, linked, linked_near], near
     roots = spark.createDataFrame([], "node long, root long")
     for turn in range(TURNS):
         last = turn == TURNS - 1
@@ -412,14 +429,18 @@ def near_copies(docs: DataFrame, width: int = 5, num: int = 4, den: int = 5, id_
             old.append(left)
             if left.isEmpty():
                 continue
-        read = left if last else shared.keep(left.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "read")
+        read = left if last else left.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+        if not turn:
+            linked_texts = linked_near.select("b").distinct()
+            read = linked_near.union(read.join(linked_texts, "b", "left_anti")).distinct()
+        read = read if last else shared.keep(read, "read")
         texts = texts_of(source, rows, read)
         fine = verified(read, texts, width, num, den)
-        links = shared.keep(fine if links is None else links.union(fine), "links")
-        roots = shared.keep(components(links), "roots")
+        joined = shared.keep(fine if joined is None else joined.union(fine), "joined")
+        roots = shared.keep(components(joined), "roots")
         end = lambda k, roots=roots: roots.select(F.col("node").alias(k), F.col("root").alias(f"{k}_root"))
         apart = F.coalesce("a_root", "a") != F.coalesce("b_root", "b")
-        old += [read, texts, links]
+        old += [read, texts, joined]
         if not last:
             left = left.join(read, ["a", "b"], "left_anti").join(end("a"), "a", "left").join(end("b"), "b", "left").where(apart).select("a", "b")
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from functools import partial
 from itertools import combinations
 
 import numpy as np
@@ -190,12 +191,12 @@ def near_duplicates(
     Equal fingerprints meet first, so copies of a text are one fingerprint from there on. Null and empty texts have the
     fingerprint 0, linked like any other. Repeated rows come back as often as they came; null ids never become a component's id.
 
-    With a similarity (num, den) links are the pairs whose shingle sets have a Jaccard coefficient of num / den or more. No radius
-    of 64 bits finds them: at 0.8 two texts differ in 10 bits on average and in 20 at times, as unrelated ones may. So
-    fingerprints give way to postings (`near_copies`, which tells the columns).
+    With a similarity (num, den) links are the pairs whose shingle sets have a Jaccard coefficient of num / den or more. Fingerprints
+    find candidates, linked as above, and the texts decide. No radius of 64 bits finds all: at 0.8 two texts differ in 10 bits
+    on average and in 20 at times, as unrelated ones may. So postings find the rest (`near_copies`, which tells the columns).
     """
     if similarity:
-        return near_copies(docs, width, *similarity, id_col=id_col, text_col=text_col)
+        return near_copies(docs, fingerprints, partial(links, radius=radius, groups=groups), width, *similarity, id_col=id_col, text_col=text_col)
     rows = shared.keep(add_fingerprints(docs, width, id_col, text_col), "fingerprints")
     distinct = shared.keep(rows.groupBy("fp").agg(F.min("id").alias("least")), "distinct")
     roots = shared.keep(components(links(distinct, radius, groups)), "roots")

@@ -2,6 +2,7 @@
 
 import random
 
+import pyarrow as pa
 import pytest
 
 import corpus_pipeline
@@ -94,6 +95,27 @@ def test_stage_keeps_unlike_texts_of_one_id(spark, edited):
     assert stage_rows(spark, docs) == sorted(docs[k] for k in slow_left(docs))
 
 
+def test_fingerprints_come_first(spark, edited, monkeypatch):
+    """The stage links by SimHash: pairs of fingerprints near in bits, each text's fingerprint being that of its five-word shingles."""
+    seen, made = [], simhash.links
+
+    def links(distinct, radius=4, groups=6):
+        out = made(distinct, radius, groups)
+        seen.append(([r.fp for r in distinct.collect()], [(r.a, r.b) for r in out.collect()]))
+        return out
+
+    monkeypatch.setattr(simhash, "links", links)
+    left = stage_rows(spark, edited)
+    assert left == sorted(edited[k] for k in slow_left(edited))
+    ((prints, pairs),) = seen
+    want = simhash.fingerprints(pa.array([t for _, t in edited]), 5).view("int64").tolist()
+    assert set(prints) == set(want) and pairs
+    assert all(((a ^ b) & (1 << 64) - 1).bit_count() <= 4 for a, b in pairs)
+    rows = spark.createDataFrame([(k, f) for k, f in enumerate(want)], "key long, fp long")
+    found = {(r.a, r.b) for r in near_copies.fingerprint_pairs(rows, made).collect()}
+    assert found and all(((want[a] ^ want[b]) & (1 << 64) - 1).bit_count() <= 4 for a, b in found)
+
+
 def test_crowded_cells(spark):
     """A large group of near copies, two groups that share most of their text, and texts that share one long passage only."""
     rng = random.Random(9)
