@@ -323,3 +323,21 @@ def test_sample_does_not_grow(spark):
         drawn = draw_sample(c, spec).agg(F.sum(F.octet_length("value"))).first()[0]
         assert 150_000 < drawn < 250_000
         assert train(c, bits=10, threshold=2, sample=SampleSpec(max_bytes=100_000)).stats["bytes_read"] <= 100_100
+
+
+def test_thresholds_side_by_side(spark, sf):
+    """The same dictionaries and totals as one by one, with values parsed once however often they stand in the corpus."""
+    from pairdict import measures
+    from pairdict.corpora import load, size_bytes
+    from pairdict.sampling import SampleSpec
+    from pairdict.training import train, train_thresholds
+
+    c = load(spark, sf, "titles")
+    c = c.union(c.selectExpr("key + 1000000", "value")).union(spark.createDataFrame([(-1, None), (-2, "")], "key long, value string"))
+    sample, total = SampleSpec(max_bytes=5000), size_bytes(c)
+    got = train_thresholds(c, range(2, 6), variant="unbounded", bits=10, sample=sample, total_bytes=total)
+    for (t, d), totals in zip(got.items(), measures.encode_totals_each(c, list(got.values()), 3), strict=True):
+        one = train(c, variant="unbounded", bits=10, threshold=t, sample=sample, total_bytes=total)
+        assert (d.entries, d.lefts, d.rights, d.stats, d.bits, d.threshold) == (one.entries, one.lefts, one.rights, one.stats, 10, t)
+        raw, n, rows = measures.encode_totals(c, one)
+        assert totals == (raw, n, rows)
