@@ -341,3 +341,18 @@ def test_thresholds_side_by_side(spark, sf):
         assert (d.entries, d.lefts, d.rights, d.stats, d.bits, d.threshold) == (one.entries, one.lefts, one.rights, one.stats, 10, t)
         raw, n, rows = measures.encode_totals(c, one)
         assert totals == (raw, n, rows)
+
+
+def test_widths_from_one_run(spark, sf):
+    """The same entries as one run for each width."""
+    from pairdict.corpora import load, size_bytes
+    from pairdict.sampling import SampleSpec
+    from pairdict.training import train, train_widths
+
+    c = load(spark, sf, "headlines")
+    sample, total = SampleSpec(max_bytes=100_000), size_bytes(c)
+    got = train_widths(c, range(9, 22), variant="unbounded", threshold=2, sample=sample, total_bytes=total)
+    assert list(got) == list(range(9, 22)) and [s for _, s in got.values()] == sorted(s for _, s in got.values())
+    for bits in (9, 11, 12, 21):
+        one, (d, _) = train(c, variant="unbounded", bits=bits, threshold=2, sample=sample, total_bytes=total), got[bits]
+        assert (d.entries, d.lefts, d.rights, d.bits, d.version) == (one.entries, one.lefts, one.rights, bits, one.version)
