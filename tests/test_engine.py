@@ -356,3 +356,38 @@ def test_widths_from_one_run(spark, sf):
     for bits in (9, 11, 12, 21):
         one, (d, _) = train(c, variant="unbounded", bits=bits, threshold=2, sample=sample, total_bytes=total), got[bits]
         assert (d.entries, d.lefts, d.rights, d.bits, d.version) == (one.entries, one.lefts, one.rights, bits, one.version)
+
+
+def test_many_dictionaries_at_once(monkeypatch):
+    """The numbers of a parse with each dictionary, from one longest match a place; no index is made for a dictionary."""
+    from pairdict.match import union
+
+    texts = [b"", b"a", b"ab" * 300 + b"c", b"the cat sat on the mat", "schöne Grüße, 日本".encode(), bytes(range(256)), b"", b"x" * 5000 + b"yz" + b"x" * 777, b"the cat " * 500]
+    few = [b"the ", b"the cat ", b"ab", b"abab", b"xx", b"xxx"]
+    dics = [Dictionary([bytes([b]) for b in range(256)] + more) for more in ([], few, few[:3] + [b"x" * 32, b"ab" * 20, b"the cat the cat "], [texts[3], "ß".encode(), b"yz" + b"x" * 700])]
+    dics += [Dictionary(learn(texts * 3, capacity=2000, threshold=t, max_len=None, max_bucket=None).entries) for t in (2, 3, 7)]
+    data, offs = np.frombuffer(b"".join(texts), np.uint8), np.concatenate([[0], np.cumsum([len(x) for x in texts])])
+    index = union.UnionIndex(dics)
+    want = [sum(len(DynamicMatcher(d.entries).parse(x)) for x in texts) for d in dics]
+    assert index.counts(data, offs).tolist() == want
+    for part, block, before, lanes in ((1, 1024, 32, 1 << 14), (600, 16, 0, 7), (1 << 20, 7, 3, 100)):
+        monkeypatch.setattr(union, "SLICE", part), monkeypatch.setattr(union, "BLOCK", block), monkeypatch.setattr(union, "BEFORE", before), monkeypatch.setattr(union, "LANES", lanes)
+        assert index.counts(data, offs).tolist() == want
+    assert index.counts(data[:0], offs[:1]).tolist() == [0] * len(dics) == index.counts(data[:0], offs[[0, 0]]).tolist()
+
+
+def test_a_pass_serves_all_thresholds(spark, sf, monkeypatch):
+    """One pass over the corpus and no index a dictionary; equal values need not meet, so nothing of a large corpus moves."""
+    from pairdict import codec, measures
+    from pairdict.corpora import load, size_bytes
+    from pairdict.sampling import SampleSpec
+    from pairdict.training import train_thresholds
+
+    c = load(spark, sf, "titles").repartition(16)
+    dics = list(train_thresholds(c, range(2, 31), variant="unbounded", bits=10, sample=SampleSpec(max_bytes=5000), total_bytes=size_bytes(c)).values())
+    want = [measures.encode_totals(c, d) for d in dics[::9]]
+    passes, real = [], type(c).mapInArrow
+    monkeypatch.setattr(type(c), "mapInArrow", lambda self, *a, **kw: passes.append(self) or real(self, *a, **kw))
+    monkeypatch.setattr(codec, "encode_column", None)
+    assert measures.encode_totals_each(c, dics)[::9] == want
+    assert len(passes) == 1 and "hashpartitioning" not in passes[0]._jdf.queryExecution().toString()
